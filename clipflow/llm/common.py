@@ -60,9 +60,12 @@ def utf8(column: str) -> Column:
     return F.coalesce(F.col(column).cast("binary"), F.lit(b""))
 
 
-def size_estimate(df: DataFrame) -> int:
-    """Catalyst's size of a relation in bytes, from file sizes; runs no job."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue())
+def stored_bytes(df: DataFrame, text_col: str) -> int:
+    """About how many bytes a table has in files. Catalyst knows of file scans; else the texts' lengths are summed."""
+    known = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if known < 1 << 60:
+        return known
+    return int(df.agg(F.sum(F.octet_length(text_col))).first()[0] or 0)
 
 
 def lower_ascii(data: bytes) -> bytes:

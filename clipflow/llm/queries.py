@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from clipflow.llm import decontam, exact, packing, simhash, toxicity
-from clipflow.llm.common import table
+from clipflow.llm import decontam, exact, licences, packing, shards, simhash, substring, suffix, toxicity, urls
+from clipflow.llm.common import scratch, table
 
 TOKENIZER = "word_bpe_49k.json"
 
@@ -23,14 +23,31 @@ def index_for(spark: SparkSession) -> exact.DigestIndex:
     return exact.DigestIndex(spark, buckets=max(16, int(spark.conf.get("spark.sql.shuffle.partitions"))))
 
 
+def op1_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
 def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_groups(table(spark, sf_dir, "documents"))
 
 
+def op3_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    stored = shards.reshard(table(spark, sf_dir, "documents"), scratch(spark, "shards"))
+    return stored.select("doc_id", "lang", "source", "n_chars", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"), F.col("_shard").alias("shard"))
+
+
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op5_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.dedup_words(table(spark, sf_dir, "documents"), with_kept=False)
+
+
+def op6_suffix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.dedup_bytes(table(spark, sf_dir, "documents"), with_kept=False)
+
+
 def op7_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.exact_dedup(table(spark, sf_dir, "documents"), index_for(spark))
 
@@ -48,12 +65,21 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).select("doc_id", (toxicity.remainder("doc_id") == 1).alias("held_out"), "score", "predicted", "worst")
 
 
+def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urls.judge(table(spark, sf_dir, "pages"), urls.labelled_table(spark))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_licences": op1_licences,
     "op2_simhash": op2_simhash,
+    "op3_shards": op3_shards,
     "op4_packing": op4_packing,
+    "op5_substring": op5_substring,
+    "op6_suffix": op6_suffix,
     "op7_exact": op7_exact,
     "op8_decontam": op8_decontam,
     "op9_toxicity": op9_toxicity,
+    "op10_urls": op10_urls,
 }
 
 ORACLE: dict[str, str] = {
