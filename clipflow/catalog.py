@@ -1,10 +1,4 @@
 """All queries of the reference's own methods, and their SQL."""
 
-from __future__ import annotations
-
-from collections.abc import Callable
-
-from pyspark.sql import DataFrame, SparkSession
-
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
+from clipflow.workloads import audio_sync, corpus, decode, lexicon, networks, relational, scoring, streams, tables_main  # noqa: F401
+from clipflow.workloads.registry import ORACLES, QUERIES  # noqa: F401
