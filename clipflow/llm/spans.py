@@ -30,6 +30,7 @@ from clipflow.llm.common import mix64, ship, stored_bytes, utf8
 
 CHUNK_BYTES, RANGE_BYTES = 4 << 20, 8 << 20  # of stored input
 SEGMENT = 1 << 18  # tokens that are hashed at once
+PLACE_BITS = 20  # enough for a segment and a window
 LAST_ID = np.iinfo(np.int64).max
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
@@ -44,15 +45,19 @@ class Kind:
     cut: Callable[[bytes], tuple[bytes, np.ndarray, np.ndarray]]
 
 
+def _places(x: np.ndarray) -> np.ndarray:
+    return x.astype(np.int32) if not len(x) or x[-1] < 1 << 31 else x
+
+
 def byte_tokens(text: bytes) -> tuple[bytes, np.ndarray, np.ndarray]:
-    at = np.arange(len(text) + 1)
+    at = _places(np.arange(len(text) + 1))
     return text, at[:-1], at[1:]
 
 
 def word_tokens(text: bytes) -> tuple[bytes, np.ndarray, np.ndarray]:
     words = text.split()
-    ends = np.fromiter(accumulate(len(w) + 1 for w in words), np.int64, len(words))
-    return b" ".join(words), np.concatenate([[0], ends[:-1]]) if len(words) else ends, ends - 1
+    ends = _places(np.fromiter(accumulate(len(w) + 1 for w in words), np.int64, len(words)))
+    return b" ".join(words), np.concatenate([np.zeros(min(1, len(words)), ends.dtype), ends[:-1]]), ends - 1
 
 
 _powers: dict[int, np.ndarray] = {}
@@ -73,34 +78,63 @@ def _gram_hashes(data: bytes, starts: np.ndarray, ends: np.ndarray, gram: int) -
     return mix64((sums[last] - sums[first]) * powers(_INVERSE, len(raw) + 1)[first])
 
 
-@dataclass
-class Runs:
-    """Maximal rows of neighbouring windows with one smallest gram: windows first[i] to last[i] of a document's tokens."""
-
-    first: np.ndarray
-    last: np.ndarray
-    hash: np.ndarray
-
-
-def runs_of(data: bytes, starts: np.ndarray, ends: np.ndarray, kind: Kind) -> Runs:
-    parts = []
-    span = kind.width - kind.gram + 1
-    for a in range(0, max(len(starts) - kind.width + 1, 0), SEGMENT):
-        b = min(a + SEGMENT + kind.width - 1, len(starts))
-        lo = int(starts[a])
-        h = _gram_hashes(data[lo : int(ends[b - 1])], starts[a:b] - lo, ends[a:b] - lo, kind.gram)
-        # where the smallest of the next ``span`` hashes is, the first of equals: rows of 1, 2, 4, ... and the rest
-        at, reach = np.arange(len(h), dtype=np.int32), 1
-        while reach < span:
-            step = min(reach, span - reach)
-            left, right = at[: len(at) - step], at[step:]
-            at = np.where(h[right] < h[left], right, left)
-            reach += step
-        edge = np.nonzero(np.concatenate([[True], at[1:] != at[:-1]]))[0]
-        parts.append((edge + a, np.concatenate([edge[1:], [len(at)]]) - 1 + a, h[at[edge]]))
+def _runs(data: bytes, starts: np.ndarray, ends: np.ndarray, doc: np.ndarray, kind: Kind) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first, last, hash) of the runs of some documents' tokens, which lie in ``data`` one after the other.
+
+    A run is a maximal row of neighbouring windows with one smallest gram: windows first[i] to last[i].
+    """
+    h = _gram_hashes(data, starts, ends, kind.gram)
+    # the smallest of the next hashes with its place in the low bits, so that the first of equals wins: rows of 1, 2, 4, ...
+    low = np.uint64((1 << PLACE_BITS) - 1)
+    at, reach, span = (h & ~low) | np.arange(len(h), dtype=np.uint64), 1, kind.width - kind.gram + 1
+    while reach < span:
+        step = min(reach, span - reach)
+        at = np.minimum(at[:-step], at[step:])
+        reach += step
+    at = (at & low).astype(np.int64)
+    whole = doc[: len(at)] == doc[kind.width - 1 :]  # windows that end in the document where they start
+    change = at[1:] != at[:-1]
+    change |= whole[1:] != whole[:-1]
+    change |= doc[1 : len(at)] != doc[: len(at) - 1]
+    first = np.concatenate([[0], np.nonzero(change)[0] + 1])
+    last = np.concatenate([first[1:], [len(at)]]) - 1
+    keep = whole[first]
+    return first[keep], last[keep], h[at[first[keep]]]
+
+
+def runs_of(cuts: list[tuple[bytes, np.ndarray, np.ndarray]], kind: Kind) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(document, first, last, hash) of all runs, by document and place; short documents are hashed together."""
+    parts: list[tuple] = []
+    batch: list[tuple[int, int, bytes, np.ndarray, np.ndarray]] = []  # document, its token where the piece starts, ...
+
+    def flush() -> None:
+        if not batch:
+            return
+        sizes = np.array([len(b[3]) for b in batch])
+        base = np.concatenate([[0], np.cumsum([len(b[2]) for b in batch])])[:-1]
+        number = np.repeat(np.arange(len(batch)), sizes)
+        starts = np.concatenate([b[3] + o for b, o in zip(batch, base)])
+        ends = np.concatenate([b[4] + o for b, o in zip(batch, base)])
+        first, last, h = _runs(b"".join(b[2] for b in batch), starts, ends, number, kind)
+        piece = number[first]
+        shift = np.array([b[1] for b in batch]) - np.concatenate([[0], np.cumsum(sizes)[:-1]])
+        parts.append((np.array([b[0] for b in batch], np.int64)[piece], first + shift[piece], last + shift[piece], h))
+        batch.clear()
+
+    held = 0
+    for n, (data, starts, ends) in enumerate(cuts):
+        for a in range(0, max(len(starts) - kind.width + 1, 0), SEGMENT):
+            b = min(a + SEGMENT + kind.width - 1, len(starts))
+            lo = int(starts[a])
+            if held and held + b - a > SEGMENT:
+                flush()
+                held = 0
+            batch.append((n, a, data[lo : int(ends[b - 1])], starts[a:b] - lo, ends[a:b] - lo))
+            held += b - a
+    flush()
     if not parts:
-        return Runs(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64))
-    return Runs(*(np.concatenate(c) for c in zip(*parts)))
+        return (*(np.zeros(0, np.int64) for _ in range(3)), np.zeros(0, np.uint64))
+    return tuple(np.concatenate(c) for c in zip(*parts))
 
 
 # ---- packing of sorted keys, bits and strings
@@ -162,12 +196,9 @@ class Chunk:
         self.ids = [ids[i] for i in self.order]
         column = texts.column("text")
         self.texts = [column[i].as_py() for i in self.order]
-        runs = []
-        for n, text in enumerate(self.texts):
-            found = runs_of(*kind.cut(text), kind)
-            runs.append((np.full(len(found.hash), n, np.int32), found.first, found.last, found.hash >> np.uint64(64 - KEY_BITS)))
-        empty = (np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64))
-        self.doc, self.first, self.last, self.key = (np.concatenate(c) for c in zip(*runs, empty))
+        self.cuts = [kind.cut(t) for t in self.texts]
+        self.doc, self.first, self.last, h = runs_of(self.cuts, kind)
+        self.key = h >> np.uint64(64 - KEY_BITS)
         self.keys, self.slot = np.unique(self.key, return_inverse=True)
 
     def number(self, n: int) -> int:
@@ -181,23 +212,27 @@ class Chunk:
         np.maximum.at(high, self.slot, ids[self.doc])
         return low < high
 
-    def strings(self, shared: np.ndarray) -> tuple[list[tuple[int, bytes]], list[list], list[int], np.ndarray]:
-        """Distinct (key, string) of the runs whose key is shared, in order; for each: smallest id, windows; runs' numbers."""
+    def strings(self, shared: np.ndarray) -> tuple[list[tuple[int, bytes]], list[list], np.ndarray, np.ndarray]:
+        """Distinct (key, string) of the runs whose key is shared, in order; for each: smallest id, windows; then the numbers
+        of these runs and the place of each one's string."""
         known: dict[tuple[int, bytes], list] = {}
         picked = np.nonzero(shared[self.slot])[0] if len(self.keys) else np.zeros(0, np.int64)
+        edges = np.searchsorted(self.doc[picked], np.arange(len(self.cuts) + 1))
         of_run = []
-        at, data, starts, ends = -1, b"", None, None
-        for r in picked.tolist():
-            if self.doc[r] != at:
-                at = int(self.doc[r])
-                data, starts, ends = self.kind.cut(self.texts[at])
-            entry = (int(self.key[r]), data[starts[self.first[r]] : ends[self.last[r] + self.kind.width - 1]])
-            of_run.append(entry)
-            if entry not in known:  # documents come by id, so the first is the smallest
-                known[entry] = [self.number(at), int(self.last[r] - self.first[r] + 1)]
+        for n, (data, starts, ends) in enumerate(self.cuts):
+            mine = picked[edges[n] : edges[n + 1]]
+            if not len(mine):
+                continue
+            first, last, own = self.first[mine], self.last[mine], self.number(n)
+            spans = zip(self.key[mine].tolist(), starts[first].tolist(), ends[last + self.kind.width - 1].tolist(), (last - first + 1).tolist())
+            for key, a, b, windows in spans:
+                entry = (key, data[a:b])
+                of_run.append(entry)
+                if entry not in known:  # documents come by id, so the first is the smallest
+                    known[entry] = [own, windows]
         order = sorted(known)
         place = {e: i for i, e in enumerate(order)}
-        return order, [known[e] for e in order], [place[e] for e in of_run], picked
+        return order, [known[e] for e in order], picked, np.fromiter(map(place.__getitem__, of_run), np.int64, len(of_run))
 
 
 def _masks(replies: pa.Table, column: str) -> np.ndarray:
@@ -223,6 +258,44 @@ def _batches(groups: dict, windows: dict, most: int = 200_000) -> Iterator[list]
         yield batch
 
 
+BUCKET = 20_000  # strings that are held as objects at a time, but for those of one key
+
+
+def _merge_bucket(parts: list[tuple], classes: Callable, kind: Kind) -> None:
+    """Append to each part's answers, for each window of its strings: does a smaller id than the part's have it?"""
+    least: dict[tuple[int, bytes], int] = {}
+    windows: dict[tuple[int, bytes], int] = {}
+    found = []
+    for keys, text, ends, own, count, out, s in parts:
+        entries = list(zip(keys[s].tolist(), (text[a:b] for a, b in zip(ends[s].tolist(), ends[s.start + 1 : s.stop + 1].tolist()))))
+        ids = own[s].tolist()
+        for e, a, n in zip(entries, ids, count[s].tolist()):
+            if a < least.get(e, LAST_ID + 1):
+                least[e] = a
+            windows[e] = n
+        found.append((entries, ids, out))
+    groups: dict[int, list[tuple[int, bytes]]] = {}
+    for e in least:
+        groups.setdefault(e[0], []).append(e)
+    # a string that is alone with its gram: each window's smallest id is the string's
+    best: dict[tuple[int, bytes], np.ndarray] = {}
+    for several in _batches(groups, windows):
+        numbers = classes([s for _, s in several], [windows[e] for e in several], kind)
+        ids = np.concatenate(numbers)
+        owner = np.repeat(np.array([least[e] for e in several], np.int64), [len(n) for n in numbers])
+        low = np.full(ids.max() + 1, LAST_ID)
+        np.minimum.at(low, ids, owner)
+        best.update(zip(several, np.split(low[ids], np.cumsum([len(n) for n in numbers])[:-1])))
+    for entries, ids, out in found:
+        lone = np.repeat(np.array([least[e] < a for e, a in zip(entries, ids)], bool), [windows[e] for e in entries])
+        at = 0
+        for e, a in zip(entries, ids):
+            if e in best:
+                lone[at : at + windows[e]] = best[e] < a
+            at += windows[e]
+        out.append(lone)
+
+
 Classes = Callable[[list[bytes], list[int], Kind], list[np.ndarray]]
 
 
@@ -258,7 +331,7 @@ def repeats(docs: DataFrame, kind: Kind, classes: Classes, finish: Callable, sch
     def send_strings(key: tuple, rows: pa.Table, replies: pa.Table) -> pa.Table:
         c = Chunk(rows, kind)
         shared = _masks(replies, "shared")
-        order, about, _, _ = c.strings(shared)
+        order, about, *_ = c.strings(shared)
         edges = _bucket_edges(np.array([k for k, _ in order], np.uint64), ranges)
         out: dict[str, list] = {n: [] for n in ("keys", "lengths", "text", "least", "windows")}
         for r in range(ranges):
@@ -274,60 +347,47 @@ def repeats(docs: DataFrame, kind: Kind, classes: Classes, finish: Callable, sch
 
     def merge_strings(key: tuple, rows: pa.Table) -> pa.Table:
         sent = []
-        least: dict[tuple[int, bytes], int] = {}
-        windows: dict[tuple[int, bytes], int] = {}
         for row in range(rows.num_rows):
             get = lambda n: rows.column(n)[row].as_py()
-            text, ends = unpack(get("text")), np.cumsum(unpack_ints(get("lengths"))).tolist()
-            entries = list(zip(unpack_ints(get("keys")).tolist(), (text[a:b] for a, b in zip([0, *ends], ends))))
-            own = unpack_ints(get("least")).tolist()
-            for e, a, n in zip(entries, own, unpack_ints(get("windows")).tolist()):
-                if a < least.get(e, LAST_ID + 1):
-                    least[e] = a
-                windows[e] = n
-            sent.append((entries, own))
-        groups: dict[int, list[tuple[int, bytes]]] = {}
-        for e in least:
-            groups.setdefault(e[0], []).append(e)
-        # strings that are alone with their gram: each window's smallest id is the string's
-        best: dict[tuple[int, bytes], np.ndarray] = {}
-        for several in _batches(groups, windows):
-            numbers = classes([s for _, s in several], [windows[e] for e in several], kind)
-            ids = np.concatenate(numbers)
-            owner = np.repeat(np.array([least[e] for e in several], np.int64), [len(n) for n in numbers])
-            low = np.full(ids.max() + 1, LAST_ID)
-            np.minimum.at(low, ids, owner)
-            best.update(zip(several, np.split(low[ids], np.cumsum([len(n) for n in numbers])[:-1])))
-        answers = []
-        for entries, own in sent:
-            bits = [best[e] < a if e in best else np.full(windows[e], least[e] < a) for e, a in zip(entries, own)]
-            answers.append(pack_bits(np.concatenate(bits or [np.zeros(0, bool)])))
+            ends = np.concatenate([[0], np.cumsum(unpack_ints(get("lengths")))])
+            sent.append((unpack_ints(get("keys")), get("text"), ends, unpack_ints(get("least")), unpack_ints(get("windows")), []))
+        # one bucket of neighbouring keys at a time
+        every = np.sort(np.concatenate([k for k, *_ in sent]))
+        limits = [*every[BUCKET::BUCKET].tolist(), 1 << KEY_BITS]
+        texts = [unpack(t) for _, t, *_ in sent]
+        low = 0
+        for high in limits:
+            _merge_bucket([(k, t, e, a, w, out, slice(*np.searchsorted(k, [low, high]))) for (k, _, e, a, w, out), t in zip(sent, texts)], classes, kind)
+            low = high
+        answers = [pack_bits(np.concatenate(out or [np.zeros(0, bool)])) for *_, out in sent]
         return _table({"chunk": (rows.column("chunk").to_pylist(), pa.int32()), "range": (rows.column("range").to_pylist(), pa.int32()),
                        "shared": (rows.column("shared").to_pylist(), pa.binary()), "repeat": (answers, pa.binary())})
 
     def mark(key: tuple, rows: pa.Table, replies: pa.Table) -> pa.Table:
         c = Chunk(rows, kind)
-        order, about, places, picked = c.strings(_masks(replies, "shared"))
+        order, about, picked, place = c.strings(_masks(replies, "shared"))
         repeat = _masks(replies, "repeat")
         offset = np.concatenate([[0], np.cumsum([n for _, n in about])]).astype(np.int64)
-        by_doc: dict[int, list[np.ndarray]] = {}
-        for r, place in zip(picked.tolist(), places):
-            n = int(c.doc[r])
-            if c.number(n) > about[place][0]:
-                by_doc.setdefault(n, []).append(np.arange(c.first[r], c.last[r] + 1))
-            elif (bits := repeat[offset[place] : offset[place + 1]]).any():
-                by_doc.setdefault(n, []).append(c.first[r] + np.nonzero(bits)[0])
+        base = np.concatenate([[0], np.cumsum([len(s) + 1 for _, s, _ in c.cuts])]).astype(np.int64)
+        ids = np.array([c.number(n) for n in range(len(c.ids))] or [0], np.int64)
+        doc = c.doc[picked]
+        step = np.zeros(base[-1] + 1, np.int32)
+        # a document that isn't its string's smallest in the chunk loses all its windows
+        later = ids[doc] > np.array([a for a, _ in about] or [0], np.int64)[place]
+        np.add.at(step, base[doc[later]] + c.first[picked[later]], 1)
+        np.add.at(step, base[doc[later]] + c.last[picked[later]] + kind.width, -1)
+        # the others those that the answers name
+        rest = np.nonzero(~later)[0]
+        n = (offset[place + 1] - offset[place])[rest]
+        within = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        bits = repeat[np.repeat(offset[place[rest]], n) + within]
+        at = (np.repeat(base[doc[rest]] + c.first[picked[rest]], n) + within)[bits]
+        np.add.at(step, at, 1)
+        np.add.at(step, at + kind.width, -1)
         out = []
-        for n, text in enumerate(c.texts):
-            data, starts, ends = kind.cut(text)
-            removed = np.zeros(len(starts), bool)
-            if n in by_doc:
-                step = np.zeros(len(starts) + 1, np.int32)
-                windows = np.concatenate(by_doc[n])
-                np.add.at(step, windows, 1)
-                np.add.at(step, windows + kind.width, -1)
-                removed = np.cumsum(step[:-1]) > 0
-            out.append(finish(c.ids[n], data, starts, ends, removed))
+        for i, (data, starts, ends) in enumerate(c.cuts):
+            removed = np.cumsum(step[base[i] : base[i] + len(starts)]) > 0
+            out.append(finish(c.ids[i], data, starts, ends, removed))
         return pa.Table.from_pylist(out, schema=arrow)
 
     from pyspark.sql.pandas.types import to_arrow_schema
