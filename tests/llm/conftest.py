@@ -1,6 +1,7 @@
 import os
 
 import pytest
+from llm_texts import prose
 from pyspark.sql import SparkSession
 
 
@@ -16,16 +17,6 @@ def spark():
     return session
 
 
-WORDS = "alpha bravo charlie delta echo foxtrot golf hotel india juliet kilo lima mike november oscar papa quebec romeo sierra tango".split()
-
-
-def prose(seed: int, n: int) -> str:
-    import random
-
-    r = random.Random(seed)
-    return " ".join(r.choice(WORDS) + str(r.randrange(400)) for _ in range(n))
-
-
 @pytest.fixture(scope="session")
 def corpus():
     """Rows (doc_id, text) with copies, near copies, shared passages, ties, nulls, odd characters and a very long text."""
