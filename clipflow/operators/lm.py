@@ -24,11 +24,11 @@ def count_of_counts(counts: DataFrame, most: int = 6) -> DataFrame:
 
 def _ratio(r: int) -> str:
     """Good-Turing discount of count r, or absolute discounting where that leaves (0, 1]."""
-    top = "(6D * n6 / n1)"
-    turing = f"(({r + 1}D * n{r + 1} / n{r}) / {r}D - {top}) / (1D - {top})"
-    absolute = f"({r}D - n1 / cast(n1 + 2 * n2 AS double)) / {r}D"
-    ok = f"n1 > 0 AND n{r} > 0 AND 1D - {top} <> 0 AND {turing} > 0 AND {turing} <= 1"
-    return f"struct({r} AS r, CASE WHEN {ok} THEN {turing} ELSE {absolute} END AS d, NOT ({ok}) AS guarded)"
+    top = "try_divide(6D * n6, n1)"
+    turing = f"try_divide(try_divide({r + 1}D * n{r + 1}, n{r}) / {r}D - {top}, 1D - {top})"
+    absolute = f"({r}D - try_divide(cast(n1 AS double), n1 + 2 * n2)) / {r}D"
+    ok = f"coalesce({turing} > 0 AND {turing} <= 1, FALSE)"
+    return f"struct({r} AS r, CASE WHEN {ok} THEN {turing} ELSE coalesce({absolute}, 1D) END AS d, NOT ({ok}) AS guarded)"
 
 
 def katz_discounts(counts: DataFrame, k: int = 5) -> DataFrame:
@@ -63,7 +63,11 @@ def katz_train(counts: DataFrame, order: int = 3, k: int = 5) -> DataFrame:
 
 
 def back_off_weights(model: DataFrame, order: int) -> DataFrame:
-    """ctx, bow of one order's contexts (order > 1)."""
+    """ctx, bow of one order's contexts (order > 1).
+
+    A context whose words take all of the lower order's mass has weight zero: what its discounts free is lost, so its
+    probabilities sum to less than one. All others sum to one.
+    """
     high, low = model.where(F.col("order") == order), model.where(F.col("order") == order - 1)
     low = low.select(F.col("ctx").alias("lctx"), F.col("w"), F.col("p").alias("lp"))
     if order > 2:  # a lower probability may itself be backed off; seen words of a longer context are seen in the shorter

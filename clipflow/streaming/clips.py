@@ -55,13 +55,10 @@ def incremental_collapse(frames: DataFrame, blank: str = "_") -> DataFrame:
     """A stream of frames (utt, t, sym) -> (utt, t, label): each frame that adds a label, as it arrives.
 
     State: a clip's last symbol. Frames of a batch are put in order; a frame that comes after later ones of an earlier
-    batch is dropped, as the state has moved on. Clips that rest for an hour are forgotten.
+    batch is dropped, as the state has moved on.
     """
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
         last, seen = state.get if state.exists else (blank, -1)
         rows = pd.concat(list(batches)).sort_values("t")
         out = []
@@ -72,10 +69,9 @@ def incremental_collapse(frames: DataFrame, blank: str = "_") -> DataFrame:
                 out.append((key[0], int(t), sym))
             last, seen = sym, int(t)
         state.update((last, seen))
-        state.setTimeoutDuration(3_600_000)
         yield pd.DataFrame(out, columns=["utt", "t", "label"])
 
-    return frames.groupBy("utt").applyInPandasWithState(step, "utt string, t int, label string", "last string, seen int", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return frames.groupBy("utt").applyInPandasWithState(step, "utt string, t int, label string", "last string, seen int", "append", GroupStateTimeout.NoTimeout)
 
 
 def running_openness(frames: DataFrame) -> DataFrame:
