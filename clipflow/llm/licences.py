@@ -47,7 +47,7 @@ def units(docs: DataFrame, low: int, high: int, id_col: str = "doc_id", text_col
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("t"))
     whole = "filter(array(t), x -> x RLIKE '\\\\n[ \\\\t]*\\\\n')"
-    paragraphs = "filter(split(t, '\\\\n[ \\\\t]*\\\\n'), x -> contains(trim(x), '\\n'))"
+    paragraphs = "filter(split(t, '\\\\n[ \\\\t]*\\\\n'), x -> contains(btrim(x, ' \n\t\r'), '\\n'))"
     kinds = f"concat(transform(split(t, '\\n'), x -> struct('line' AS kind, x AS body)), transform({paragraphs}, x -> struct('paragraph' AS kind, x AS body)), transform({whole}, x -> struct('text' AS kind, x AS body)))"
     cut = rows.select("doc_id", F.posexplode(F.expr(kinds)).alias("unit", "u")).select("doc_id", "unit", F.expr(f"split({_NORMAL.format('u.body')}, ' ')").alias("w"))
     return cut.where(F.expr("size(w) - 1").between(low, high))

@@ -45,7 +45,7 @@ def test_licences_match_brute_force(spark):
         if d is None:
             expected.append(("None", None, None, 0))
             continue
-        units = t.split("\n") + [p for p in re.split(r"\n[ \t]*\n", t) if "\n" in p.strip()] + [t] * bool(re.search(r"\n[ \t]*\n", t))
+        units = t.split("\n") + [p for p in re.split(r"\n[ \t]*\n", t) if "\n" in p.strip(" \n\t\r")] + [t] * bool(re.search(r"\n[ \t]*\n", t))
         hits = [(-slow_dice(u, x), n) for u in units for n, x in licences.TEMPLATES.items() if slow_dice(u, x) >= 0.8]
         n = len({i for i, u in enumerate(units) if any(slow_dice(u, x) >= 0.8 for x in licences.TEMPLATES.values())})
         expected.append((str(d), min(hits)[1] if hits else None, round(-min(hits)[0], 6) if hits else None, n))
@@ -65,7 +65,7 @@ def test_shards_round_trip_and_compaction(spark, tmp_path):
     assert store.versions() == [1, 2, 3] and sum(s.rows for s in before) == len(rows)
     store.compact(all_tiers=True)
     _, _, after = store.read_manifest()
-    assert len(after) < len(before) / 3 and max(s.level for s in after) >= 1
+    assert len(after) <= len(before) / 3 and max(s.level for s in after) >= 1
     assert all(s.size < 3 * 40_000 for s in after)
     assert sorted(map(str, (tuple(r) for r in store.read().collect()))) == sorted(map(str, rows))
     files = [p for p in (tmp_path / "s/data").rglob("*.parquet")]
@@ -234,7 +234,7 @@ def test_url_filter_stays_in_the_engine(spark):
 def test_pipeline_stages(spark, tmp_path):
     import corpus_pipeline
 
-    passage = prose(3, 30)
+    passage = prose(777, 30)
     rows = [(i, prose(i, 60), "en", "s", 1) for i in range(40)]
     rows += [(50, rows[4][1] + " ", "en", "s", 1), (51, rows[4][1].replace(" ", "  "), "en", "s", 1), (52, prose(9, 9) + " " + passage, "en", "s", 1), (53, None, None, None, None), (54, rows[6][1] + " extra", "fr", "t", 2)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
