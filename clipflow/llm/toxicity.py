@@ -28,6 +28,7 @@ _SENTENCES = bytes(
 HEADS = (4, 5, 6)
 MAX_TOXIC, MAX_CLEAN = 2500, 5000
 THRESHOLD = 0.7
+MEMO = 300_000  # words whose weights a worker remembers
 
 
 def sentences(text: bytes) -> list[list[bytes]]:
@@ -47,7 +48,7 @@ class Model:
 
     def word(self, word: bytes) -> float:
         if (known := self.memo.get(word)) is None:
-            if len(self.memo) > 2_000_000:
+            if len(self.memo) >= MEMO:
                 self.memo.clear()
             known = self.memo[word] = sum(self.weights.get(f, 0.0) for f in features(word))
         return known
@@ -81,13 +82,14 @@ def fit(rows: Iterator[tuple[bytes, int]], epochs: int = 60, rate: float = 0.5,
         share = min(max(np.mean(labels), 1e-6), 1 - 1e-6) if labels else 1e-6
         return Model(float(np.log(share / (1 - share))), {})
     names: dict[bytes, int] = {}
-    of_type = [[names.setdefault(f, len(names)) for f in features(w)] for w in types]
+    often = np.bincount(np.concatenate(seen_in), minlength=len(types)) >= min_docs  # rarer words are no feature themselves
+    of_type = [[names.setdefault(f, len(names)) for f in features(w)[0 if o else 1 :]] for w, o in zip(types, often)]
     feature = np.concatenate([np.array(x, np.int32) for x in of_type])
     owner = np.repeat(np.arange(len(of_type), dtype=np.int32), [len(x) for x in of_type])
     documents = np.bincount(feature, weights=np.bincount(np.concatenate(seen_in), minlength=len(types))[owner], minlength=len(names))
     usable = documents >= min_docs
     keep = usable[feature]
-    feature, owner = feature[keep], owner[keep]
+    feature, owner, of_type = feature[keep], owner[keep], None
 
     token, lengths, bags, y = np.concatenate(tokens), np.array(lengths), np.array(bags), np.array(labels, float)
     sentence_of = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)
