@@ -29,7 +29,7 @@ class WordTokenizer:
     """
 
     PLAIN = re.compile("([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?]*)")
-    KEEP = 3_000_000
+    KEEP = 800_000
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
