@@ -1,6 +1,6 @@
 """SimHash fingerprints and all their pairs within a Hamming radius, through vantage-point trees.
 
-The bits are cut into bands of 16. Two fingerprints within the radius differ by at most radius // bands in one band,
+The bits are cut into bands of 16. Two fingerprints within the radius are within a band's bound in one band (``shares``),
 so each band's values, a metric space of their own, get a vantage-point tree: a node parts its values at the median of
 their distances to a vantage value, and a search leaves out the side that the triangle bound excludes. The upper
 levels are the shards: a fingerprint is stored in the one where it falls and asks all that its search would enter.
@@ -133,20 +133,54 @@ def _union(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             parent[:] = parent[parent]
 
 
-def _search(fp: np.ndarray, band: np.ndarray, stored: np.ndarray, asking: np.ndarray, radius: int, slack: int, parent: np.ndarray) -> None:
-    """Union all pairs (stored, asking) within ``radius`` bits whose bands are within ``slack``."""
-    work = [(stored, asking, 1)]
+def shares(radius: int, parts: int) -> list[int]:
+    """Bounds for parts of a fingerprint: two within ``radius`` bits are within its bound in one part at least.
+
+    Each bound plus one sums to radius + 1, so that exceeding all of them exceeds the radius; -1 asks nothing of a part.
+    """
+    each, more = divmod(radius + 1, parts)
+    return [each + (i < more) - 1 for i in range(parts)]
+
+
+def _by_value(values: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Distinct values, and for each where its rows begin and how many they are; rows in that order."""
+    order = np.argsort(values[rows], kind="stable")
+    distinct, first, count = np.unique(values[rows][order], return_index=True, return_counts=True)
+    return distinct, first, count, rows[order]
+
+
+def _compare(fp: list[np.ndarray], word: np.ndarray, q: np.ndarray, s: np.ndarray, radius: int, bound: int, parent: np.ndarray) -> None:
+    """Union the pairs (q[i], s[i]) within ``radius`` bits whose ``word`` is within ``bound``."""
+    close = np.nonzero(np.bitwise_count(word[q] ^ word[s]) <= bound)[0]
+    a, b = q[close], s[close]
+    apart = parent[a] != parent[b]
+    a, b = a[apart], b[apart]
+    if len(a):
+        near = sum(np.bitwise_count(c[a] ^ c[b]).astype(np.int64) for c in fp) <= radius
+        _union(parent, a[near], b[near])
+
+
+def _search(fp: list[np.ndarray], word: np.ndarray, band: np.ndarray, stored: np.ndarray, asking: np.ndarray, radius: int, bound: int, slack: int, parent: np.ndarray) -> None:
+    """Union all pairs (stored, asking) within ``radius`` bits whose words are within ``bound`` and bands within ``slack``.
+
+    The tree is over distinct values, at most 65,536 however many rows have them; rows are only paired for close values.
+    """
+    if not len(stored) or not len(asking):
+        return
+    s_value, s_first, s_count, s_row = _by_value(band, stored)
+    q_value, q_first, q_count, q_row = _by_value(band, asking)
+    work = [(np.arange(len(s_value)), np.arange(len(q_value)), 1)]
     while work:
         s, q, seed = work.pop()
         if not len(s) or not len(q):
             continue
-        values = band[s]
-        if len(s) > 48 and (values != values[0]).any():
+        values = s_value[s]
+        if len(s) > 48:
             vantage = _vantage(seed, values)
-            d = np.bitwise_count(values ^ vantage).astype(np.int64)
+            d = np.bitwise_count(values ^ vantage).astype(np.int8)
             cut = int(np.median(d))
             cut -= int(cut == d.max())
-            e = np.bitwise_count(band[q] ^ vantage).astype(np.int64)
+            e = np.bitwise_count(q_value[q] ^ vantage).astype(np.int8)
             seed = 2 * seed % 1_000_003
             work.append((s[d <= cut], q[e <= cut + slack], seed))
             work.append((s[d > cut], q[e > cut - slack], seed + 1))
@@ -154,38 +188,44 @@ def _search(fp: np.ndarray, band: np.ndarray, stored: np.ndarray, asking: np.nda
         step = max(1, (1 << 20) // len(s))
         for i in range(0, len(q), step):
             part = q[i : i + step]
-            x, y = np.nonzero(np.bitwise_count(band[part][:, None] ^ values[None, :]) <= slack)
-            a, b = part[x], s[y]
-            apart = parent[a] != parent[b]
-            a, b = a[apart], b[apart]
-            if len(a):
-                near = sum(np.bitwise_count(c[a] ^ c[b]).astype(np.int64) for c in fp) <= radius
-                _union(parent, a[near], b[near])
-
-
-def linked(prints: DataFrame, radius: int = 4, words: int = 1, slack: int | None = None) -> DataFrame:
+            x, y = np.nonzero(np.bitwise_count(q_value[part][:, None] ^ values[None, :]) <= slack)
+            x, y = part[x], s[y]
+            ends = np.cumsum(q_count[x] * s_count[y])
+            for j in range(0, int(ends[-1]) if len(ends) else 0, 1 << 20):
+                # the pairs of rows numbered j and on, 1 << 20 at most, whether of many values or of one that many rows share
+                k = min(j + (1 << 20), int(ends[-1]))
+                lo, hi = np.searchsorted(ends, j, "right"), np.searchsorted(ends, k, "left") + 1
+                till = np.minimum(ends[lo:hi], k)
+                at = np.repeat(np.arange(lo, hi), np.diff(till, prepend=j))
+                r = np.arange(j, k) - (ends[at] - q_count[x[at]] * s_count[y[at]])
+                over, rest = np.divmod(r, s_count[y[at]])
+                _compare(fp, word, q_row[q_first[x[at]] + over], s_row[s_first[y[at]] + rest], radius, bound, parent)
+
+
+def linked(prints: DataFrame, radius: int = 4, words: int = 1) -> DataFrame:
     """Distinct fingerprints (node, w0, ...) -> links (a, b) between nodes.
 
-    With the usual slack, radius // bands, they join exactly the pairs within ``radius`` bits, directly or in steps. A
-    smaller one finds the pairs that come within it in some band. A shard returns a star for each set that it has
-    joined, not all pairs; every pair meets in the shard where one of it is stored, so the stars join what pairs would.
+    They join exactly the pairs within ``radius`` bits, directly or in steps: ``shares`` bounds the words, and in each
+    word the bands. A shard returns a star for each set that it has joined, not all pairs; every pair meets in the shard
+    where one of it is stored, so the stars join what pairs would.
     """
     ship(prints.sparkSession)
     names, bands = _names(words), 64 * words // BAND_BITS
-    slack = radius // bands if slack is None else slack
     rows = prints.count()
     depth = min(12, max(2, math.ceil(math.log2(rows / SHARD_ROWS)) if rows else 2))
     per_word, mask = 64 // BAND_BITS, np.uint64((1 << BAND_BITS) - 1)
+    bounds = shares(radius, words)
+    slacks = [s for bound in bounds for s in shares(bound, per_word)]
 
     def band_of(columns: list[np.ndarray], b: int) -> np.ndarray:
         return (columns[b // per_word] >> np.uint64(BAND_BITS * (b % per_word))) & mask
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tree = band_tree(BAND_BITS, depth, slack)
         for batch in batches:
             signed = [c.to_numpy() for c in batch.columns]
             columns = [c.view(np.uint64) for c in signed[1:]]
-            for b in range(bands):
+            for b in (b for b in range(bands) if slacks[b] >= 0):
+                tree = band_tree(BAND_BITS, depth, slacks[b])
                 value = band_of(columns, b).astype(np.int64)
                 n = tree.first[value + 1] - tree.first[value]
                 who = np.repeat(np.arange(len(value)), n)
@@ -199,10 +239,11 @@ def linked(prints: DataFrame, radius: int = 4, words: int = 1, slack: int | None
 
     def search(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         columns = [rows[n].to_numpy().view(np.uint64) for n in names]
-        band = band_of(columns, int(key[0]) >> depth).astype(np.uint16)
+        b = int(key[0]) >> depth
+        band = band_of(columns, b).astype(np.uint16)
         stored, everyone = np.nonzero(rows["stored"].to_numpy())[0], np.arange(len(rows))
         parent = everyone.copy()
-        _search(columns, band, stored, everyone, radius, slack, parent)
+        _search(columns, columns[b // per_word], band, stored, everyone, radius, bounds[b // per_word], slacks[b], parent)
         moved = np.nonzero(parent != everyone)[0]
         node = rows["node"].to_numpy()
         return pd.DataFrame({"a": node[moved], "b": node[parent[moved]]})
@@ -212,11 +253,11 @@ def linked(prints: DataFrame, radius: int = 4, words: int = 1, slack: int | None
     return dealt.groupBy("shard").applyInPandas(search, "a long, b long")
 
 
-def _classed(marked: DataFrame, radius: int, words: int, slack: int | None) -> DataFrame:
+def _classed(marked: DataFrame, radius: int, words: int) -> DataFrame:
     """Fingerprints by row -> the same with component_id. What is shared by many rows is summed first."""
     names = _names(words)
     prints = materialise(marked.groupBy(*names).agg(F.min("doc_id").alias("least")).withColumn("node", F.coalesce("least", F.xxhash64(*names))), "prints")
-    classes = components(linked(prints, radius, words, slack))
+    classes = components(linked(prints, radius, words))
     named = prints.join(classes.hint("merge"), "node", "left").withColumn("root", F.coalesce("root", "node"))
     best = named.groupBy("root").agg(F.min("least").alias("component_id"))
     of_print = named.join(best.hint("merge"), "root").select(*names, "component_id")
@@ -231,18 +272,17 @@ def near_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_col: str =
     table gives no rows. Other columns are not read.
     """
     marked = materialise(fingerprints(docs, width, 1, id_col, text_col), "fingerprints")
-    return _classed(marked, radius, 1, None).select("doc_id", F.lpad(F.lower(F.hex("w0")), 16, "0").alias("fingerprint"), "component_id")
+    return _classed(marked, radius, 1).select("doc_id", F.lpad(F.lower(F.hex("w0")), 16, "0").alias("fingerprint"), "component_id")
 
 
 def keep_one(docs: DataFrame, width: int = 5, similarity: float = 0.8, words: int = 4) -> DataFrame:
     """The rows of ``docs`` that stay: of each group of near copies, that with the smallest id; all columns are kept.
 
     Two rows are near copies if their fingerprints agree in at least ``similarity`` of the bits. 256 bits tell that from
-    chance without a false link; pairs are sought one bit around each of 16 bands, which a pair at the threshold misses
-    about once in two hundred times. Wordless rows are no copies of each other and all stay, as do rows without an id.
+    chance without a false link, and every such pair is found. Wordless rows are no copies of each other and all stay, as do rows without an id.
     """
     radius = int(64 * words * (1 - similarity))
     marked = materialise(fingerprints(docs, width, words), "fingerprints")
     zero = " AND ".join(f"{n} = 0" for n in _names(words))
-    gone = _classed(marked.where(f"NOT ({zero})"), radius, words, 1).where("doc_id <> component_id").select(F.col("doc_id").alias("_near_id")).distinct()
+    gone = _classed(marked.where(f"NOT ({zero})"), radius, words).where("doc_id <> component_id").select(F.col("doc_id").alias("_near_id")).distinct()
     return docs.join(gone.hint("merge"), docs["doc_id"] == gone["_near_id"], "left_anti")

@@ -118,6 +118,31 @@ def test_near_stage_keeps_one_of_each_group(spark, corpus):
     assert sorted(str(r.doc_id) for r in kept.collect()) == ["1", "3", "4", "5", "None"]
 
 
+def test_near_stage_finds_every_pair_up_to_its_radius(spark, monkeypatch):
+    """Of pairs at 44 to 51 differing bits of 256, spread evenly over the bands, one stays; at 52 both do."""
+    rng = np.random.default_rng(8)
+    distances = [*range(44, 53)] * 40
+    a = rng.integers(0, 2, (len(distances), 256), dtype=np.uint8)
+    b = a.copy()
+    for row, n in zip(b, distances):
+        spread = np.concatenate([16 * np.arange(16) + p for p in rng.permuted(np.tile(np.arange(16), (16, 1)), axis=1).T[:4]])  # at most four in a band
+        row[spread[:n]] ^= 1
+    bits = np.concatenate([a, b])
+    prints = np.packbits(bits, axis=1, bitorder="little").view(np.int64)
+    df = spark.createDataFrame([(i, *map(int, p)) for i, p in enumerate(prints)], "doc_id long, w0 long, w1 long, w2 long, w3 long")
+    monkeypatch.setattr(simhash, "fingerprints", lambda *_: df)
+    kept = {r.doc_id for r in simhash.keep_one(df.select("doc_id")).collect()}
+    n = len(distances)
+    assert kept == {*range(n), *(n + i for i, d in enumerate(distances) if d > 51)}
+    far = (bits[:, None, :] != bits[None, :, :]).sum(axis=2)
+    assert sorted(zip(*(x.tolist() for x in np.nonzero(np.triu(far <= 51, 1))))) == [(i, n + i) for i, d in enumerate(distances) if d <= 51]
+
+
+def test_shares_bound_some_part():
+    for radius, parts in ((51, 16), (51, 4), (12, 4), (4, 4), (2, 4), (0, 4)):
+        assert sum(s + 1 for s in simhash.shares(radius, parts)) == radius + 1
+
+
 def slow_spans(tokens, width):
     """tokens: (id, tuple or bytes) by id -> removed flags."""
     first = {}
