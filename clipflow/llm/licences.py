@@ -1,6 +1,7 @@
 """Licence scan: units of text compared to licence templates by Dice's coefficient over word bigrams.
 
-A unit is a line, a paragraph of several lines, or a whole text of several paragraphs. Normalised text has A-Z lowered
+A unit is a line, a paragraph of several lines, or a whole text of several paragraphs; for a licence that none of a
+document's units has, also any run of several lines, so that licences inside longer texts are found. Normalised text has A-Z lowered
 and every run of other characters than a-z and 0-9 as one space. A coefficient of t asks for sizes that differ by a
 factor of (2 - t) / t at most, so units are dropped by size for all templates, and pairs for each, before any bigram is
 compared. DataFrame functions only; the bigrams that meet no template's are gone before the first shuffle.
@@ -8,9 +9,13 @@ compared. DataFrame functions only; the bigrams that meet no template's are gone
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import math
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from clipflow.llm.common import materialise
+
 THRESHOLD = 0.8
 
 #: Public licence texts and the notices by which works refer to them.
@@ -46,26 +51,64 @@ def units(docs: DataFrame, low: int, high: int, id_col: str = "doc_id", text_col
     """doc_id, unit (number within its kind, after its kind), w (words): units of ``low`` to ``high`` bigrams."""
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("t"))
-    whole = "filter(array(t), x -> x RLIKE '\\\\n[ \\\\t]*\\\\n')"
-    paragraphs = "filter(split(t, '\\\\n[ \\\\t]*\\\\n'), x -> contains(btrim(x, ' \n\t\r'), '\\n'))"
+    whole = "filter(array(t), x -> x RLIKE '\\\\n[ \\\\t\\\\r]*\\\\n')"
+    paragraphs = "filter(split(t, '\\\\n[ \\\\t\\\\r]*\\\\n'), x -> contains(btrim(x, ' \n\t\r'), '\\n'))"
     kinds = f"concat(transform(split(t, '\\n'), x -> struct('line' AS kind, x AS body)), transform({paragraphs}, x -> struct('paragraph' AS kind, x AS body)), transform({whole}, x -> struct('text' AS kind, x AS body)))"
     cut = rows.select("doc_id", F.posexplode(F.expr(kinds)).alias("unit", "u")).select("doc_id", "unit", F.expr(f"split({_NORMAL.format('u.body')}, ' ')").alias("w"))
     return cut.where(F.expr("size(w) - 1").between(low, high))
 
 
+def _literal(grams: set[str]) -> str:
+    return "array(" + ", ".join(f"'{g}'" for g in sorted(grams)) + ")"
+
+
+def _may_hold(words: str, templates: dict[str, str], threshold: float) -> str:
+    """A condition that holds for all words with a unit that reaches the threshold: enough distinct bigrams of a template.
+
+    Dice of t asks for t / (2 - t) of a template's bigrams; repeats of one count as if all were there.
+    """
+    asked, every = ["false"], set()
+    for text in templates.values():
+        w = _words(text)
+        grams = {f"{a} {b}" for a, b in zip(w, w[1:])}
+        if grams:
+            need = max(1, math.ceil((len(w) - 1) * threshold / (2 - threshold) - (len(w) - 1 - len(grams)) - 1e-9))
+            asked.append(f"size(array_intersect(h, {_literal(grams)})) >= {need}")
+            every |= grams
+    return f"size({words}) > 1 AND exists(array(array_intersect({_BIGRAMS.format(words)}, {_literal(every)})), h -> {' OR '.join(asked)})"
+
+
+def runs(docs: DataFrame, low: int, high: int, templates: dict[str, str], threshold: float, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, unit (below 0), w: runs of two or more lines with words, of ``low`` to ``high`` bigrams, that may match."""
+    lines = f"filter(transform(split({text_col}, '\\n'), x -> split({_NORMAL.format('x')}, ' ')), x -> x[0] <> '')"
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.expr(lines).alias("l")).where("size(l) > 1")
+    starts = rows.select("doc_id", "l", F.explode(F.expr("sequence(1, size(l) - 1)")).alias("i")).select("doc_id", "i", F.expr(f"slice(l, i, {high + 1})").alias("l"))
+    starts = starts.withColumn("v", F.expr(f"slice(flatten(l), 1, {high + 1})")).where(_may_hold("v", templates, threshold))
+    cut = starts.select("doc_id", "i", "l", F.explode(F.expr("sequence(2, size(l))")).alias("j"))
+    cut = cut.where(F.expr("aggregate(slice(l, 1, j), -1, (a, x) -> a + size(x))").between(low, high))
+    return cut.select("doc_id", F.expr(f"-(i * {high + 2} + j)").alias("unit"), F.expr("flatten(slice(l, 1, j))").alias("w"))
+
+
 def matches(docs: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, unit, licence, dice: all pairs of a unit and a template that reach the threshold."""
     spark = docs.sparkSession
     known = template_bigrams(spark, templates)
     ratio = (2 - threshold) / threshold
     sizes = [len(_words(t)) - 1 for t in templates.values()]
-    cut = units(docs, max(1, int(min(sizes) / ratio)), int(max(sizes) * ratio) + 1, id_col, text_col)
+    low, high = max(1, int(min(sizes) / ratio)), int(max(sizes) * ratio) + 1
+    split = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("t")).withColumn("_words", F.expr(f"split({_NORMAL.format('t')}, ' ')"))
+    some = materialise(split.where(_may_hold("_words", templates, threshold)).select("doc_id", "t"), "licence-candidates")
+    cut = units(some, low, high, "doc_id", "t").unionByName(runs(some, low, high, templates, threshold, "doc_id", "t"))
     grams = cut.select("doc_id", "unit", F.expr("size(w) - 1").alias("n"), F.explode(F.expr(_BIGRAMS.format("w"))).alias("bigram"))
     near = (F.col("n") <= F.col("m") * ratio + 1e-9) & (F.col("m") <= F.col("n") * ratio + 1e-9)
     met = grams.join(F.broadcast(known), "bigram").where(near)  # the templates' bigrams: fixed by this module or the caller's table
     shared = met.groupBy("doc_id", "unit", "n", "licence", "m", "bigram", "c").agg(F.count(F.lit(1)).alias("k"))
     dice = shared.groupBy("doc_id", "unit", "n", "licence", "m").agg(F.sum(F.least("k", "c")).alias("s"))
-    return dice.select("doc_id", "unit", "licence", (2 * F.col("s") / (F.col("n") + F.col("m"))).alias("dice")).where(F.col("dice") >= threshold)
+    reach = dice.select("doc_id", "unit", "licence", (2 * F.col("s") / (F.col("n") + F.col("m"))).alias("dice")).where(F.col("dice") >= threshold)
+    # a run counts where no unit has its licence, and of a document's runs the best; of equals the first
+    of = Window.partitionBy("doc_id", "licence")
+    reach = reach.withColumn("_units", F.max("unit").over(of)).withColumn("_best", F.row_number().over(of.orderBy(F.desc("dice"), F.desc("unit"))))
+    return reach.where("unit >= 0 OR (_units < 0 AND _best = 1)").drop("_units", "_best")
 
 
 def _words(text: str) -> list[str]:

@@ -53,6 +53,22 @@ def test_licences_match_brute_force(spark):
     assert licences.scan(frame(spark, [])).count() == 0
 
 
+def test_licences_inside_longer_documents(spark):
+    """Licences of several paragraphs or wrapped lines between other text, with either line end, and one beside a notice."""
+    mit = licences.TEMPLATES["MIT"].replace(" The above", "\n\nThe above").replace(" THE SOFTWARE IS", "\n\nTHE SOFTWARE IS")
+    gpl = licences.TEMPLATES["GPL-3.0-header"].replace(" This program is distributed", "\n\nThis program is distributed")
+    apache = licences.TEMPLATES["Apache-2.0-header"].replace(" Unless", "\n \t\nUnless").replace(", ", ",\n")
+    code = "\n".join(prose(s, 9) for s in range(40))
+    want, rows = {}, []
+    for i, (name, text) in enumerate([("MIT", mit), ("GPL-3.0-header", gpl), ("Apache-2.0-header", apache)]):
+        for k, whole in enumerate([text, f"{code}\n\n{text}\n\n{code}", f"{code}\n{text}\n{code}", f"{code}\n\n{text}\n\n{code}".replace("\n", "\r\n")]):
+            rows.append((10 * i + k, whole))
+            want[10 * i + k] = name
+    rows += [(90, code), (91, f"All rights reserved.\n\n{code}\n\n{mit}\n\n{code}")]
+    assert {r.doc_id: r.licence for r in licences.scan(frame(spark, rows)).collect()} == want | {90: None, 91: "All-rights-reserved"}
+    assert {r.licence for r in licences.matches(frame(spark, rows[-1:])).collect()} == {"All-rights-reserved", "MIT"}
+
+
 # ---- shards
 
 
