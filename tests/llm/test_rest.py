@@ -69,6 +69,20 @@ def test_licences_inside_longer_documents(spark):
     assert {r.licence for r in licences.matches(frame(spark, rows[-1:])).collect()} == {"All-rights-reserved", "MIT"}
 
 
+def test_whole_licence_texts_alone_and_embedded(spark):
+    code = "\n".join(prose(s, 9) for s in range(30))
+    for name, parts in (("BSD-2-Clause", ("Redistributions of", "Redistributions in", "THIS SOFTWARE IS")), ("Unlicense", ("Anyone is free", "In jurisdictions", "THE SOFTWARE IS", "For more information"))):
+        text = licences.TEMPLATES[name]
+        for part in parts:
+            assert " " + part in text
+            text = text.replace(" " + part, "\n\n" + part)
+        title = f"Copyright (c) 2001, A. Nobody\n\n{text}"
+        got = licences.scan(frame(spark, [(1, text), (2, " ".join(text.split())), (3, f"{code}\n\n{title}\n\n{code}")]))
+        found = licences.matches(frame(spark, [(3, f"{code}\n\n{title}\n\n{code}")]))
+        assert [r.licence for r in got.where("doc_id < 3").collect()] == [name, name]
+        assert name in {r.licence for r in found.collect()}
+
+
 # ---- shards
 
 
