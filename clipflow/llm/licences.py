@@ -77,7 +77,9 @@ def _may_hold(words: str, templates: dict[str, str], threshold: float) -> str:
             need = max(1, math.ceil((len(w) - 1) * threshold / (2 - threshold) - (len(w) - 1 - len(grams)) - 1e-9))
             asked.append(f"size(array_intersect(h, {_literal(grams)})) >= {need}")
             every |= grams
-    return f"size({words}) > 1 AND exists(array(array_intersect({_BIGRAMS.format(words)}, {_literal(every)})), h -> {' OR '.join(asked)})"
+    hits = f"array_intersect({_BIGRAMS.format('z')}, {_literal(every)})"
+    # the words are bound once: written out in the bigrams' function they would be split anew for each
+    return f"exists(array({words}), z -> size(z) > 1 AND exists(array({hits}), h -> {' OR '.join(asked)}))"
 
 
 def runs(docs: DataFrame, low: int, high: int, templates: dict[str, str], threshold: float, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
