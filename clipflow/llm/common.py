@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import json
 import os
 import tempfile
 import uuid
@@ -28,17 +30,37 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; one of our own only where the session names none."""
+    """The folder all executors share. Only a session in one machine may go without a named one."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.split("[")[0] == "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     own = os.path.join(tempfile.gettempdir(), "checkpoints")
     os.makedirs(own, exist_ok=True)
     return f"file://{own}"
 
 
+_made: list[tuple[SparkSession, str]] = []
+
+
+def _forget() -> None:
+    """Delete what this process has left in the shared folder, while its session is alive."""
+    for spark, path in _made:
+        try:
+            if spark.sparkContext._jsc is not None:
+                remove(spark, path)
+        except Exception:  # the session went first, or the folder
+            return
+
+
 def scratch(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    """A new folder's path; it is deleted when the driver's process ends, as results may read it until then."""
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    if not _made:
+        atexit.register(_forget)
+    _made.append((spark, path))
+    return path
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -49,25 +71,75 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
 
 
 def remove(spark: SparkSession, path: str) -> None:
-    """Delete a scratch folder of ours through Hadoop's file system."""
+    """Delete a folder of ours through Hadoop's file system."""
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+class CommitConflict(RuntimeError):
+    """Another writer has committed the version that this one meant to."""
+
+
+class Manifest:
+    """Numbered JSON states in a folder. A state is committed by one rename, which fails if its number is taken."""
+
+    def __init__(self, spark: SparkSession, root: str):
+        self.folder = f"{root.rstrip('/')}/manifest"
+        self._jvm, self._conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+
+    def _path(self, name: str = ""):
+        return self._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}" if name else self.folder)
+
+    def _fs(self):
+        return self._path().getFileSystem(self._conf)
+
+    def versions(self) -> list[int]:
+        if not self._fs().exists(self._path()):
+            return []
+        names = (s.getPath().getName() for s in self._fs().listStatus(self._path()))
+        return sorted(int(n[1:-5]) for n in names if n.startswith("v") and n.endswith(".json"))
+
+    def read(self, version: int | None = None) -> tuple[int, dict | None]:
+        """(version, state); version 0 is the state of nothing."""
+        known = self.versions()
+        version = (known[-1] if known else 0) if version is None else version
+        if not version:
+            return 0, None
+        stream = self._fs().open(self._path(f"v{version:08d}.json"))
+        try:
+            return version, json.loads(self._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8"))
+        finally:
+            stream.close()
+
+    def commit(self, base: int, state: dict) -> int:
+        """Make ``state`` version base + 1, or raise CommitConflict if that version exists."""
+        version = base + 1
+        final, temporary = self._path(f"v{version:08d}.json"), self._path(f".{uuid.uuid4().hex}")
+        stream = self._fs().create(temporary, False)
+        stream.write(bytearray(json.dumps(state).encode()))
+        stream.close()
+        rename = self._jvm.org.apache.hadoop.fs.Options.Rename
+        options = self._jvm.java.lang.reflect.Array.newInstance(rename.NONE.getClass(), 1)
+        options[0] = rename.NONE
+        try:
+            self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(final.toUri(), self._conf).rename(temporary, final, options)
+        except Exception as error:
+            self._fs().delete(temporary, False)
+            if self._fs().exists(final):
+                raise CommitConflict(f"version {version} exists") from error
+            raise
+        return version
+
+    def forget(self, version: int) -> None:
+        self._fs().delete(self._path(f"v{version:08d}.json"), False)
+
+
 def utf8(column: str) -> Column:
     """Text as bytes, null as empty: Python workers then neither decode nor encode."""
     return F.coalesce(F.col(column).cast("binary"), F.lit(b""))
 
 
-def stored_bytes(df: DataFrame, text_col: str) -> int:
-    """About how many bytes a table has in files. Catalyst knows of file scans; else the texts' lengths are summed."""
-    known = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    if known < 1 << 60:
-        return known
-    return int(df.agg(F.sum(F.octet_length(text_col))).first()[0] or 0)
-
-
 def lower_ascii(data: bytes) -> bytes:
     return data.translate(_LOWER)
 

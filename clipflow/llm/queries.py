@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,8 +41,19 @@ def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def arrivals(docs: DataFrame) -> list[DataFrame]:
+    """The table as two batches, all of the first's ids being smaller; null ids are in the second."""
+    middle = docs.approxQuantile("doc_id", [0.5], 0.05)
+    if not middle:
+        return [docs]
+    first = F.col("doc_id") <= int(middle[0])
+    return [docs.where(first), docs.where(~F.coalesce(first, F.lit(False)))]
+
+
 def op5_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return substring.dedup_words(table(spark, sf_dir, "documents"), with_kept=False)
+    index = substring.WindowIndex(spark, scratch(spark, "window-index"))
+    done = [index.add(batch, with_kept=False) for batch in arrivals(table(spark, sf_dir, "documents"))]
+    return reduce(DataFrame.unionByName, done)
 
 
 def op6_suffix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,9 +1,11 @@
 """Suffix-array deduplication by bytes, block by block, with a difference cover.
 
-The suffixes that may repeat (see ``spans``) are sorted one bucket at a time, a bucket being those with some smallest grams
-near their start. A bucket's suffixes are sorted by their first ``PERIOD`` bytes. Longer ties are resolved by ranks that
-were computed before for the suffixes at cover positions only: for any two positions there is a shift below the period
-that takes both to the cover, where one comparison of ranks decides the rest. Neighbours in the order that share the length asked for are repeats.
+Of the suffixes that may repeat (see ``spans``: a whole suffix array would move eight bytes and more for each byte), those
+that their strings' hashes don't settle are sorted one bucket at a time, a bucket being those with some smallest grams
+near their start. Suffixes whose ends no other of the bucket has are left out first. The rest is sorted by the first
+``PERIOD`` bytes. Longer ties are resolved by ranks that were computed before for the suffixes at cover positions only: for
+any two positions there is a shift below the period that takes both to the cover, where one comparison of ranks decides
+the rest. Neighbours in the order that share the length asked for are repeats.
 """
 
 from __future__ import annotations
@@ -13,7 +15,8 @@ import hashlib
 import numpy as np
 from pyspark.sql import DataFrame
 
-from clipflow.llm.spans import Kind, byte_tokens, repeats
+from clipflow.llm.common import mix64
+from clipflow.llm.spans import Kind, byte_tokens, one_batch
 
 LENGTH, PERIOD = 50, 32  # the period is a multiple of 8
 
@@ -45,10 +48,12 @@ def _words(text: np.ndarray, at: np.ndarray) -> np.ndarray:
 
 def _rank(keys: list[np.ndarray]) -> np.ndarray:
     """Dense ranks of rows of keys, the first key leading."""
-    rank = np.unique(keys[0], return_inverse=True)[1]
-    for k in keys[1:]:
-        step = np.unique(k, return_inverse=True)[1]
-        rank = np.unique(rank.astype(np.int64) * (int(step.max(initial=0)) + 1) + step, return_inverse=True)[1]
+    order = np.lexsort(keys[::-1])
+    new = np.zeros(len(order), bool)
+    for k in keys:
+        new[1:] |= k[order[1:]] != k[order[:-1]]
+    rank = np.empty(len(order), np.int64)
+    rank[order] = np.cumsum(new)
     return rank
 
 
@@ -105,15 +110,31 @@ def prefix_classes(text: bytes, ordered: np.ndarray, length: int) -> np.ndarray:
     return np.cumsum(new)
 
 
+def _alone(text: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
+    """Which suffixes differ from all others in their first or last eight bytes of ``width``: no other repeats them."""
+    if width < 16:
+        return np.zeros(len(at), bool)
+    ends = mix64(_words(text, at) * np.uint64(0x9E3779B97F4A7C15) + _words(text, at + width - 8))
+    order = np.argsort(ends)
+    same = ends[order[1:]] == ends[order[:-1]]
+    alone = np.ones(len(at), bool)
+    alone[order[1:]] &= ~same
+    alone[order[:-1]] &= ~same
+    return alone
+
+
 def _same_bytes(strings: list[bytes], windows: list[int], kind: Kind) -> list[np.ndarray]:
     """Classes of the windows of each string, from the sorted suffixes of these strings' text."""
     text = b"\0".join(strings)
     base = np.concatenate([[0], np.cumsum([len(s) + 1 for s in strings])[:-1]]).astype(np.int64)
     count = np.array(windows)
     at = np.repeat(base, count) + np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-    ordered = sort_suffixes(text, at, max(map(len, strings)) + 1)
+    raw = np.concatenate([np.frombuffer(text, np.uint8), np.zeros(8, np.uint8)])
+    alone = _alone(raw, at, kind.width)
     number = np.empty(len(text), np.int64)
-    number[ordered] = prefix_classes(text, ordered, kind.width)
+    number[at[alone]] = np.arange(alone.sum())
+    ordered = sort_suffixes(text, at[~alone], kind.width)
+    number[ordered] = prefix_classes(text, ordered, kind.width) + alone.sum()
     return np.split(number[at], np.cumsum(count)[:-1])
 
 
@@ -139,4 +160,5 @@ def dedup_bytes(docs: DataFrame, length: int = LENGTH, with_kept: bool = True, i
     cut a character in two, so it is bytes.
     """
     kind = Kind(length, max(1, min(20, length // 2)), byte_tokens)
-    return repeats(docs, kind, _same_bytes, _finish_all if with_kept else _finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, kept_sha256 string".replace("kept binary, ", "kept binary, " * with_kept), id_col, text_col, **sizes)
+    schema = "doc_id long, n_bytes long, n_removed long, n_spans long, " + "kept binary, " * with_kept + "kept_sha256 string"
+    return one_batch(docs, kind, _same_bytes, _finish_all if with_kept else _finish, schema, id_col, text_col, **sizes)

@@ -6,6 +6,7 @@ import re
 import numpy as np
 import pytest
 import xxhash
+from llm_texts import prose
 
 from clipflow.llm import exact, simhash, substring, suffix
 from clipflow.llm.components import components
@@ -199,3 +200,49 @@ def test_suffixes_are_sorted_like_the_bytes():
     cls = suffix.prefix_classes(text, ordered, 50)
     padded = text + b"\0" * 60
     assert len(set(cls)) == len({padded[i : i + 50] for i in at})
+
+
+def check_words(got, rows):
+    for d, t, gone in slow_spans([(d, tuple((t or "").encode().split())) for d, t in rows], 13):
+        kept = b" ".join(w for w, g in zip(t, gone) if not g)
+        assert (got[d].n_words, got[d].n_removed, bytes(got[d].kept)) == (len(t), sum(gone), kept), d
+
+
+def test_batches_of_the_window_index_equal_one(spark, corpus, tmp_path):
+    """Three batches by id, each through an index opened anew, and compaction in between."""
+    rows, got = sorted(corpus), {}
+    root = f"file://{tmp_path}/index"
+    for part in (rows[:12], rows[12:30], [], rows[30:]):
+        index = substring.WindowIndex(spark, root, fan_in=2, similar=100.0, chunk_bytes=4_000, range_bytes=20_000)
+        got |= by_id(index.add(frame(spark, part)))
+    check_words(got, rows)
+    _, state = index.state()
+    assert state["batches"] == 4 and len(state["runs"]) < 3
+    late = by_id(index.add(frame(spark, [(1, rows[3][1]), (2, "never seen")])))  # what came earlier wins, whatever the id
+    assert late[1].n_removed == late[1].n_words > 0 and late[2].n_removed == 0
+
+
+def boilerplate(n):
+    shared = "all of these words are in nearly every document of the table and go on".split()
+    return [(i, " ".join([*prose(i, 20).split(), *shared, *prose(1000 + i, 20).split()])) for i in range(n)]
+
+
+@pytest.mark.parametrize("hot", [1, 1 << 15])
+def test_a_gram_of_most_documents(spark, hot):
+    """A passage that most documents share, with other words on either side: its grams have as many strings as documents."""
+    rows, sizes = boilerplate(60), {"chunk_bytes": 2_000, "range_bytes": 1 << 30, "hot": hot}
+    check_words(by_id(substring.dedup_words(frame(spark, rows), **sizes)), rows)
+    got = by_id(suffix.dedup_bytes(frame(spark, rows), **sizes))
+    for d, t, gone in slow_spans([(d, t.encode()) for d, t in rows], 50):
+        assert (got[d].n_bytes, got[d].n_removed) == (len(t), sum(gone)), d
+
+
+def test_spans_of_a_joined_table_repeated_and_null_ids(spark, corpus):
+    docs = frame(spark, corpus).join(spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, toxic int"), "doc_id")
+    check_words(by_id(substring.dedup_words(docs)), sorted(corpus))
+    text = prose(77, 30)
+    rows = [(5, text), (5, text), (None, text), (None, text), (4, None)]
+    got = sorted(((r.doc_id is None, r.n_words, r.n_removed) for r in substring.dedup_words(frame(spark, rows)).collect()))
+    assert got == [(False, 0, 0), (False, 30, 0), (False, 30, 0), (True, 30, 30), (True, 30, 30)]
+    got = sorted(((r.doc_id is None, r.n_removed) for r in suffix.dedup_bytes(frame(spark, rows)).collect()))
+    assert got == [(False, 0), (False, 0), (False, 0), (True, len(text)), (True, len(text))]
