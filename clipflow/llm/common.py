@@ -41,26 +41,30 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{own}"
 
 
-_made: list[tuple[SparkSession, str]] = []
+_made: list[tuple[SparkSession, str, bool]] = []
 
 
 def _forget() -> None:
-    """Delete what this process has left in the shared folder, while its session is alive."""
-    for spark, path in _made:
+    """Delete the folders and tables that this process has made for its queries, while its session is alive."""
+    for spark, name, is_table in _made:
         try:
             if spark.sparkContext._jsc is not None:
-                remove(spark, path)
-        except Exception:  # the session went first, or the folder
+                spark.sql(f"DROP TABLE IF EXISTS {name}") if is_table else remove(spark, name)
+        except Exception:  # the session went first
             return
 
 
-def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder's path; it is deleted when the driver's process ends, as results may read it until then."""
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+def for_now(spark: SparkSession, name: str, is_table: bool = False) -> str:
+    """Have a folder or table deleted when the driver's process ends, as results may read it until then."""
     if not _made:
         atexit.register(_forget)
-    _made.append((spark, path))
-    return path
+    _made.append((spark, name, is_table))
+    return name
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new folder's path."""
+    return for_now(spark, f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}")
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
@@ -70,6 +74,13 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def fresh(name: str, taken: list[str]) -> str:
+    """``name`` with as many underscores before it as make it new."""
+    while name in taken:
+        name = f"_{name}"
+    return name
+
+
 def remove(spark: SparkSession, path: str) -> None:
     """Delete a folder of ours through Hadoop's file system."""
     jvm = spark.sparkContext._jvm

@@ -8,8 +8,10 @@ Each document is scanned once, whole.
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
-from itertools import accumulate
+from functools import reduce
+from itertools import accumulate, chain
 
 import ahocorasick
 import numpy as np
@@ -17,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from clipflow.llm.common import ship, utf8
+from clipflow.llm.common import materialise, ship, utf8
 
 #: Every byte that parts words becomes a space, A-Z become a-z, the rest stays.
 _WORDS = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -42,14 +44,18 @@ _built: dict[tuple, tuple] = {}
 
 
 def automaton(items: list[tuple[object, bytes]], width: int) -> tuple:
-    """(automaton, patterns): each pattern has its number of words and the items it comes from. Built once a worker."""
+    """(automaton, number of patterns): each pattern has its number of words and the items it comes from.
+
+    Built once a worker, which holds one block's at a time. An item without an id is looked for, but has no name to report.
+    """
     key = (width, hashlib.sha256(repr(items).encode()).digest())
     if key not in _built:
+        _built.clear()
         owners: dict[bytes, list] = {}
         for item, text in items:
             for w in windows(words_of(text), width):
                 own = owners.setdefault(w, [])
-                if item not in own[-1:]:
+                if item is not None and item not in own[-1:]:
                     own.append(item)
         machine = ahocorasick.Automaton() if owners else None
         for w, own in owners.items():
@@ -73,35 +79,90 @@ def hits(words: list[bytes], machine: ahocorasick.Automaton | None) -> list[tupl
     return [(last - n + 1, last, own) for (end, (n, own)) in found for last in [int(np.searchsorted(ends, end))]]
 
 
-def offsets_of(text: str, first: int, last: int) -> tuple[int, int]:
-    """Characters of the original text that words ``first`` to ``last`` span: start and end (exclusive)."""
-    start = end = 0
-    count, inside = -1, False
-    for i, ch in enumerate(text):
-        word = ord(ch) >= 128 or ch.isalnum()
-        if word and not inside:
-            count += 1
-            if count == first:
-                start = i
-        if word and count == last:
-            end = i + 1
-        inside = word
-        if count > last:
-            break
-    return start, end
-
-
-def _items(bench: DataFrame, id_col: str, text_col: str) -> list[list[tuple[object, bytes]]]:
-    """The test set in blocks. It is what is looked for, not what is searched: it is small, and blocks bound each automaton."""
-    blocks: list[list[tuple[object, bytes]]] = [[]]
+_WORD = re.compile(b"[0-9A-Za-z\x80-\xff]+")
+
+
+def offsets_of(text: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Characters of the original UTF-8 text that words ``first`` to ``last`` span: start and end (exclusive), span by span."""
+    places = [m.span() for m in _WORD.finditer(text)]
+    out, seen, at = [], 0, 0
+    for first, last in spans:  # in order, so each stretch is decoded once
+        a, b = places[first][0], places[last][1]
+        start = seen + len(text[at:a].decode("utf-8", "replace"))
+        seen, at = start + len(text[a:b].decode("utf-8", "replace")), b
+        out.append((start, seen))
+    return out
+
+
+def _merged(found: list[tuple[int, int, list]]) -> list[tuple[int, int]]:
+    spans: list[list[int]] = []
+    for first, last, _ in sorted(found, key=lambda h: h[:2]):
+        if spans and first <= spans[-1][1] + 1:
+            spans[-1][1] = max(spans[-1][1], last)
+        else:
+            spans.append([first, last])
+    return [(a, b) for a, b in spans]
+
+
+def _blocks(bench: DataFrame, id_col: str, text_col: str) -> Iterator[list[tuple[object, bytes]]]:
+    """The test set, block after block: the driver, a broadcast and a worker's automaton hold ``BLOCK_CHARS`` and an item at most."""
+    block: list[tuple[object, bytes]] = []
     size = 0
     for item, text in bench.select(F.col(id_col), utf8(text_col)).distinct().orderBy(id_col).toLocalIterator():
-        if size > BLOCK_CHARS:
-            blocks.append([])
-            size = 0
-        blocks[-1].append((item, bytes(text)))
+        if block and size + len(text) > BLOCK_CHARS:
+            yield block
+            block, size = [], 0
+        block.append((item, bytes(text)))
         size += len(text)
-    return blocks
+    yield block
+
+
+SPANS = "array<struct<first:int,last:int>>"
+
+
+def _scan(rows: DataFrame, block: list[tuple[object, bytes]], width: int, only_hits: bool = False) -> DataFrame:
+    """rows (key, text as bytes) -> key, n_words, n_hit, items, spans, by one block's automaton."""
+    sent = rows.sparkSession.sparkContext.broadcast(block)
+    schema = f"key long, n_words long, n_hit long, items array<string>, spans {SPANS}"
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.string()), pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32())]))]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        machine = automaton(sent.value, width)[0]
+        for batch in batches:
+            out: tuple[list, ...] = ([], [], [], [], [])
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                words = words_of(text.as_py())
+                found = hits(words, machine)
+                if only_hits and not found:
+                    continue
+                spans = _merged(found)
+                for column, value in zip(out, (key, len(words), sum(b - a + 1 for a, b in spans), sorted({str(i) for _, _, own in found for i in own}), [{"first": a, "last": b} for a, b in spans])):
+                    column.append(value)
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds)], names=["key", "n_words", "n_hit", "items", "spans"])
+
+    return rows.mapInArrow(run, schema)
+
+
+_UNITE = f"""aggregate(array_sort(spans), cast(array() AS {SPANS}), (s, x) -> CASE
+    WHEN size(s) > 0 AND x.first <= element_at(s, -1).last + 1
+    THEN concat(slice(s, 1, size(s) - 1), array(named_struct('first', element_at(s, -1).first, 'last', greatest(element_at(s, -1).last, x.last))))
+    ELSE concat(s, array(x)) END)"""
+
+
+def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """The rows with a number of their own, written: ids may repeat or be null."""
+    rows = docs.select(F.monotonically_increasing_id().alias("key"), F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text"))
+    return materialise(rows, "numbered")
+
+
+def _scan_all(rows: DataFrame, first: list, others: Iterator[list], width: int) -> DataFrame:
+    """_scan by several blocks, one after the other; their hits are united by row."""
+    parts = [materialise(_scan(rows, block, width, True), "hits") for block in (first, *others)]
+    every = reduce(DataFrame.unionByName, parts).groupBy("key").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
+    every = every.withColumn("spans", F.expr(_UNITE)).withColumn("n_hit", F.expr("aggregate(spans, 0L, (n, x) -> n + x.last - x.first + 1)"))
+    counted = _scan(rows, [], width).select("key", "n_words")
+    return counted.join(every.hint("merge"), "key", "left").select(
+        "key", "n_words", F.coalesce("n_hit", F.lit(0)).alias("n_hit"), F.coalesce("items", F.array().cast("array<string>")).alias("items"), F.coalesce("spans", F.array().cast(SPANS)).alias("spans"))
 
 
 def scan(docs: DataFrame, bench: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text",
@@ -109,70 +170,65 @@ def scan(docs: DataFrame, bench: DataFrame, width: int = 10, id_col: str = "doc_
     """One row per document: id, n_words, n_hit, items (sorted array of strings), spans (word ranges, merged).
 
     Null or empty texts have no words and no hits; an empty test set hits nothing; an empty table gives no rows. Rows
-    that repeat an id are judged apart. Null items have no window. Columns beside id and text are not read.
+    that repeat an id are judged apart. Items with a null text have no window; those with a null id hit, but aren't
+    named; rows that repeat an item are one. Columns beside id and text are not read.
     """
     ship(docs.sparkSession)
-    blocks = _items(bench, item_col, item_text)
-    schema = "doc_id long, n_words long, n_hit long, items array<string>, spans array<struct<first:int,last:int>>"
+    blocks = _blocks(bench, item_col, item_text)
+    first, second = next(blocks), next(blocks, None)
+    if second is None:
+        rows = docs.select(F.col(id_col).cast("long").alias("key"), utf8(text_col).alias("text"))
+        return _scan(rows, first, width).withColumnRenamed("key", "doc_id")
+    rows = _keyed(docs, id_col, text_col)
+    found = _scan_all(rows.select("key", "text"), first, chain([second], blocks), width)
+    return rows.select("key", "doc_id").join(found.hint("merge"), "key").drop("key")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        machines = [automaton(block, width)[0] for block in blocks]
-        for batch in batches:
-            ids, out = batch.column(0), ([], [], [], [])
-            for text in batch.column(1):
-                words = words_of(text.as_py())
-                found = [h for machine in machines for h in hits(words, machine)]
-                spans: list[list[int]] = []
-                for first, last, _ in sorted(found, key=lambda h: h[:2]):
-                    if spans and first <= spans[-1][1] + 1:
-                        spans[-1][1] = max(spans[-1][1], last)
-                    else:
-                        spans.append([first, last])
-                out[0].append(len(words))
-                out[1].append(sum(b - a + 1 for a, b in spans))
-                out[2].append(sorted({str(i) for _, _, own in found for i in own}))
-                out[3].append([{"first": a, "last": b} for a, b in spans])
-            yield pa.RecordBatch.from_arrays(
-                [ids.cast(pa.int64()), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.list_(pa.string())),
-                 pa.array(out[3], pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32())])))],
-                names=["doc_id", "n_words", "n_hit", "items", "spans"])
-
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text")).mapInArrow(run, schema)
-
-
-def located(docs: DataFrame, bench: DataFrame, width: int = 10) -> DataFrame:
-    """Hit passages with offsets in the original text: doc_id, start, end (exclusive, characters), passage.
-
-    Only documents with hits are read again; the join is on doc_id.
+
+def located(docs: DataFrame, bench: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Hit passages with offsets in the original text: doc_id, start, end (exclusive, in characters), passage.
+
+    One row a passage, overlapping ones being one; null and empty texts have none. Rows that repeat an id are told
+    apart by a number of their own; items are treated as in ``scan``. An empty table gives no rows.
     """
     ship(docs.sparkSession)
-    marked = scan(docs, bench, width).where("n_hit > 0").select("doc_id", "spans")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"))
+    rows = _keyed(docs, id_col, text_col)
+    blocks = _blocks(bench, "item_id", "text")
+    found = _scan_all(rows.select("key", "text"), next(blocks), blocks, width).where("n_hit > 0").select("key", "spans")
+    kinds = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("end", pa.int64()), ("passage", pa.string())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
+            out = []
             for r in batch.to_pylist():
-                for s in r["spans"]:
-                    a, b = offsets_of(r["text"], s["first"], s["last"])
-                    rows.append({"doc_id": r["doc_id"], "start": a, "end": b, "passage": r["text"][a:b]})
-            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("end", pa.int64()), ("passage", pa.string())]))
+                whole = r["text"].decode("utf-8", "replace")
+                out += [{"doc_id": r["doc_id"], "start": a, "end": b, "passage": whole[a:b]} for a, b in offsets_of(r["text"], [(s["first"], s["last"]) for s in r["spans"]])]
+            yield pa.RecordBatch.from_pylist(out, schema=kinds)
 
-    return texts.join(marked, "doc_id").mapInArrow(run, "doc_id long, start long, end long, passage string")
+    return rows.join(found.hint("merge"), "key").select("doc_id", "text", "spans").mapInArrow(run, "doc_id long, start long, end long, passage string")
 
 
-def clean(docs: DataFrame, bench: DataFrame, width: int = 10) -> DataFrame:
-    """The documents without a hit, with all their columns. Rows are judged where they stand; nothing is shuffled."""
-    ship(docs.sparkSession)
-    blocks = _items(bench, "item_id", "text")
-    if not any(words_of(t) for b in blocks for _, t in b):
-        return docs
+def clean(docs: DataFrame, bench: DataFrame, width: int = 10, text_col: str = "text") -> DataFrame:
+    """The documents without a hit, with all their columns. Rows are judged where they stand; nothing is shuffled.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        machines = [automaton(block, width)[0] for block in blocks]
-        for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("text"))
-            keep = [not any(hits(words_of((t.as_py() or "").encode()), machine) for machine in machines) for t in texts]
-            yield batch.filter(pa.array(keep, pa.bool_()))
+    Null, empty and wordless texts stay, as do all rows if the test set is empty. Rows that repeat an id or all of a
+    row are judged each; an empty table stays empty; other columns may have any names. Items are treated as in ``scan``.
+    """
+    spark = docs.sparkSession
+    ship(spark)
+
+    def passed(rows: DataFrame, block: list[tuple[object, bytes]]) -> DataFrame:
+        sent = spark.sparkContext.broadcast(block)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            machine = automaton(sent.value, width)[0]
+            for batch in batches:
+                texts = batch.column(batch.schema.get_field_index(text_col))
+                yield batch.filter(pa.array([not hits(words_of((t.as_py() or "").encode()), machine) for t in texts], pa.bool_()))
+
+        return rows.mapInArrow(run, rows.schema)
 
-    return docs.mapInArrow(run, docs.schema)
+    blocks = _blocks(bench, "item_id", "text")
+    docs = passed(docs, next(blocks))
+    for block in blocks:  # a block's automaton is gone before the next one's is built
+        docs = passed(materialise(docs, "passed"), block)
+    return docs

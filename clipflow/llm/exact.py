@@ -12,7 +12,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from clipflow.llm.common import materialise
+from clipflow.llm.common import fresh, materialise
 
 WHITE = "[\\x20\\x09-\\x0D]+"
 
@@ -42,7 +42,10 @@ class DigestIndex:
         self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
 
     def add(self, groups: DataFrame) -> None:
-        """Append the digests of ``groups`` (text_sha256, keep_id: one row a digest) that the index lacks."""
+        """Append the digests of ``groups`` (text_sha256, keep_id: one row a digest) that the index lacks.
+
+        Null ids are kept as they are, as the id of a digest that no row with an id has; an empty table appends nothing.
+        """
         batch = self.batches() + 1
         if self.exists():
             known = self.spark.table(self.name).select("text_sha256").hint("merge")
@@ -76,9 +79,26 @@ def exact_dedup(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", tex
     )
 
 
+def in_arrivals(batches: list[DataFrame], index: DigestIndex, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``exact_dedup`` of a table that arrives in batches, ids growing from one to the next; group_size is of all batches."""
+    rows = None
+    for batch in batches:
+        new = materialise(batch.select(F.col(id_col).alias("doc_id"), digest(text_col).alias("text_sha256")), "digests")
+        index.add(new.groupBy("text_sha256").agg(F.min("doc_id").alias("keep_id")))
+        rows = new if rows is None else rows.unionByName(new)
+    groups = rows.groupBy("text_sha256").agg(F.count(F.lit(1)).alias("group_size"))
+    known = index.lookup().join(groups, "text_sha256")
+    return rows.join(known.hint("merge"), "text_sha256").select(
+        "doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"
+    )
+
+
 def keep_first(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay, all columns kept. Of rows that repeat an id and a text, one stays."""
-    tag = "_exact_digest"
+    """The rows of ``docs`` that stay, all columns kept. Of rows that repeat an id and a text, one stays.
+
+    Null and empty texts are equal; a null id counts as larger than all. An empty table stays empty; columns may have any names.
+    """
+    tag = fresh("digest", docs.columns)
     marked = docs.withColumn(tag, digest(text_col))  # the join's keys are those of the last step: one shuffle
     found = exact_dedup(docs, index, id_col, text_col).where("kept").select(
         F.col("doc_id").alias("_exact_id"), F.col("text_sha256").alias("_exact_sha")

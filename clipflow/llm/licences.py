@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 from clipflow.llm.common import materialise
 
 THRESHOLD = 0.8
+MOST_BIGRAMS = 100_000  # of all templates
 
 #: Public licence texts and the notices by which works refer to them.
 TEMPLATES = {
@@ -94,8 +95,14 @@ def runs(docs: DataFrame, low: int, high: int, templates: dict[str, str], thresh
 
 
 def matches(docs: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, unit, licence, dice: all pairs of a unit and a template that reach the threshold."""
+    """doc_id, unit, licence, dice: all pairs of a unit and a template that reach the threshold.
+
+    Null, empty and one-word texts match nothing; rows of one id are one document, null ids included. Templates beyond
+    ``MOST_BIGRAMS`` in all are refused, as their bigrams are broadcast.
+    """
     spark = docs.sparkSession
+    if sum(len(_words(t)) for t in templates.values()) > MOST_BIGRAMS:
+        raise ValueError(f"templates of more than {MOST_BIGRAMS} words")
     known = template_bigrams(spark, templates)
     ratio = (2 - threshold) / threshold
     sizes = [len(_words(t)) - 1 for t in templates.values()]
@@ -123,14 +130,16 @@ def _words(text: str) -> list[str]:
 def scan(docs: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: doc_id, licence (of the best match; ties: the first name; null: none), dice, n_units.
 
-    ``n_units`` counts units with a match. Null, empty and one-word texts match nothing. Rows that repeat an id are
-    judged together and returned each. An empty table gives no rows. Other columns are not read.
+    ``n_units`` counts units with a match. Null, empty and one-word texts match nothing. Rows that repeat an id, or have
+    none, are judged by their own texts and returned each. An empty table gives no rows. Other columns are not read.
     """
-    found = matches(docs, templates, threshold, id_col, text_col)
-    best = found.groupBy("doc_id").agg(
+    key = F.struct(F.col(id_col).alias("id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("text"))
+    rows = docs.select(F.col(id_col).alias("doc_id"), key.alias("key"), F.col(text_col).alias("text"))
+    best = matches(rows, templates, threshold, "key", "text").groupBy(F.col("doc_id").alias("key")).agg(
         F.min(F.struct((-F.col("dice")).alias("d"), "licence")).alias("b"), F.count_distinct("unit").alias("n_units")
     )
-    ids = docs.select(F.col(id_col).alias("doc_id"))
-    return ids.join(best, "doc_id", "left").select(
+    best = best.select(F.col("key.id").alias("_id"), F.col("key.text").alias("_text"), "b", "n_units")
+    ids = rows.select("doc_id", "key")
+    return ids.join(best, F.col("key.id").eqNullSafe(F.col("_id")) & (F.col("key.text") == F.col("_text")), "left").select(
         "doc_id", F.col("b.licence").alias("licence"), F.round(-F.col("b.d"), 6).alias("dice"), F.coalesce("n_units", F.lit(0)).alias("n_units")
     )

@@ -1,187 +1,161 @@
 """Sharded storage with size-tiered compaction and a versioned manifest.
 
-Arrivals are appended as small immutable shards (parquet files). Compaction sorts shards into tiers of similar size and
-merges the runs of a tier into files of a target size, by scans whose splits are packed with whole shards: there is no
-shuffle. Each change writes a manifest and commits it by one rename to the next version's name, which fails if another
-writer was first. Readers read the files of one version; old ones go when no version that is kept names them.
+An append is a run: a folder of small immutable shards (parquet files). Compaction sorts runs into tiers of similar shard
+size and merges those of a tier into a run of files of a target size, by scans whose splits are packed with whole
+shards: there is no shuffle. Each change writes a manifest and commits it by one rename to the next version's name, which
+fails if another writer was first. The manifest names runs, not files, so it grows with appends that await compaction.
+Readers read the runs of one version; old ones go when no version that is kept names them.
 
 All files are reached through Hadoop's file system, so the store may be anywhere that the session can write.
 """
 
 from __future__ import annotations
 
-import json
 import math
 import uuid
-from contextlib import contextmanager
-from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-TARGET = 128 << 20
-
+from clipflow.llm.common import CommitConflict, Manifest, remove
 
-class CommitConflict(RuntimeError):
-    """Another writer has committed the version that this one meant to."""
+TARGET = 128 << 20
 
 
 @dataclass(frozen=True)
-class Shard:
+class Run:
     path: str
+    files: int
     size: int
     rows: int
     level: int  # merges that its rows have been through
 
+    @property
+    def shard(self) -> int:
+        """Bytes of its shards, on average."""
+        return self.size // max(self.files, 1)
+
 
 class ShardStore:
     def __init__(self, spark: SparkSession, root: str, target: int = TARGET, fan_in: int = 4, similar: float = 4.0):
         self.spark, self.root, self.target, self.fan_in, self.similar = spark, root.rstrip("/"), target, fan_in, similar
-        self._jvm = spark.sparkContext._jvm
-        self._conf = spark.sparkContext._jsc.hadoopConfiguration()
-
-    # ---- files
-
-    def _path(self, path: str):
-        return self._jvm.org.apache.hadoop.fs.Path(path)
-
-    def _fs(self):
-        return self._path(self.root).getFileSystem(self._conf)
-
-    def _names(self, folder: str) -> list[tuple[str, int]]:
-        where = self._path(f"{self.root}/{folder}")
-        return [(s.getPath().toString(), s.getLen()) for s in self._fs().listStatus(where)] if self._fs().exists(where) else []
-
-    # ---- manifests
+        self.manifest = Manifest(spark, self.root)
 
     def versions(self) -> list[int]:
-        names = (p.rpartition("/")[2] for p, _ in self._names("manifest"))
-        return sorted(int(n[1:-5]) for n in names if n.startswith("v") and n.endswith(".json"))
-
-    def read_manifest(self, version: int | None = None) -> tuple[int, T.StructType | None, list[Shard]]:
-        """(version, schema, shards); version 0 is the empty store."""
-        known = self.versions()
-        version = (known[-1] if known else 0) if version is None else version
-        if not version:
-            return 0, None, []
-        stream = self._fs().open(self._path(f"{self.root}/manifest/v{version:08d}.json"))
-        try:
-            text = self._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
-        finally:
-            stream.close()
-        found = json.loads(text)
-        return version, T.StructType.fromJson(found["schema"]), [Shard(**s) for s in found["shards"]]
-
-    def commit(self, base: int, schema: T.StructType, shards: list[Shard]) -> int:
-        """Make ``shards`` version base + 1, or raise CommitConflict if that version exists."""
-        version = base + 1
-        final, temporary = (self._path(f"{self.root}/manifest/{n}") for n in (f"v{version:08d}.json", f".{uuid.uuid4().hex}"))
-        stream = self._fs().create(temporary, False)
-        stream.write(bytearray(json.dumps({"version": version, "schema": schema.jsonValue(), "shards": [s.__dict__ for s in shards]}).encode()))
-        stream.close()
-        try:
-            options = self.spark.sparkContext._gateway.new_array(self._jvm.org.apache.hadoop.fs.Options.Rename, 1)
-            options[0] = self._jvm.org.apache.hadoop.fs.Options.Rename.NONE
-            self._jvm.org.apache.hadoop.fs.FileContext.getFileContext(final.toUri(), self._conf).rename(temporary, final, options)
-        except Exception as error:
-            self._fs().delete(temporary, False)
-            if self._fs().exists(final):
-                raise CommitConflict(f"version {version} exists") from error
-            raise
-        return version
-
-    # ---- data
-
-    def _write(self, df: DataFrame, level: int) -> list[Shard]:
-        run = f"data/{uuid.uuid4().hex}"
-        df.write.parquet(f"{self.root}/{run}")
-        files = [(p, n) for p, n in self._names(run) if p.endswith(".parquet")]
-        counts: dict[str, int] = {}
-        if files:  # from the files' footers
-            rows = self.spark.read.schema(df.schema).parquet(*[p for p, _ in files]).groupBy(F.col("_metadata.file_name").alias("f")).agg(F.count(F.lit(1)))
-            counts = {r[0]: r[1] for r in rows.toLocalIterator()}
-        return [Shard(p, n, counts.get(p.rpartition("/")[2], 0), level) for p, n in files if counts.get(p.rpartition("/")[2], 0)]
-
-    @contextmanager
-    def _small(self, rows: int) -> Iterator[None]:
-        key, before = "spark.sql.files.maxRecordsPerFile", self.spark.conf.get("spark.sql.files.maxRecordsPerFile")
-        self.spark.conf.set(key, rows)
-        try:
-            yield
-        finally:
-            self.spark.conf.set(key, before)
+        return self.manifest.versions()
+
+    def read_manifest(self, version: int | None = None) -> tuple[int, T.StructType | None, list[Run]]:
+        """(version, schema, runs); version 0 is the empty store."""
+        version, found = self.manifest.read(version)
+        return (version, T.StructType.fromJson(found["schema"]), [Run(**r) for r in found["runs"]]) if found else (0, None, [])
+
+    def commit(self, base: int, schema: T.StructType, runs: list[Run]) -> int:
+        """Make ``runs`` version base + 1, or raise CommitConflict if that version exists."""
+        return self.manifest.commit(base, {"schema": schema.jsonValue(), "runs": [asdict(r) for r in runs]})
+
+    def _write(self, df: DataFrame, level: int, most_rows: int = 0) -> list[Run]:
+        """The rows as one new run, or none if there are no rows."""
+        path = f"{self.root}/data/{uuid.uuid4().hex}"
+        df.write.option("maxRecordsPerFile", most_rows).parquet(path)
+        folder = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        status = folder.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).listStatus(folder)
+        sizes = [s.getLen() for s in status if s.getPath().getName().endswith(".parquet")]
+        rows = self.spark.read.schema(df.schema).parquet(path).count()  # from the files' footers
+        if rows:
+            return [Run(path, len(sizes), sum(sizes), rows, level)]
+        remove(self.spark, path)
+        return []
 
     def append(self, arrivals: DataFrame, shard_rows: int = 2_000) -> int:
-        """Store arrivals as shards of at most ``shard_rows`` rows and commit them. Returns the version."""
-        with self._small(shard_rows):
-            new = self._write(arrivals, 0)
+        """Store arrivals as shards of at most ``shard_rows`` rows and commit them. Returns the version.
+
+        Columns keep their names and types, which must be the store's; nulls, empty texts and repeated rows are rows.
+        """
+        new = self._write(arrivals, 0, shard_rows)
         while True:  # an append goes with whatever others have committed
-            base, schema, shards = self.read_manifest()
+            base, schema, runs = self.read_manifest()
             if schema is not None and schema.fieldNames() != arrivals.schema.fieldNames():
                 raise ValueError(f"columns {arrivals.columns} differ from the store's {schema.fieldNames()}")
             try:
-                return self.commit(base, schema or arrivals.schema, shards + new)
+                return self.commit(base, schema or arrivals.schema, runs + new)
             except CommitConflict:
                 continue
 
-    def tiers(self, shards: list[Shard]) -> list[list[Shard]]:
-        """Shards under half the target, by powers of ``similar``: the sizes within a tier differ by that factor at most."""
-        by: dict[int, list[Shard]] = {}
-        for s in shards:
-            if s.size < self.target / 2:
-                by.setdefault(int(math.log(max(s.size, 1), self.similar)), []).append(s)
-        return [sorted(by[k], key=lambda s: (s.size, s.path)) for k in sorted(by)]
+    def tiers(self, runs: list[Run]) -> list[list[Run]]:
+        """Runs of shards under half the target, by powers of ``similar``: shard sizes within a tier differ by that factor at most."""
+        by: dict[int, list[Run]] = {}
+        for r in runs:
+            if r.shard < self.target / 2:
+                by.setdefault(int(math.log(max(r.shard, 1), self.similar)), []).append(r)
+        return [sorted(by[k], key=lambda r: (r.size, r.path)) for k in sorted(by)]
+
+    def _due(self, runs: list[Run], all_tiers: bool) -> list[Run]:
+        """The runs to merge: the tier of the smallest shards that has ``fan_in`` of them, if that makes fewer shards."""
+        tiers = self.tiers(runs)
+        found = [t for t in tiers if sum(r.files for r in t) >= self.fan_in] or ([sum(tiers, [])] if all_tiers and tiers else [])
+        return next((t for t in found if sum(r.files for r in t) > max(1, -(-sum(r.size for r in t) // self.target))), [])
 
     def compact(self, all_tiers: bool = False) -> int:
-        """Merge each tier of at least ``fan_in`` runs (with ``all_tiers``: any two small runs); returns the last version."""
-        version, schema, shards = self.read_manifest()
+        """Merge each tier of at least ``fan_in`` shards (with ``all_tiers``: any two small ones); returns the last version.
+
+        What others commit meanwhile stays; if they took one of the merged runs away, the merge is dropped.
+        """
+        failed: set[frozenset] = set()
         while True:
-            due = [t for t in self.tiers(shards) if len(t) >= self.fan_in]
-            if not due and all_tiers:
-                left = [s for t in self.tiers(shards) for s in t]
-                due = [left] if len(left) > 1 else []
-            if not due:
-                return version
-            merged = due[0]  # the smallest first, so that its result can join the next tier
-            new = self._merge(merged, schema)
-            if len(new) >= len(merged):  # already as packed as splits allow
+            version, schema, runs = self.read_manifest()
+            due = self._due(runs, all_tiers)
+            paths = frozenset(r.path for r in due)
+            if not due or paths in failed:
                 return version
-            gone = {s.path for s in merged}
-            version = self.commit(version, schema, [s for s in shards if s.path not in gone] + new)
-            shards = self.read_manifest(version)[2]
-            self.expire(keep=1)
-
-    def _merge(self, runs: list[Shard], schema: T.StructType) -> list[Shard]:
-        keys = {"spark.sql.files.maxPartitionBytes": str(self.target), "spark.sql.files.openCostInBytes": "0", "spark.sql.files.minPartitionNum": "1"}
-        before = {k: self.spark.conf.get(k, None) for k in keys}
-        for k, v in keys.items():
-            self.spark.conf.set(k, v)
-        try:
-            return self._write(self.spark.read.schema(schema).parquet(*[s.path for s in runs]), max(s.level for s in runs) + 1)
-        finally:
-            for k, v in before.items():
-                self.spark.conf.unset(k) if v is None else self.spark.conf.set(k, v)
-
-    def expire(self, keep: int = 1) -> None:
-        """Forget all but the last ``keep`` versions, and delete files that none of these names and an older one did."""
-        old, live = self.versions()[:-keep], self.versions()[-keep:]
-        named = {s.path for v in live for s in self.read_manifest(v)[2]}
+            new = self._merge(due, schema)
+            if sum(r.files for r in new) >= sum(r.files for r in due):  # already as packed as splits allow
+                failed.add(paths)
+                self._drop(new)
+                continue
+            while True:
+                version, schema, runs = self.read_manifest()
+                if not paths <= {r.path for r in runs}:
+                    self._drop(new)
+                    break
+                try:
+                    self.commit(version, schema, [r for r in runs if r.path not in paths] + new)
+                    break
+                except CommitConflict:
+                    continue
+            self.expire()
+
+    def _drop(self, runs: list[Run]) -> None:
+        for r in runs:
+            remove(self.spark, r.path)
+
+    def _merge(self, runs: list[Run], schema: T.StructType) -> list[Run]:
+        side = self.spark.newSession()  # its settings are its own
+        for key, value in {"maxPartitionBytes": self.target, "openCostInBytes": 0, "minPartitionNum": 1}.items():
+            side.conf.set(f"spark.sql.files.{key}", str(value))
+        return self._write(side.read.schema(schema).parquet(*[r.path for r in runs]), max(r.level for r in runs) + 1)
+
+    def expire(self, keep: int = 2) -> None:
+        """Forget all but the last ``keep`` versions, and delete runs that none of these names and an older one did.
+
+        Readers of the version before the last keep their files.
+        """
+        known = self.versions()
+        old, live = known[:-keep], known[-keep:]
+        named = {r.path for v in live for r in self.read_manifest(v)[2]}
         for v in old:
-            for s in self.read_manifest(v)[2]:
-                if s.path not in named:
-                    self._fs().delete(self._path(s.path), False)
-            self._fs().delete(self._path(f"{self.root}/manifest/v{v:08d}.json"), False)
+            self._drop([r for r in self.read_manifest(v)[2] if r.path not in named])
+            self.manifest.forget(v)
 
     def read(self, version: int | None = None) -> DataFrame:
         """The rows of a version. An empty store without columns cannot be read."""
-        _, schema, shards = self.read_manifest(version)
+        _, schema, runs = self.read_manifest(version)
         if schema is None:
             raise ValueError("the store is empty")
-        if not shards:
+        if not runs:
             return self.spark.createDataFrame([], schema)
-        return self.spark.read.schema(schema).parquet(*[s.path for s in shards])
+        return self.spark.read.schema(schema).parquet(*[r.path for r in runs])
 
 
 def reshard(docs: DataFrame, root: str, target: int = TARGET, shard_rows: int = 2_000) -> DataFrame:
@@ -195,7 +169,7 @@ def reshard(docs: DataFrame, root: str, target: int = TARGET, shard_rows: int =
     store = ShardStore(docs.sparkSession, root, target)
     store.append(docs, shard_rows)
     store.compact(all_tiers=True)
-    _, schema, shards = store.read_manifest()
-    if not shards:
+    _, schema, runs = store.read_manifest()
+    if not runs:
         return docs.sparkSession.createDataFrame([], T.StructType([*schema.fields, T.StructField("_shard", T.StringType())]))
     return store.read().withColumn("_shard", F.col("_metadata.file_name"))

@@ -1,23 +1,23 @@
 """SimHash fingerprints and all their pairs within a Hamming radius, through vantage-point trees.
 
-The bits are cut into bands of 16. Two fingerprints within the radius are within a band's bound in one band (``shares``),
-so each band's values, a metric space of their own, get a vantage-point tree: a node parts its values at the median of
-their distances to a vantage value, and a search leaves out the side that the triangle bound excludes. The upper
-levels are the shards: a fingerprint is stored in the one where it falls and asks all that its search would enter.
-In a shard the tree goes on down to small leaves, whose pairs are compared in all bits.
+A tree's node parts fingerprints by their distance to one of them, and a search leaves out the side that the triangle
+bound excludes. Over all 64 bits random fingerprints are 32 +- 4 apart, so a radius of 4 excludes little; the tree
+therefore measures by bands of 16 bits, in sets (``cases``) of which every sought pair keeps one: two bands within a bit
+each for radius 4. Its upper levels are the shards: a fingerprint is stored in the one where it falls and asks all that
+its search would enter. In a shard the tree goes on down to small leaves, whose pairs are compared in all bits.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from itertools import accumulate
+from dataclasses import dataclass
+from itertools import accumulate, combinations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from clipflow.llm.common import lower_ascii, materialise, mix64, ship, utf8
@@ -36,15 +36,15 @@ def _bit_counts(h: np.ndarray) -> np.ndarray:
     return np.stack(lanes, axis=1).reshape(-1)
 
 
-def fingerprint(text: bytes, width: int, words: int = 1) -> np.ndarray:
-    """64 * ``words`` bits as unsigned longs. A bit is 1 if more than half of the shingles' hashes have it.
+def fingerprint(text: bytes, width: int, words: int = 1) -> tuple[np.ndarray, int]:
+    """64 * ``words`` bits as unsigned longs, and the number of shingles. A bit is 1 if over half of the shingles' hashes have it.
 
-    The first 64 are XXH64 (seed 42) of the shingle, further ones are scrambled from it. No words: zero.
+    The first 64 are XXH64 (seed 42) of the shingle, further ones are scrambled from it. No words: zero, and no shingle.
     """
     seen = lower_ascii(text).split()
     n = len(seen)
     if not n:
-        return np.zeros(words, np.uint64)
+        return np.zeros(words, np.uint64), 0
     line, digest = b" ".join(seen), xxhash.xxh64_intdigest
     counts, total = np.zeros((words, 64), np.int64), max(1, n - width + 1)
     ends = list(accumulate(map(len, seen), lambda a, b: a + b + 1))
@@ -56,7 +56,7 @@ def fingerprint(text: bytes, width: int, words: int = 1) -> np.ndarray:
         for w in range(words):
             counts[w] += _bit_counts(h)
             h = mix64(h + np.uint64(0x9E3779B97F4A7C15)) if w + 1 < words else h
-    return np.packbits(2 * counts > total, axis=1, bitorder="little").view(np.uint64)[:, 0]
+    return np.packbits(2 * counts > total, axis=1, bitorder="little").view(np.uint64)[:, 0], total
 
 
 def _names(words: int) -> list[str]:
@@ -64,29 +64,76 @@ def _names(words: int) -> list[str]:
 
 
 def fingerprints(docs: DataFrame, width: int = 4, words: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, w0, w1, ... (the fingerprint's bits as signed longs). Null and empty texts have fingerprint zero."""
+    """doc_id, text_key (a hash of the text), size (its shingles), w0, w1, ... (the fingerprint's bits as signed longs).
+
+    Null and empty texts have fingerprint zero and size zero.
+    """
     ship(docs.sparkSession)
-    names = _names(words)
+    names = ["doc_id", "text_key", "size", *_names(words)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fp = np.array([fingerprint(t.as_py(), width, words) for t in batch.column(1)], np.uint64).reshape(-1, words).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(c)) for c in fp.T)], names=["doc_id", *names])
+            found = [fingerprint(t.as_py(), width, words) for t in batch.column(2)]
+            fp = np.array([f for f, _ in found], np.uint64).reshape(-1, words).view(np.int64)
+            size = pa.array([n for _, n in found], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), size, *(pa.array(np.ascontiguousarray(c)) for c in fp.T)], names=names)
+
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_key(text_col).alias("text_key"), utf8(text_col).alias("text"))
+    return rows.mapInArrow(run, ", ".join(f"{n} long" for n in names))
+
+
+def text_key(text_col: str) -> Column:
+    """What tells rows of one id apart."""
+    return F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+
+
+LEAF = 64  # stored fingerprints that are compared without a further split
+
+
+@dataclass(frozen=True)
+class Metric:
+    """Hamming distance over one band of one word, and how far a sought pair may be apart in it."""
+
+    word: int
+    band: int
+    slack: int
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), utf8(text_col).alias("text")).mapInArrow(run, ", ".join(f"{n} long" for n in ["doc_id", *names]))
+    def values(self, columns: list[np.ndarray]) -> np.ndarray:
+        return ((columns[self.word] >> np.uint64(BAND_BITS * self.band)) & np.uint64((1 << BAND_BITS) - 1)).astype(np.uint16)
 
 
-def _vantage(seed: int, values: np.ndarray) -> np.uint64:
-    """A vantage value for these values: one of them, by a fixed draw."""
-    return values[(seed * 2654435761 + 97) % len(values)]
+def shares(radius: int, parts: int) -> list[int]:
+    """Bounds for parts of a fingerprint: two within ``radius`` bits are within its bound in one part at least.
+
+    Each bound plus one sums to radius + 1, so that exceeding all of them exceeds the radius; -1 asks nothing of a part.
+    """
+    each, more = divmod(radius + 1, parts)
+    return [each + (i < more) - 1 for i in range(parts)]
+
+
+def cases(radius: int, words: int) -> list[tuple[Metric, ...]]:
+    """Sets of bounds such that any two fingerprints within ``radius`` bits keep all bounds of one set.
+
+    More than one bit in a band costs two, so at most radius // 2 bands have that. Where two others are left, the
+    sets are pairs of bands within one bit each; else each is a single band within its share.
+    """
+    per = 64 // BAND_BITS
+    bands = [(w, b) for w in range(words) for b in range(per)]
+    if len(bands) - radius // 2 >= 2:
+        return [(Metric(*x, 1), Metric(*y, 1)) for x, y in combinations(bands, 2)]
+    return [(Metric(w, b, s),) for w, bound in enumerate(shares(radius, words)) for b, s in enumerate(shares(bound, per)) if s >= 0]
 
 
 class BandTree:
-    """The upper levels of a tree over all values of one band. Its values are at most 65,536, whatever the data."""
+    """The upper levels of a vantage-point tree by one band, over all values that it can have, whatever the data.
+
+    ``home[v]`` is the leaf where a fingerprint of value v is stored; the leaves that its search enters are
+    ``leaves[first[v] : first[v + 1]]``, as a branch is left out only where the triangle bound excludes it.
+    """
 
-    def __init__(self, bits: int, depth: int, radius: int):
-        values = np.arange(1 << bits, dtype=np.uint64)
-        self.home = np.zeros(len(values), np.int64)  # the leaf where a value is stored
+    def __init__(self, depth: int, slack: int):
+        values = np.arange(1 << BAND_BITS, dtype=np.uint64)
+        self.home = np.zeros(len(values), np.int64)
         enters, entered = values, np.zeros(len(values), np.int64)
         for level in range(depth):
             home, out_v, out_n = np.zeros_like(self.home), [], []
@@ -95,26 +142,26 @@ class BandTree:
                 asks = enters[entered == node]
                 if not own.any():
                     continue
-                vantage = _vantage((1 << level) + node, values[own])
+                vantage = values[own][(((1 << level) + node) * 2654435761 + 97) % own.sum()]
                 d = np.bitwise_count(values[own] ^ vantage).astype(int)
                 cut = int(np.median(d))
                 cut -= int(cut == d.max())
                 home[own] = 2 * node + (d > cut)
                 e = np.bitwise_count(asks ^ vantage).astype(int)
-                for side, some in ((0, asks[e <= cut + radius]), (1, asks[e > cut - radius])):
+                for side, some in ((0, asks[e <= cut + slack]), (1, asks[e > cut - slack])):
                     out_v.append(some)
                     out_n.append(np.full(len(some), 2 * node + side))
             self.home, enters, entered = home, np.concatenate(out_v), np.concatenate(out_n)
         order = np.argsort(enters, kind="stable")
         self.leaves = entered[order]
-        self.first = np.searchsorted(enters[order], np.arange((1 << bits) + 1))
+        self.first = np.searchsorted(enters[order], np.arange((1 << BAND_BITS) + 1))
 
 
 _trees: dict[tuple, BandTree] = {}
 
 
-def band_tree(bits: int, depth: int, radius: int) -> BandTree:
-    key = (bits, depth, radius)
+def band_tree(depth: int, slack: int) -> BandTree:
+    key = (depth, slack)
     if key not in _trees:
         _trees[key] = BandTree(*key)
     return _trees[key]
@@ -133,135 +180,141 @@ def _union(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
             parent[:] = parent[parent]
 
 
-def shares(radius: int, parts: int) -> list[int]:
-    """Bounds for parts of a fingerprint: two within ``radius`` bits are within its bound in one part at least.
-
-    Each bound plus one sums to radius + 1, so that exceeding all of them exceeds the radius; -1 asks nothing of a part.
-    """
-    each, more = divmod(radius + 1, parts)
-    return [each + (i < more) - 1 for i in range(parts)]
+def _spread(columns: list[np.ndarray], rows: np.ndarray, vantage: int) -> np.ndarray:
+    return sum(np.bitwise_count(c[rows] ^ c[vantage]).astype(np.int64) for c in columns)
 
 
-def _by_value(values: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, ...]:
-    """Distinct values, and for each where its rows begin and how many they are; rows in that order."""
-    order = np.argsort(values[rows], kind="stable")
-    distinct, first, count = np.unique(values[rows][order], return_index=True, return_counts=True)
-    return distinct, first, count, rows[order]
+def _search(columns: list[np.ndarray], sizes: np.ndarray, metrics: tuple[Metric, ...], stored: np.ndarray, asking: np.ndarray, radius: int, ratio: float, parent: np.ndarray) -> None:
+    """Union all pairs (stored, asking) within ``radius`` bits that keep the metrics' bounds and whose sizes fit.
 
-
-def _compare(fp: list[np.ndarray], word: np.ndarray, q: np.ndarray, s: np.ndarray, radius: int, bound: int, parent: np.ndarray) -> None:
-    """Union the pairs (q[i], s[i]) within ``radius`` bits whose ``word`` is within ``bound``."""
-    close = np.nonzero(np.bitwise_count(word[q] ^ word[s]) <= bound)[0]
-    a, b = q[close], s[close]
-    apart = parent[a] != parent[b]
-    a, b = a[apart], b[apart]
-    if len(a):
-        near = sum(np.bitwise_count(c[a] ^ c[b]).astype(np.int64) for c in fp) <= radius
-        _union(parent, a[near], b[near])
-
-
-def _search(fp: list[np.ndarray], word: np.ndarray, band: np.ndarray, stored: np.ndarray, asking: np.ndarray, radius: int, bound: int, slack: int, parent: np.ndarray) -> None:
-    """Union all pairs (stored, asking) within ``radius`` bits whose words are within ``bound`` and bands within ``slack``.
-
-    The tree is over distinct values, at most 65,536 however many rows have them; rows are only paired for close values.
+    A vantage-point tree over the stored fingerprints, built as it is searched by many at once. Its nodes part them by the
+    distance to one of them, by each metric in turn and by all bits where no band tells them apart; who asks follows
+    to a side where the triangle bound leaves it a partner. It ends at ``LEAF`` fingerprints, or at equal ones.
     """
-    if not len(stored) or not len(asking):
-        return
-    s_value, s_first, s_count, s_row = _by_value(band, stored)
-    q_value, q_first, q_count, q_row = _by_value(band, asking)
-    work = [(np.arange(len(s_value)), np.arange(len(q_value)), 1)]
+    bands = [m.values(columns) for m in metrics]
+    work = [(stored, asking, 0, 1)]
     while work:
-        s, q, seed = work.pop()
+        s, q, level, seed = work.pop()
         if not len(s) or not len(q):
             continue
-        values = s_value[s]
-        if len(s) > 48:
-            vantage = _vantage(seed, values)
-            d = np.bitwise_count(values ^ vantage).astype(np.int8)
+        vantage, d = int(s[(seed * 2654435761 + 97) % len(s)]), None
+        if len(s) > LEAF:
+            for k in range(level, level + len(bands)):
+                v, slack = bands[k % len(bands)], metrics[k % len(bands)].slack
+                d, e = np.bitwise_count(v[s] ^ v[vantage]).astype(np.int64), np.bitwise_count(v[q] ^ v[vantage]).astype(np.int64)
+                if d.min() < d.max():
+                    break
+            else:
+                d, e, slack = _spread(columns, s, vantage), _spread(columns, q, vantage), radius
+        if d is not None and d.min() < d.max():
             cut = int(np.median(d))
             cut -= int(cut == d.max())
-            e = np.bitwise_count(q_value[q] ^ vantage).astype(np.int8)
-            seed = 2 * seed % 1_000_003
-            work.append((s[d <= cut], q[e <= cut + slack], seed))
-            work.append((s[d > cut], q[e > cut - slack], seed + 1))
+            for side, some in enumerate((d <= cut, d > cut)):
+                near = (e >= d[some].min() - slack) & (e <= d[some].max() + slack)
+                work.append((s[some], q[near], level + 1, (2 * seed + side) % 1_000_003))
             continue
         step = max(1, (1 << 20) // len(s))
         for i in range(0, len(q), step):
             part = q[i : i + step]
-            x, y = np.nonzero(np.bitwise_count(q_value[part][:, None] ^ values[None, :]) <= slack)
+            x, y = np.nonzero(np.bitwise_count(bands[0][part][:, None] ^ bands[0][s][None, :]) <= metrics[0].slack)
             x, y = part[x], s[y]
-            ends = np.cumsum(q_count[x] * s_count[y])
-            for j in range(0, int(ends[-1]) if len(ends) else 0, 1 << 20):
-                # the pairs of rows numbered j and on, 1 << 20 at most, whether of many values or of one that many rows share
-                k = min(j + (1 << 20), int(ends[-1]))
-                lo, hi = np.searchsorted(ends, j, "right"), np.searchsorted(ends, k, "left") + 1
-                till = np.minimum(ends[lo:hi], k)
-                at = np.repeat(np.arange(lo, hi), np.diff(till, prepend=j))
-                r = np.arange(j, k) - (ends[at] - q_count[x[at]] * s_count[y[at]])
-                over, rest = np.divmod(r, s_count[y[at]])
-                _compare(fp, word, q_row[q_first[x[at]] + over], s_row[s_first[y[at]] + rest], radius, bound, parent)
-
-
-def linked(prints: DataFrame, radius: int = 4, words: int = 1) -> DataFrame:
-    """Distinct fingerprints (node, w0, ...) -> links (a, b) between nodes.
-
-    They join exactly the pairs within ``radius`` bits, directly or in steps: ``shares`` bounds the words, and in each
-    word the bands. A shard returns a star for each set that it has joined, not all pairs; every pair meets in the shard
-    where one of it is stored, so the stars join what pairs would.
+            for v, m in zip(bands[1:], metrics[1:]):
+                close = np.bitwise_count(v[x] ^ v[y]) <= m.slack
+                x, y = x[close], y[close]
+            apart = parent[x] != parent[y]
+            x, y = x[apart], y[apart]
+            for c in columns:  # bits add up, so most pairs are gone after the first word
+                far = np.bitwise_count(columns[0][x] ^ columns[0][y]).astype(np.int64) if c is columns[0] else far + np.bitwise_count(c[x] ^ c[y])
+                close = far <= radius
+                x, y, far = x[close], y[close], far[close]
+            fits = np.minimum(sizes[x], sizes[y]) >= ratio * np.maximum(sizes[x], sizes[y])
+            _union(parent, x[fits], y[fits])
+
+
+def _class(size: np.ndarray, ratio: float) -> np.ndarray:
+    """Size classes: sizes of at least that ratio are in one class or in neighbouring ones."""
+    return np.floor(np.log(np.maximum(size, 1)) / -np.log(ratio) + 1e-9).astype(np.int64) if ratio else np.zeros(len(size), np.int64)
+
+
+def linked(prints: DataFrame, radius: int = 4, words: int = 1, ratio: float = 0.0, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """Distinct fingerprints (node, size, w0, ...) -> links (a, b) between nodes.
+
+    They join exactly the pairs within ``radius`` bits whose sizes have at least that ``ratio``, directly or in steps. A
+    shard is a size class or, where that has more than ``shard_rows``, a leaf of the upper levels of a tree for each of
+    the ``cases``: a fingerprint is stored in the one where it falls and asks all that its search enters. A shard
+    returns a star for each set that it has joined, not all pairs; every pair meets where one of it is stored.
     """
     ship(prints.sparkSession)
-    names, bands = _names(words), 64 * words // BAND_BITS
-    rows = prints.count()
-    depth = min(12, max(2, math.ceil(math.log2(rows / SHARD_ROWS)) if rows else 2))
-    per_word, mask = 64 // BAND_BITS, np.uint64((1 << BAND_BITS) - 1)
-    bounds = shares(radius, words)
-    slacks = [s for bound in bounds for s in shares(bound, per_word)]
-
-    def band_of(columns: list[np.ndarray], b: int) -> np.ndarray:
-        return (columns[b // per_word] >> np.uint64(BAND_BITS * (b % per_word))) & mask
+    names, sets = _names(words), cases(radius, words)
+    # at most some 60 size classes, as they grow by a factor
+    held = {r["k"]: r["n"] for r in prints.groupBy(_class_column(ratio).alias("k")).agg(F.count(F.lit(1)).alias("n")).collect()}
+    depths = {k: max(0, math.ceil(math.log2(n / shard_rows))) for k, n in held.items()}
+
+    def leaves(columns: list[np.ndarray], case: tuple[Metric, ...], depth: int) -> tuple[np.ndarray, ...]:
+        """(row, leaf, is it the row's own leaf) for all leaves that each row enters; its bands share the depth."""
+        who, leaf, own = np.arange(len(columns[0])), np.zeros(len(columns[0]), np.int64), np.ones(len(columns[0]), bool)
+        for i, m in enumerate(case):
+            part = min(BAND_BITS, (depth + i) // len(case))
+            tree, v = band_tree(part, m.slack), m.values(columns).astype(np.int64)[who]
+            n = tree.first[v + 1] - tree.first[v]
+            at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(tree.first[v], n)
+            entered = tree.leaves[at]
+            own = np.repeat(own, n) & (entered == np.repeat(tree.home[v], n))
+            who, leaf = np.repeat(who, n), (np.repeat(leaf, n) << part) + entered
+        return who, leaf, own
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             signed = [c.to_numpy() for c in batch.columns]
-            columns = [c.view(np.uint64) for c in signed[1:]]
-            for b in (b for b in range(bands) if slacks[b] >= 0):
-                tree = band_tree(BAND_BITS, depth, slacks[b])
-                value = band_of(columns, b).astype(np.int64)
-                n = tree.first[value + 1] - tree.first[value]
-                who = np.repeat(np.arange(len(value)), n)
-                at = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n) + np.repeat(tree.first[value], n)
-                leaf = tree.leaves[at]
-                for i in range(0, len(who), 1 << 17):
-                    j = slice(i, i + (1 << 17))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array((leaf[j] + (b << depth)).astype(np.int32)), pa.array(leaf[j] == tree.home[value[who[j]]]), *(pa.array(c[who[j]]) for c in signed)],
-                        names=["shard", "stored", "node", *names])
-
-    def search(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        columns = [rows[n].to_numpy().view(np.uint64) for n in names]
-        b = int(key[0]) >> depth
-        band = band_of(columns, b).astype(np.uint16)
-        stored, everyone = np.nonzero(rows["stored"].to_numpy())[0], np.arange(len(rows))
+            kind = _class(signed[1], ratio)
+            for k in np.unique(kind).tolist():
+                for target in (k, k + 1) if ratio else (k,):
+                    rows = np.nonzero(kind == k)[0]
+                    mine = [c[rows] for c in signed]
+                    columns = [c.view(np.uint64) for c in mine[2:]]
+                    depth = depths.get(target, 0)
+                    for n, case in enumerate(sets) if depth else [(-1, ())]:
+                        who, leaf, own = leaves(columns, case, depth)
+                        own &= target == k
+                        for i in range(0, len(who), 1 << 17):
+                            j = slice(i, i + (1 << 17))
+                            shard = (target << 48) | ((n + 1) << 36) | leaf[j]
+                            yield pa.RecordBatch.from_arrays([pa.array(shard), pa.array(own[j]), *(pa.array(c[who[j]]) for c in mine)], names=["shard", "stored", "node", "size", *names])
+
+    def search(key: tuple, rows: pa.Table) -> pa.Table:
+        columns = [rows.column(n).to_numpy().view(np.uint64) for n in names]
+        case = ((key[0].as_py() >> 36) & 0xFFF) - 1
+        stored, everyone = np.nonzero(rows.column("stored").to_numpy(zero_copy_only=False))[0], np.arange(rows.num_rows)
         parent = everyone.copy()
-        _search(columns, columns[b // per_word], band, stored, everyone, radius, bounds[b // per_word], slacks[b], parent)
+        for metrics in sets if case < 0 else sets[case : case + 1]:
+            _search(columns, rows.column("size").to_numpy(), metrics, stored, everyone, radius, ratio, parent)
         moved = np.nonzero(parent != everyone)[0]
-        node = rows["node"].to_numpy()
-        return pd.DataFrame({"a": node[moved], "b": node[parent[moved]]})
+        node = rows.column("node").to_numpy()
+        return pa.table({"a": node[moved], "b": node[parent[moved]]})
 
-    longs = ", ".join(f"{n} long" for n in ["node", *names])
-    dealt = prints.select("node", *names).mapInArrow(deal, f"shard int, stored boolean, {longs}")
-    return dealt.groupBy("shard").applyInPandas(search, "a long, b long")
+    longs = ", ".join(f"{n} long" for n in ["node", "size", *names])
+    dealt = prints.select("node", "size", *names).mapInArrow(deal, f"shard long, stored boolean, {longs}")
+    return dealt.groupBy("shard").applyInArrow(search, "a long, b long")
 
 
-def _classed(marked: DataFrame, radius: int, words: int) -> DataFrame:
-    """Fingerprints by row -> the same with component_id. What is shared by many rows is summed first."""
-    names = _names(words)
-    prints = materialise(marked.groupBy(*names).agg(F.min("doc_id").alias("least")).withColumn("node", F.coalesce("least", F.xxhash64(*names))), "prints")
-    classes = components(linked(prints, radius, words))
+def _class_column(ratio: float) -> Column:
+    return F.floor(F.log(F.greatest("size", F.lit(1))) / -math.log(ratio) + 1e-9) if ratio else F.lit(0).cast("long")
+
+
+def _classed(marked: DataFrame, radius: int, words: int, ratio: float = 0.0) -> DataFrame:
+    """Rows (doc_id, text_key, size, w0, ...) -> the same with ``first``, the smallest (doc_id, text_key) that links reach.
+
+    What is shared by many rows is summed first. Rows without an id name no group.
+    """
+    kind = ["size"] * bool(ratio) + _names(words)
+    own = F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "text_key"))
+    prints = marked.groupBy(*kind).agg(F.min(own).alias("least")).withColumn("node", F.monotonically_increasing_id())
+    prints = materialise(prints if ratio else prints.withColumn("size", F.lit(1).cast("long")), "prints")
+    classes = components(linked(prints, radius, words, ratio))
     named = prints.join(classes.hint("merge"), "node", "left").withColumn("root", F.coalesce("root", "node"))
-    best = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    of_print = named.join(best.hint("merge"), "root").select(*names, "component_id")
-    return marked.join(of_print.hint("merge"), names)
+    best = named.groupBy("root").agg(F.min("least").alias("first"))
+    of_print = named.join(best.hint("merge"), "root").select(*kind, "first")
+    return marked.join(of_print.hint("merge"), kind)
 
 
 def near_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -272,17 +325,21 @@ def near_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_col: str =
     table gives no rows. Other columns are not read.
     """
     marked = materialise(fingerprints(docs, width, 1, id_col, text_col), "fingerprints")
-    return _classed(marked, radius, 1).select("doc_id", F.lpad(F.lower(F.hex("w0")), 16, "0").alias("fingerprint"), "component_id")
+    return _classed(marked, radius, 1).select("doc_id", F.lpad(F.lower(F.hex("w0")), 16, "0").alias("fingerprint"), F.col("first.doc_id").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, width: int = 5, similarity: float = 0.8, words: int = 4) -> DataFrame:
     """The rows of ``docs`` that stay: of each group of near copies, that with the smallest id; all columns are kept.
 
-    Two rows are near copies if their fingerprints agree in at least ``similarity`` of the bits. 256 bits tell that from
-    chance without a false link, and every such pair is found. Wordless rows are no copies of each other and all stay, as do rows without an id.
+    Two rows are near copies if their fingerprints agree in at least ``similarity`` of the bits and the smaller has at least
+    that share of the larger's shingles, as texts must that share so many. 256 bits tell that from chance without a
+    false link, and every such pair is found. Wordless rows are no copies of each other and all stay, as do rows without
+    an id. Of rows that repeat an id, those of other texts are rows of their own; equal rows stay or go together. An
+    empty table stays empty. Input columns may have any names.
     """
     radius = int(64 * words * (1 - similarity))
     marked = materialise(fingerprints(docs, width, words), "fingerprints")
-    zero = " AND ".join(f"{n} = 0" for n in _names(words))
-    gone = _classed(marked.where(f"NOT ({zero})"), radius, words).where("doc_id <> component_id").select(F.col("doc_id").alias("_near_id")).distinct()
-    return docs.join(gone.hint("merge"), docs["doc_id"] == gone["_near_id"], "left_anti")
+    seen = _classed(marked.where("size > 0"), radius, words, similarity)
+    gone = seen.where("doc_id IS NOT NULL AND (doc_id <> first.doc_id OR text_key <> first.text_key)").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
+    same = (docs["doc_id"] == gone["_id"]) & (text_key("text") == gone["_key"])
+    return docs.join(gone.hint("merge"), same, "left_anti")

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from clipflow.llm.common import materialise, mix64, ship, utf8
 
-CHUNK_BYTES, RANGE_BYTES = 8 << 20, 8 << 20  # of text
+CHUNK_BYTES, RANGE_BYTES = 4 << 20, 8 << 20  # of text
 HOT = 1 << 15  # strings of one gram that one task may compare
 SEGMENT = 1 << 18  # tokens that are hashed at once
 PLACE_BITS = 20  # enough for a segment and a window

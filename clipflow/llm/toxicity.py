@@ -121,7 +121,11 @@ def remainder(id_col: str) -> Column:
 
 
 def learn(docs: DataFrame, labels: DataFrame, max_toxic: int = MAX_TOXIC, max_clean: int = MAX_CLEAN) -> Model:
-    """A model from labelled rows that aren't held out. Null labels, ids and rows without a document teach nothing."""
+    """A model from labelled rows that aren't held out. Null labels, ids and rows without a document teach nothing.
+
+    At most ``max_toxic`` and ``max_clean`` rows reach the driver: of rows that repeat a labelled id, one text, that with
+    the smallest hash; of labels that repeat an id, one. Empty tables give a model that finds nothing toxic.
+    """
     ship(docs.sparkSession)
     usable = labels.where(remainder("doc_id") != 1).where("toxic IN (0, 1)").select("doc_id", "toxic").dropDuplicates(["doc_id"])
     picked = None
@@ -130,7 +134,8 @@ def learn(docs: DataFrame, labels: DataFrame, max_toxic: int = MAX_TOXIC, max_cl
         picked = some if picked is None else picked.unionByName(some)
     # at most max_toxic + max_clean ids of 8 bytes: that bound allows the broadcast
     sample = docs.select("doc_id", utf8("text").alias("text")).join(F.broadcast(picked), "doc_id")
-    return fit((bytes(r.text), r.toxic) for r in sample.select("text", "toxic").toLocalIterator())
+    sample = sample.groupBy("doc_id").agg(F.min(F.struct(F.xxhash64("text").alias("h"), "text", "toxic")).alias("r"))
+    return fit((bytes(r.text), r.toxic) for r in sample.orderBy("doc_id").select("r.text", "r.toxic").toLocalIterator())
 
 
 def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -160,7 +165,11 @@ def score(docs: DataFrame, model: Model, threshold: float = THRESHOLD, id_col: s
 
 
 def reject(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    """The documents that score below the threshold, with all their columns, judged where they stand."""
+    """The documents that score below the threshold, with all their columns, judged where they stand.
+
+    Null and empty texts score as one empty sentence. Rows that repeat are judged each; an empty table stays empty; other
+    columns may have any names.
+    """
     ship(docs.sparkSession)
     cast = docs.sparkSession.sparkContext.broadcast(model)
 

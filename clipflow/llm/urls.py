@@ -89,9 +89,13 @@ def grams(host_col: Column, path_col: Column) -> Column:
     return F.array_distinct(F.concat(*parts))
 
 
-def train(labelled: DataFrame, rounds: int = 200, rate: float = 0.5, decay: float = 1e-3) -> DataFrame:
-    """labelled (url, label) -> one row: bias, weights (array of ``BUCKETS`` doubles). Null urls or labels teach nothing."""
-    seen = labelled.where("url IS NOT NULL AND label IN (0, 1)").select(grams(host(F.col("url")), path(F.col("url"))).alias("b"), F.col("label").cast("double").alias("y"))
+def train(labelled: DataFrame, max_rows: int = 500, rounds: int = 200, rate: float = 0.5, decay: float = 1e-3) -> DataFrame:
+    """labelled (url, label) -> one row: bias, weights (array of ``BUCKETS`` doubles). Null urls or labels teach nothing.
+
+    At most ``max_rows`` examples are used, those with the smallest hash: they are one row, with their products.
+    """
+    some = labelled.where("url IS NOT NULL AND label IN (0, 1)").orderBy(F.xxhash64("url"), "url", "label").limit(max_rows)
+    seen = some.select(grams(host(F.col("url")), path(F.col("url"))).alias("b"), F.col("label").cast("double").alias("y"))
     one = seen.agg(F.array_sort(F.collect_list(F.struct("b", "y"))).alias("x"))
     # transform(array(v), v -> ...)[0] names a value, so that it is worked out once
     product = "transform(x, p -> transform(x, q -> 1D + size(array_intersect(p.b, q.b)) / sqrt(cast(size(p.b) * size(q.b) AS double))))"

@@ -85,16 +85,18 @@ def test_simhash_matches_brute_force(spark, corpus):
     assert simhash.near_groups(frame(spark, [])).count() == 0
 
 
-def test_vantage_point_search_finds_every_pair(spark):
+@pytest.mark.parametrize("shard_rows", [30, 50_000])
+def test_vantage_point_search_finds_every_pair(spark, shard_rows):
     rng = np.random.default_rng(3)
     base = rng.integers(0, 1 << 63, 300, dtype=np.int64)
+    base[200:] &= np.int64(0xFFFF)  # many that agree in three bands
     near = base[:200].copy()
     for _ in range(4):
         near ^= np.int64(1) << rng.integers(0, 63, 200)
     far = base[:50] ^ np.int64(0b11111)
     prints = np.unique(np.concatenate([base, near, far, [0, 1, 3, 15, 31]]))
-    df = spark.createDataFrame([(int(x), int(x)) for x in prints], "node long, w0 long")
-    roots = {r.node: r.root for r in components(simhash.linked(df, 4)).collect()}
+    df = spark.createDataFrame([(int(x), 1, int(x)) for x in prints], "node long, size long, w0 long")
+    roots = {r.node: r.root for r in components(simhash.linked(df, 4, shard_rows=shard_rows)).collect()}
     d = np.bitwise_count(prints.view(np.uint64)[:, None] ^ prints.view(np.uint64)[None, :])
     least = np.arange(len(prints))
     for _ in range(len(prints)):
@@ -130,15 +132,35 @@ def test_near_stage_finds_every_pair_up_to_its_radius(spark, monkeypatch):
         row[spread[:n]] ^= 1
     bits = np.concatenate([a, b])
     prints = np.packbits(bits, axis=1, bitorder="little").view(np.int64)
-    df = spark.createDataFrame([(i, *map(int, p)) for i, p in enumerate(prints)], "doc_id long, w0 long, w1 long, w2 long, w3 long")
+    df = spark.createDataFrame([(i, "x", 9, *map(int, p)) for i, p in enumerate(prints)], "doc_id long, text string, size long, w0 long, w1 long, w2 long, w3 long")
+    df = df.withColumn("text_key", simhash.text_key("text"))
     monkeypatch.setattr(simhash, "fingerprints", lambda *_: df)
-    kept = {r.doc_id for r in simhash.keep_one(df.select("doc_id")).collect()}
+    kept = {r.doc_id for r in simhash.keep_one(df.select("doc_id", "text")).collect()}
     n = len(distances)
     assert kept == {*range(n), *(n + i for i, d in enumerate(distances) if d > 51)}
     far = (bits[:, None, :] != bits[None, :, :]).sum(axis=2)
     assert sorted(zip(*(x.tolist() for x in np.nonzero(np.triu(far <= 51, 1))))) == [(i, n + i) for i, d in enumerate(distances) if d <= 51]
 
 
+def test_near_stage_and_repeated_ids(spark, corpus):
+    """An id's other texts stay when one of them is a copy; sizes beyond the ratio are no copies."""
+    words = corpus[20][1].split()
+    rows = [(1, " ".join(words)), (2, " ".join([*words[:-1], "other"])), (2, corpus[10][1]), (3, " ".join(words * 2)), (2, " ".join([*words[:-1], "more"]))]
+    kept = simhash.keep_one(frame(spark, rows, True))
+    assert sorted((r.doc_id, r.text) for r in kept.collect()) == sorted([rows[0], rows[2], rows[3]])
+
+
+def test_cases_keep_every_pair():
+    rng = np.random.default_rng(4)
+    for radius, words in ((4, 1), (3, 1), (7, 1), (12, 1), (51, 4), (20, 2)):
+        sets = simhash.cases(radius, words)
+        for _ in range(300):
+            flips = rng.choice(64 * words, radius, replace=False)
+            bits = np.zeros((words, 64), int)
+            bits[flips // 64, flips % 64] = 1
+            assert any(all(bits[m.word, 16 * m.band : 16 * m.band + 16].sum() <= m.slack for m in case) for case in sets)
+
+
 def test_shares_bound_some_part():
     for radius, parts in ((51, 16), (51, 4), (12, 4), (4, 4), (2, 4), (0, 4)):
         assert sum(s + 1 for s in simhash.shares(radius, parts)) == radius + 1
