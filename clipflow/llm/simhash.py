@@ -248,7 +248,8 @@ def linked(prints: DataFrame, radius: int = 4, words: int = 1, ratio: float = 0.
     names, sets = _names(words), cases(radius, words)
     # at most some 60 size classes, as they grow by a factor
     held = {r["k"]: r["n"] for r in prints.groupBy(_class_column(ratio).alias("k")).agg(F.count(F.lit(1)).alias("n")).collect()}
-    depths = {k: max(0, math.ceil(math.log2(n / shard_rows))) for k, n in held.items()}
+    # without size classes two levels at least: what is dealt then grows with the rows, not by a leap
+    depths = {k: max(0 if ratio else 2, math.ceil(math.log2(n / shard_rows))) for k, n in held.items()}
 
     def leaves(columns: list[np.ndarray], case: tuple[Metric, ...], depth: int) -> tuple[np.ndarray, ...]:
         """(row, leaf, is it the row's own leaf) for all leaves that each row enters; its bands share the depth."""
@@ -272,7 +273,7 @@ def linked(prints: DataFrame, radius: int = 4, words: int = 1, ratio: float = 0.
                     rows = np.nonzero(kind == k)[0]
                     mine = [c[rows] for c in signed]
                     columns = [c.view(np.uint64) for c in mine[2:]]
-                    depth = depths.get(target, 0)
+                    depth = depths.get(target, 0 if ratio else 2)
                     for n, case in enumerate(sets) if depth else [(-1, ())]:
                         who, leaf, own = leaves(columns, case, depth)
                         own &= target == k
