@@ -3,15 +3,22 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import json
 import os
 import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+try:
+    _libc = ctypes.CDLL("libc.so.6")
+except OSError:  # another C library
+    _libc = None
+
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
@@ -146,6 +153,13 @@ class Manifest:
         self._fs().delete(self._path(f"v{version:08d}.json"), False)
 
 
+def release() -> None:
+    """Give a worker's freed memory back to the system: it stays a worker between tasks, beside the JVM's heap."""
+    pa.default_memory_pool().release_unused()
+    if _libc is not None:
+        _libc.malloc_trim(0)
+
+
 def utf8(column: str) -> Column:
     """Text as bytes, null as empty: Python workers then neither decode nor encode."""
     return F.coalesce(F.col(column).cast("binary"), F.lit(b""))

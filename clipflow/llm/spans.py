@@ -31,10 +31,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from clipflow.llm.common import materialise, mix64, ship, utf8
+from clipflow.llm.common import materialise, mix64, release, ship, utf8
 
 CHUNK_BYTES, RANGE_BYTES = 4 << 20, 8 << 20  # of text
-HOT = 1 << 15  # strings of one gram that one task may compare
+HOT = 1 << 11  # strings of one gram that one task may compare
 SEGMENT = 1 << 18  # tokens that are hashed at once
 PLACE_BITS = 20  # enough for a segment and a window
 LAST_ID, FIRST_ID = np.iinfo(np.int64).max, np.iinfo(np.int64).min
@@ -390,6 +390,8 @@ def sorted_runs(chunks: DataFrame, kind: Kind, ranges: int) -> DataFrame:
                 rows = [(number, r, "grams", pack_columns(c.keys[s], c.about[s], c.least[s], c.twice[s]), None) for r, s in filled(c.keys, ranges)]
                 del c
                 yield from _rows(rows).to_batches()
+                del rows
+                release()
 
     return chunks.select("chunk", "docs").mapInArrow(run, PLACE)
 
@@ -561,7 +563,10 @@ def repeats(chunks: DataFrame, told: DataFrame, kind: Kind, classes: Classes, fi
             if not rows.num_rows or not replies.num_rows:
                 return _rows([])
             c = Chunk.read(rows.column("docs")[0].as_py(), kind)
-            return _rows(send_strings(key[0].as_py(), c, c.codes(replies), ranges, old))
+            out = _rows(send_strings(key[0].as_py(), c, c.codes(replies), ranges, old))
+            del c
+            release()
+            return out
 
         return run
 
@@ -569,7 +574,10 @@ def repeats(chunks: DataFrame, told: DataFrame, kind: Kind, classes: Classes, fi
         c = Chunk.read(rows.column("docs")[0].as_py(), kind)
         mine = replies.filter(pa.compute.equal(replies.column("what"), "answer"))
         gone = removed_of(c, c.codes(mine), replies, ranges)
-        return pa.Table.from_pylist([finish(i, *cut, removed) for i, cut, removed in zip(c.ids, c.cuts, gone)], schema=arrow)
+        out = pa.Table.from_pylist([finish(i, *cut, removed) for i, cut, removed in zip(c.ids, c.cuts, gone)], schema=arrow)
+        del c, gone
+        release()
+        return out
 
     import pyarrow.compute  # noqa: F401
 
