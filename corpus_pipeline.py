@@ -2,6 +2,11 @@
 
 Each stage takes (spark, docs, sf_dir) and returns the documents that it keeps, with their columns; the last returns
 packed pieces. Stages are written and read again in between, so a lost executor costs at most one stage.
+
+In every stage null and empty texts are texts without words: the first, of equal ones, that exact dedup keeps is kept to the
+end, as one end id. Rows without an id are judged like others; where copies are told by id, they count as the last. Rows
+that repeat an id are rows of their own, but equal rows are one after exact dedup. Empty tables stay empty, and columns
+beside the documents' own are carried along under any name.
 """
 
 from __future__ import annotations
