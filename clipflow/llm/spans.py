@@ -248,7 +248,8 @@ class Chunk:
         column = texts.column("text")
         self.cuts = [kind.cut(column[int(i)].as_py()) for i in order]
         self.doc, self.first, self.last, h, string = runs_of(self.cuts, kind)
-        key, string = (h >> np.uint64(64 - KEY_BITS)).astype(np.int64), (string >> np.uint64(64 - KEY_BITS)).astype(np.int64)
+        # the smallest hashes are small: only scrambled anew do they spread over the ranges
+        key, string = (mix64(h) >> np.uint64(64 - KEY_BITS)).astype(np.int64), (string >> np.uint64(64 - KEY_BITS)).astype(np.int64)
         order = np.argsort(key, kind="stable")  # runs come by document, so each key's first is of the smallest id
         sorted_key = key[order]
         fresh = np.diff(sorted_key, prepend=-1) != 0

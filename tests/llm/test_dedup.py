@@ -268,3 +268,33 @@ def test_spans_of_a_joined_table_repeated_and_null_ids(spark, corpus):
     assert got == [(False, 0, 0), (False, 30, 0), (False, 30, 0), (True, 30, 30), (True, 30, 30)]
     got = sorted(((r.doc_id is None, r.n_removed) for r in suffix.dedup_bytes(frame(spark, rows)).collect()))
     assert got == [(False, 0), (False, 0), (False, 0), (True, len(text)), (True, len(text))]
+
+
+def test_near_stage_finds_what_shares_its_shingles(spark):
+    """Of the given documents' pairs that share 0.8 of their five-word shingles, nine in ten at least are in one group,
+    and no group's document is without such a neighbour at 0.6."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    texts = {r.doc_id: (r.text or "").lower().split() for r in docs.collect()}
+    sets = {d: {" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for d, w in texts.items() if w}
+    holders = {}
+    for d, s in sets.items():
+        for x in s:
+            holders.setdefault(x, []).append(d)
+    common = {}
+    for ds in holders.values():
+        for i, a in enumerate(ds):
+            for b in ds[i + 1 :]:
+                common[a, b] = common.get((a, b), 0) + 1
+    share = {p: n / (len(sets[p[0]]) + len(sets[p[1]]) - n) for p, n in common.items()}
+    marked = simhash.fingerprints(docs, 5, 4)
+    first = {r.doc_id: r.first.doc_id for r in simhash._classed(marked.where("size > 0"), 51, 4, 0.8).collect()}
+    near = [p for p, j in share.items() if j >= 0.8]
+    assert len(near) > 50 and sum(first[a] == first[b] for a, b in near) >= 0.9 * len(near)
+    best = {}
+    for (a, b), j in share.items():
+        if first[a] == first[b]:
+            best[a], best[b] = max(best.get(a, 0), j), max(best.get(b, 0), j)
+    groups = {}
+    for d, f in first.items():
+        groups.setdefault(f, []).append(d)
+    assert all(best.get(d, 0) >= 0.6 for ds in groups.values() if len(ds) > 1 for d in ds)
