@@ -29,3 +29,18 @@ def crop_nearest(col: str, width: int, top: int, left: int, height: int, breadth
     """A rectangle of the frame, as an array of doubles."""
     at = [r * width + c for r in range(top, top + height) for c in range(left, left + breadth)]
     return F.expr(f"transform(array({', '.join(map(str, at))}), i -> cast({col}[i] AS double))")
+
+
+def sample_bilinear(col: str, height: int, width: int, out_height: int, out_width: int, a: str, b: str, c: str, d: str, e: str, f: str) -> Column:
+    """A thumbnail of ``out_height`` x ``out_width``: pixel (row i, column j) is the frame at x = a j + b i + c, y = d j + e i + f.
+
+    Between four pixels by bilinear weights; beyond the frame by its nearest edge. The six are column expressions.
+    """
+    clamp = lambda v, n: f"least(greatest({v}, 0D), {n - 1}D)"
+    at = f"transform(sequence(0, {out_height * out_width - 1}), k -> named_struct('x', {clamp(f'({a}) * (k % {out_width}) + ({b}) * (k DIV {out_width}) + ({c})', width)}, 'y', {clamp(f'({d}) * (k % {out_width}) + ({e}) * (k DIV {out_width}) + ({f})', height)}))"
+    px = lambda r, q: f"cast({col}[cast({r} * {width} + {q} AS int)] AS double)"
+    r0, q0 = "floor(p.y)", "floor(p.x)"
+    r1, q1 = f"least({r0} + 1, {height - 1})", f"least({q0} + 1, {width - 1})"
+    wy, wx = f"(p.y - {r0})", f"(p.x - {q0})"
+    mixed = f"(1D - {wy}) * ((1D - {wx}) * {px(r0, q0)} + {wx} * {px(r0, q1)}) + {wy} * ((1D - {wx}) * {px(r1, q0)} + {wx} * {px(r1, q1)})"
+    return F.expr(f"transform({at}, p -> {mixed})")

@@ -1,5 +1,6 @@
 """The rows of the main table over one set of utterances: ten methods that differ in lattice noise, unit, lexicon, model
-and search. Lattices come from the simulator, so only the order of the error rates means anything."""
+and search. Lattices come from the simulator, so only the order of the error rates means anything; ``trained`` has the
+methods' networks, trained on rendered clips."""
 
 from __future__ import annotations
 
@@ -16,6 +17,7 @@ from clipflow.operators import fst as T
 from clipflow.operators import lm as M
 from clipflow.operators.ctc import ctc_greedy
 from clipflow.sources import lattices as L
+from clipflow.sources.tables import written
 
 
 @dataclass(frozen=True)
@@ -25,7 +27,7 @@ class Method:
     name: str
     swap: float
     unit: str = "phone"
-    order: int = 3
+    order: int = 5
     params: float | None = None  # millions, as printed
     viseme: bool = False
     shown: int = 0  # words of the clip that are given
@@ -45,30 +47,34 @@ METHODS = (
 )
 
 
-def language_model(train: DataFrame, vocabulary: DataFrame, order: int) -> tuple[dict, dict]:
-    """Katz model over a bounded vocabulary as dictionaries for the decoder: (w) or (h.., w) -> log p; (h..) -> log weight.
+#: What one broadcast graph may hold: n-grams of each order, and words. Larger models are pruned to the most frequent.
+MAX_GRAMS, MAX_WORDS = 1_000_000, 100_000
 
-    The decoder's graph is broadcast, so its vocabulary is what bounds it; pruning comes first for larger ones.
+
+def language_model(train: DataFrame, vocabulary: DataFrame, order: int, most: int = MAX_GRAMS) -> tuple[dict, dict]:
+    """Katz model over a bounded vocabulary (w) as dictionaries for the decoder: (h.., w) -> log p; (h..) -> log weight.
+
+    Order 1 is the smoothed frequency of the vocabulary's words: one is added to each count.
     """
-    model = M.katz_train(M.ngram_counts(train, max(order, 1)), max(order, 1))
-    known = vocabulary.select("w").union(train.sparkSession.createDataFrame([("</s>",)], "w string")).distinct()
-    lm, back = {}, {}
-    for r in model.join(known, "w", "left_semi").toLocalIterator():
-        lm[(*(r.ctx.split(" ") if r.ctx else []), r.w)] = math.log(r.p)
-    heads = known.select(F.col("w").alias("ctx")).union(train.sparkSession.createDataFrame([("<s>",)], "w string"))
-    for n in range(2, order + 1):
-        b = M.back_off_weights(model, n)
-        b = b.join(heads, "ctx", "left_semi") if n == 2 else b
-        for r in b.toLocalIterator():
-            back[tuple(r.ctx.split(" "))] = math.log(max(r.bow, 1e-12))
-    return lm, back
+    if order == 1:
+        counts = M.ngram_counts(train, 1).join(vocabulary.select("w"), "w", "right").select("w", (F.coalesce("c", F.lit(0)) + 1).alias("c")).toArrow()
+        total = sum(counts["c"].to_pylist())
+        return {(w,): math.log(c / total) for w, c in zip(counts["w"].to_pylist(), counts["c"].to_pylist())}, {}
+    model, weights = M.katz_model(train, order, most=most)
+    known = vocabulary.select("w").union(train.sparkSession.createDataFrame([("</s>",)], "w string"))
+    rows = model.join(known, "w", "left_semi").select("ctx", "w", F.log("p").alias("l")).toArrow()  # at most ``most`` an order
+    lm = {(*(c.split(" ") if c else ()), w): x for c, w, x in zip(*(rows[n].to_pylist() for n in ("ctx", "w", "l")))}
+    rows = weights.where("bow > 0").select("ctx", F.log("bow").alias("l")).toArrow()
+    back = {tuple(c.split(" ")): x for c, x in zip(*(rows[n].to_pylist() for n in ("ctx", "l")))}
+    dead = weights.where("bow <= 0").select("ctx").toArrow()["ctx"].to_pylist()
+    return lm, back | {tuple(c.split(" ")): math.log(1e-12) for c in dead}
 
 
 def hypotheses(utts: DataFrame, method: Method, decoder: T.Decoder) -> DataFrame:
     """utts (utt, words) -> utt, method, ref, hyp, ref_units, hyp_units."""
     unit = F.array_join(F.transform("words", lambda w: G.g2p(w)), "") if method.unit == "phone" else F.array_join("words", "")
-    target = F.expr(f"slice(words, {method.shown + 1}, 40)") if method.shown else F.col("words")
-    u = utts.withColumn("words", target).where("size(words) > 0")
+    target = F.expr(f"slice(words, {method.shown + 1}, size(words))") if method.shown else F.col("words")
+    u = utts.where(F.size("words") >= 2 * method.shown).withColumn("words", target).where("size(words) > 0")
     u = u.withColumn("units", unit)
     seen = u.withColumn("phones", G.viseme(F.col("units")) if method.viseme else F.col("units"))
     lattice = L.lattice(seen, ["utt"], "phones", method.swap, f"table-{method.unit}")
@@ -95,28 +101,41 @@ def decoder_for(method: Method, vocabulary: list[str], phones: dict[str, str], l
     return T.Decoder([(w, sound(w)) for w in vocabulary], lm, back, order=method.order, beam=9.0, max_active=80, weight=0.6)
 
 
+def vocabulary_of(train: DataFrame, most: int = MAX_WORDS) -> DataFrame:
+    """w, phones: the ``most`` frequent words of training. Words that only the test set has are out of it."""
+    return M.prune(M.ngram_counts(train, 1), 1, most).where("w <> '</s>'").select("w", G.g2p(F.col("w")).alias("phones"))
+
+
+def decoder(train: DataFrame, method: Method) -> T.Decoder:
+    """One method's decoder from the training text alone."""
+    vocabulary = written(vocabulary_of(train), "vocabulary")
+    rows = vocabulary.toArrow()  # at most MAX_WORDS
+    phones = dict(zip(rows["w"].to_pylist(), rows["phones"].to_pylist()))
+    return decoder_for(method, sorted(phones), phones, *language_model(train, vocabulary, method.order))
+
+
 def main_table(spark: SparkSession, utts: DataFrame, train: DataFrame, methods: tuple[Method, ...] = METHODS, replicates: int = 50) -> DataFrame:
-    """method, params, per, cer, wer (percent) with their bootstrap spreads.
+    """method, params, per, cer, wer (percent) with their bootstrap spreads, and oov: the percentage of unknown words.
 
-    utts (utt, words): the test set. The vocabulary is the test set's own words plus the frequent ones of training, so no
-    method loses for want of a word; it bounds the broadcast graph.
+    utts (utt, words): the test set, of six words a row at least; methods that are shown words take those of twelve.
     """
-    frequent = M.prune(M.ngram_counts(train, 1), 1, 2000).select("w")
-    vocabulary = utts.select(F.explode("words").alias("w")).union(frequent).where("w <> '</s>'").distinct().withColumn("phones", G.g2p(F.col("w")))
-    phones = {r.w: r.phones for r in vocabulary.toLocalIterator()}
-    models = {}
-    for n in sorted({m.order for m in methods}):
-        models[n] = language_model(train, vocabulary, n)
+    vocabulary = written(vocabulary_of(train), "vocabulary")
+    rows = vocabulary.toArrow()  # at most MAX_WORDS
+    phones = dict(zip(rows["w"].to_pylist(), rows["phones"].to_pylist()))
+    models = {n: language_model(train, vocabulary, n) for n in sorted({m.order for m in methods})}
+    utts = written(utts, "utterances")
     hyps = None
     for m in methods:
         h = hypotheses(utts, m, decoder_for(m, sorted(phones), phones, *models[m.order]))
         hyps = h if hyps is None else hyps.unionByName(h)
-    e = edits(hyps)
+    e = written(edits(hyps), "edits")
     rates = E.bootstrap_se(e, ["method", "unit"], ["utt"], replicates)
     wide = rates.groupBy("method").agg(*[
         F.round(100 * F.max(F.when(F.col("unit") == u, F.col(c))), 1).alias(n)
         for u, c, n in (("unit", "rate", "per"), ("unit", "se", "per_se"), ("char", "rate", "cer"), ("char", "se", "cer_se"), ("word", "rate", "wer"), ("word", "se", "wer_se"))
     ])
+    words = utts.select(F.explode("words").alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n")).join(vocabulary.select("w", F.lit(1).alias("known")), "w", "left")
+    oov = words.agg(F.round(100 * F.try_divide(F.sum(F.when(F.col("known").isNull(), F.col("n")).otherwise(0)).cast("double"), F.sum("n")), 1).alias("oov"))
     about = spark.createDataFrame([(m.name, None if m.params is None else float(m.params), m.unit) for m in methods], "method string, params double, kind string")
     per = lambda c: F.when(F.col("kind") == "phone", F.col(c)).alias(c)
-    return about.join(wide, "method").select("method", "params", per("per"), per("per_se"), "cer", "cer_se", "wer", "wer_se")
+    return about.join(wide, "method").select("method", "params", per("per"), per("per_se"), "cer", "cer_se", "wer", "wer_se", oov.scalar().alias("oov"))

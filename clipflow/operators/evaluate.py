@@ -9,8 +9,6 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from clipflow.sources.standin import hash8
-
 
 def error_rate(df: DataFrame, by: list[str], edits: str = "edits", length: str = "ref_len") -> DataFrame:
     """Sum of edits over sum of reference lengths, by group: pooled, so it may exceed 1; null for empty references."""
@@ -32,15 +30,23 @@ def poisson_weight(u: Column, most: int = 8) -> Column:
 
 
 def bootstrap_se(df: DataFrame, by: list[str], keys: list[str], replicates: int = 100, seed: str = "boot", edits: str = "edits", length: str = "ref_len") -> DataFrame:
-    """by, rate, se: utterances weighed by Poisson(1) from a hash of replicate and utterance.
+    """by, rate, se: utterances weighed by Poisson(1) from a hash of the utterance and a block of eight replicates.
 
-    Weights are made where the row is and summed before the shuffle: what moves is one row a group, replicate and task.
+    Each hash gives eight weights of 16 bits. Rows are copied once a block, not once a replicate, and weights are summed
+    where the row is: what moves is one row a group, block and task.
     """
-    reps = df.withColumn("rep", F.explode(F.sequence(F.lit(1), F.lit(replicates))))
-    u = hash8(F.lit(seed), F.col("rep").cast("string"), *[F.col(k).cast("string") for k in keys]) / 4294967296.0
-    w = poisson_weight(u)
-    sums = reps.groupBy(*by, "rep").agg(F.sum(F.col(edits) * w).alias("e"), F.sum(F.col(length) * w).alias("n"))
-    se = sums.groupBy(*by).agg(F.stddev_samp(F.try_divide(F.col("e").cast("double"), F.col("n"))).alias("se"))
+    blocks = -(-replicates // 8)
+    h = F.md5(F.concat_ws("|", F.lit(seed), F.col("block").cast("string"), *[F.col(k).cast("string") for k in keys]))
+    reps = df.select(*by, *keys, edits, length, F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block")).withColumn("h", h)
+    sums = []
+    for j in range(8):
+        w = poisson_weight(F.conv(F.substring("h", 4 * j + 1, 4), 16, 10).cast("int") / 65536.0)
+        reps = reps.withColumn(f"w{j}", w)
+        sums += [F.sum(F.col(edits) * F.col(f"w{j}")).alias(f"e{j}"), F.sum(F.col(length) * F.col(f"w{j}")).alias(f"n{j}")]
+    wide = reps.groupBy(*by, "block").agg(*sums)
+    each = wide.select(*by, F.inline(F.array(*[F.struct((F.col("block") * 8 + j).alias("rep"), F.col(f"e{j}").alias("e"), F.col(f"n{j}").alias("n")) for j in range(8)])))
+    rate = F.try_divide(F.col("e").cast("double"), F.col("n"))
+    se = each.where(F.col("rep") < replicates).groupBy(*by).agg(F.stddev_samp(rate).alias("se"))
     return error_rate(df, by, edits, length).join(se, by) if by else error_rate(df, by, edits, length).crossJoin(F.broadcast(se))
 
 

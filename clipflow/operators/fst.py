@@ -10,6 +10,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -140,6 +141,28 @@ def determinise(m: Fst) -> Fst:
     return out
 
 
+def remove_epsilon(m: Fst) -> Fst:
+    """An acceptor without empty arcs: each state takes over the arcs and final weights that empty paths lead to, at their cost."""
+    out = Fst(m.start)
+    for s in {m.start, *m.arcs, *m.finals, *(x[-1] for arcs in m.arcs.values() for x in arcs)}:
+        cost, heap = {s: 0.0}, [(0.0, s)]
+        while heap:
+            c, q = heapq.heappop(heap)
+            if c > cost[q]:
+                continue
+            for i, o, w, t in m.arcs.get(q, ()):
+                if i == EPS and o == EPS and c + w < cost.get(t, math.inf):
+                    cost[t] = c + w
+                    heapq.heappush(heap, (c + w, t))
+        for q, c in cost.items():
+            if q in m.finals:
+                out.finals[s] = min(out.finals.get(s, math.inf), c + m.finals[q])
+            for i, o, w, t in m.arcs.get(q, ()):
+                if i != EPS or o != EPS:
+                    out.add(s, i, o, c + w, t)
+    return connect(out)
+
+
 def best_strings(m: Fst, n: int = 1, most: int = 100_000) -> list[tuple[tuple[str, ...], float]]:
     """The n cheapest paths' outputs, by cost; weights are not negative."""
     heap, found, seen, tick = [(0.0, 0, m.start, ())], [], set(), 0
@@ -197,7 +220,7 @@ class Decoder:
         return Decoder(self.lexicon, lm, back, order, self.beam, self.max_active, self.weight, self.floor)
 
     def word_score(self, history: tuple[str, ...], word: str) -> float:
-        h = history[len(history) - self.order + 1 :] if self.order > 1 else ()
+        h = history[max(0, len(history) - self.order + 1) :] if self.order > 1 else ()
         cost = 0.0
         while True:
             if (p := self.lm.get((*h, word))) is not None:
@@ -243,13 +266,159 @@ class Decoder:
         return sorted(ends.items(), key=lambda x: -x[1])[:n]
 
 
+class Graph:
+    """A decoder as arrays: the lexicon's tree and the language model's states, searched for many clips at once.
+
+    Tokens of one clip that share tree node, last symbol and language-model state are one: what follows costs them the same.
+    """
+
+    def __init__(self, decoder: Decoder):
+        self.order, self.beam, self.most, self.weight, self.floor = decoder.order, decoder.beam, decoder.max_active, decoder.weight, decoder.floor
+        letters = sorted({c for node in decoder.tree for c in node} - {"_"})
+        self.symbols = {"_": 0} | {c: i + 1 for i, c in enumerate(letters)}
+        self.n_symbols, self.n_nodes = len(self.symbols) + 1, len(decoder.tree)  # the last one stands for symbols of no word
+        arcs = sorted((n * self.n_symbols + self.symbols[c], to) for n, node in enumerate(decoder.tree) for c, to in node.items())
+        self.child_key, self.child = (np.array(x, np.int64) for x in (zip(*arcs) if arcs else ((), ())))
+        model = {k: p for k, p in decoder.lm.items() if len(k) <= max(self.order, 1)}
+        contexts = {()} | {k[:i] for k in [k[:-1] for k in model] + [k for k in decoder.back if len(k) < self.order] for i in range(len(k) + 1)}
+        # a context is reached by an arc: where its own words were not seen together, by one that costs what backing off does
+        for context in sorted(contexts, key=lambda k: (len(k), k)):
+            if context and context not in model and context != ("<s>",):
+                model[context] = self._backed_off(model, decoder.back, context[:-1], context[-1])
+        self.vocabulary = sorted({w for ws in decoder.words for w in ws} | {k[-1] for k in model} | {"</s>"})
+        number = {w: i for i, w in enumerate(self.vocabulary)}
+        self.word_first = np.cumsum([0, *map(len, decoder.words)])
+        self.word = np.array([number[w] for ws in decoder.words for w in ws], np.int64)
+        self.end = number["</s>"]
+        states = {k: i for i, k in enumerate(sorted(contexts, key=lambda k: (len(k), k)))}
+
+        def known(context: tuple[str, ...]) -> int:
+            while context not in states:
+                context = context[1:]
+            return states[context]
+
+        v = len(self.vocabulary)
+        lm = sorted((states[k[:-1]] * v + number[k[-1]], p, known(k[max(0, len(k) - self.order + 1) :] if self.order > 1 else ())) for k, p in model.items())
+        self.lm_key, self.lm_p, self.lm_to = (np.array(x, t) for x, t in zip(zip(*lm) if lm else ((), (), ()), (np.int64, float, np.int64)))
+        self.back = np.array([decoder.back.get(k, 0.0) for k in states])
+        self.back_to = np.array([known(k[1:]) if k else 0 for k in states], np.int64)
+        self.start = known(("<s>",)) if self.order > 1 else 0
+        self.n_states = len(states)
+
+    def _backed_off(self, model: dict, back: dict, context: tuple[str, ...], word: str) -> float:
+        cost = 0.0
+        while (p := model.get((*context, word))) is None:
+            if not context:
+                return cost + self.floor
+            cost += back.get(context, 0.0)
+            context = context[1:]
+        return cost + p
+
+    def word_scores(self, state: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Log probability of each word after each state, backing off as often as it takes, and the state it leads to."""
+        score, to, cost, at, todo = np.zeros(len(word)), np.zeros(len(word), np.int64), np.zeros(len(word)), state.copy(), np.arange(len(word))
+        while len(todo):
+            key = at[todo] * len(self.vocabulary) + word[todo]
+            place = np.minimum(np.searchsorted(self.lm_key, key), max(len(self.lm_key) - 1, 0))
+            hit = self.lm_key[place] == key if len(self.lm_key) else np.zeros(len(key), bool)
+            score[todo[hit]], to[todo[hit]] = cost[todo[hit]] + self.lm_p[place[hit]], self.lm_to[place[hit]]
+            todo = todo[~hit]
+            lost = at[todo] == 0
+            score[todo[lost]] = cost[todo[lost]] + self.floor
+            todo = todo[~lost]
+            cost[todo] += self.back[at[todo]]
+            at[todo] = self.back_to[at[todo]]
+        return score, to
+
+    def decode(self, clip: np.ndarray, t: np.ndarray, sym: np.ndarray, logp: np.ndarray, n: int) -> list[tuple[tuple[str, ...], float]]:
+        """The likeliest words of ``n`` clips, whose frames' symbols are rows (clip, t from 0, symbol, log probability)."""
+        length = np.zeros(n, int)
+        np.maximum.at(length, clip, t + 1)
+        order = np.lexsort((clip, t))
+        clip, t, sym, logp = clip[order], t[order], sym[order], logp[order]
+        edge = np.searchsorted(t, np.arange(length.max(initial=0) + 1))
+        u, node, last, state = np.arange(n), np.zeros(n, np.int64), np.zeros(n, np.int64), np.full(n, self.start)
+        history, score = np.full(n, -1), np.zeros(n)
+        parents, spoken, made = [], [], 0  # histories: the one before and the word
+        result: list[tuple[tuple[str, ...], float]] = [((), 0.0 if not length[i] else -np.inf) for i in range(n)]
+        ends: dict[int, tuple[int, float]] = {}
+        for now in range(length.max(initial=0)):
+            rows = slice(edge[now], edge[now + 1])
+            first = np.searchsorted(clip[rows], np.arange(n + 1)) + edge[now]
+            count = (first[1:] - first[:-1])[u]
+            token = np.repeat(np.arange(len(u)), count)
+            at = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count) + np.repeat(first[u], count)
+            s, value = sym[at], score[token] + logp[at]
+            stay = (s == 0) | (s == last[token])
+            key = node[token] * self.n_symbols + s
+            place = np.minimum(np.searchsorted(self.child_key, key), max(len(self.child_key) - 1, 0))
+            move = ~stay & (self.child_key[place] == key if len(self.child_key) else False)
+            to = np.where(stay, node[token], self.child[place] if len(self.child) else 0)
+            keep = stay | move
+            token, s, value, to, move = token[keep], s[keep], value[keep], to[keep], move[keep]
+            n_words = np.where(move, self.word_first[to + 1] - self.word_first[to], 0)
+            said = np.repeat(np.arange(len(to)), n_words)
+            word = self.word[np.arange(n_words.sum()) - np.repeat(np.cumsum(n_words) - n_words, n_words) + np.repeat(self.word_first[to], n_words)]
+            gain, after = self.word_scores(state[token[said]], word)
+            c_token, c_node = np.concatenate([token, token[said]]), np.concatenate([to, np.zeros(len(said), np.int64)])
+            c_last, c_state = np.concatenate([s, s[said]]), np.concatenate([state[token], after])
+            c_word, c_score = np.concatenate([np.full(len(token), -1), word]), np.concatenate([value, value[said] + self.weight * gain])
+            c_u = u[c_token]
+            best = np.full(n, -np.inf)
+            np.maximum.at(best, c_u, c_score)
+            near = np.nonzero(c_score >= best[c_u] - self.beam)[0]
+            key = ((c_u[near] * self.n_nodes + c_node[near]) * self.n_symbols + c_last[near]) * self.n_states + c_state[near]
+            order = np.lexsort((-c_score[near], key))
+            near = near[order[np.diff(key[order], prepend=-1) != 0]]
+            near = near[np.lexsort((-c_score[near], c_u[near]))]
+            rank = np.arange(len(near)) - np.searchsorted(c_u[near], np.arange(n + 1))[c_u[near]]
+            near = near[rank < self.most]
+            fresh = c_word[near] >= 0
+            before = history[c_token[near]]
+            ids = np.where(fresh, made + np.cumsum(fresh) - 1, before)
+            parents.append(before[fresh])
+            spoken.append(c_word[near][fresh])
+            made += int(fresh.sum())
+            u, node, last, state, history, score = c_u[near], c_node[near], c_last[near], c_state[near], ids, c_score[near]
+            done = length[u] == now + 1
+            if done.any():
+                final = score.copy()
+                if self.order > 1:
+                    final += self.weight * self.word_scores(state, np.full(len(state), self.end))[0]
+                whole = np.zeros(n, bool)
+                whole[u[done & (node == 0)]] = True  # else no word ends with the frames: what was complete before
+                final = np.where(whole[u], np.where(node == 0, final, -np.inf), score)
+                pick = np.nonzero(done)[0]
+                pick = pick[np.lexsort((-final[pick], u[pick]))]
+                for i in pick[np.diff(u[pick], prepend=-1) != 0].tolist():
+                    ends[int(u[i])] = (int(history[i]), float(final[i]))
+                going = ~done
+                u, node, last, state, history, score = u[going], node[going], last[going], state[going], history[going], score[going]
+        parent, word = np.concatenate(parents or [np.zeros(0, int)]), np.concatenate(spoken or [np.zeros(0, int)])
+        for i, (h, value) in ends.items():
+            words = []
+            while h >= 0:
+                words.append(self.vocabulary[word[h]])
+                h = int(parent[h])
+            result[i] = (tuple(words[::-1]), value)
+        return result
+
+
+CLIPS_AT_ONCE = 64
+
+
 def fst_decode(lattice: DataFrame, decoder: Decoder, keys: list[str], n: int = 1) -> DataFrame:
-    """lattice (keys, t, sym, p) -> keys, rank, words, score. The graph is broadcast, each clip is searched in one task."""
+    """lattice (keys, t, sym, p) -> keys, rank, words, score. The graph is broadcast, each clip is searched in one task.
+
+    The best string comes from the array search; the n best from the search that keeps word strings apart.
+    """
     spark: SparkSession = lattice.sparkSession
-    cast = spark.sparkContext.broadcast(decoder)
+    cast = spark.sparkContext.broadcast(Graph(decoder) if n == 1 else decoder)
     clips = lattice.groupBy(*keys).agg(F.collect_list(F.struct("t", "sym", "p")).alias("rows"))
+    types = dict(lattice.dtypes)
+    schema = ", ".join(f"{k} {types[k]}" for k in keys) + ", rank int, words array<string>, score double"
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def several(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             out = []
             for row in b.itertuples(index=False):
@@ -261,5 +430,27 @@ def fst_decode(lattice: DataFrame, decoder: Decoder, keys: list[str], n: int = 1
                     out.append((*row[: len(keys)], rank, list(words), score))
             yield pd.DataFrame(out, columns=[*keys, "rank", "words", "score"])
 
-    types = dict(lattice.dtypes)
-    return clips.mapInPandas(run, ", ".join(f"{k} {types[k]}" for k in keys) + ", rank int, words array<string>, score double")
+    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        graph: Graph = cast.value
+        for whole in batches:
+            for start in range(0, whole.num_rows, CLIPS_AT_ONCE):
+                b = whole.slice(start, CLIPS_AT_ONCE)
+                lists = b.column(len(keys))
+                clip = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
+                rows = lists.flatten()
+                t, p = rows.field("t").to_numpy(zero_copy_only=False).astype(np.int64), rows.field("p").to_numpy(zero_copy_only=False)
+                coded = rows.field("sym").dictionary_encode()
+                table = np.array([graph.symbols.get(x, graph.n_symbols - 1) for x in coded.dictionary.to_pylist()], np.int64)
+                sym = table[coded.indices.to_numpy()] if len(table) else np.zeros(0, np.int64)
+                # frames are numbered from 0 in each clip, equal symbols of a frame added
+                place = np.unique(np.stack([clip, t], axis=1), axis=0, return_inverse=True)
+                frame = np.arange(len(place[0])) - np.searchsorted(place[0][:, 0], np.arange(len(lists)))[place[0][:, 0]] if len(clip) else np.zeros(0, int)
+                key = place[1].reshape(-1) * graph.n_symbols + sym
+                distinct, inverse = np.unique(key, return_inverse=True)
+                total = np.bincount(inverse, weights=p, minlength=len(distinct))
+                of = distinct // graph.n_symbols
+                found = graph.decode(place[0][of, 0] if len(of) else np.zeros(0, int), frame[of], distinct % graph.n_symbols, np.log(np.maximum(total, 1e-300)), len(lists))
+                columns = [b.column(i) for i in range(len(keys))]
+                yield pa.RecordBatch.from_arrays([*columns, pa.array([0] * len(lists), pa.int32()), pa.array([list(w) for w, _ in found], pa.list_(pa.string())), pa.array([x for _, x in found], pa.float64())], names=[*keys, "rank", "words", "score"])
+
+    return clips.mapInArrow(best, schema) if n == 1 else clips.mapInPandas(several, schema)

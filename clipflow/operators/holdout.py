@@ -24,7 +24,9 @@ def without_passages(docs: DataFrame, bench: DataFrame, n: int = 5) -> DataFrame
     items = bench.select(F.col("text").alias("item")).where("item IS NOT NULL").distinct().withColumn("ws", F.split("item", "[ \n]"))
     long_ones = items.where(F.size("ws") >= n + 2).select("item", F.xxhash64(F.array_join(F.slice("ws", 2, n), " ")).alias("h"))
     short = items.where(F.size("ws") < n + 2).select("item")
-    seen = docs.select("doc_id", "text", F.explode(F.array_distinct(word_windows(F.col("text"), n))).alias("h"))
-    hit = seen.join(long_ones, "h").where(F.contains("text", "item")).select("doc_id")
+    # only hashes move; the texts of the documents that are hit are fetched once
+    seen = docs.select("doc_id", F.explode(F.array_distinct(word_windows(F.col("text"), n))).alias("h"))
+    pairs = seen.join(long_ones, "h").select("doc_id", "item").distinct()
+    hit = docs.select("doc_id", "text").join(pairs, "doc_id").where(F.contains("text", "item")).select("doc_id")
     hit = hit.union(docs.join(short, F.contains("text", "item"), "left_semi").select("doc_id")).distinct()
     return docs.join(hit, "doc_id", "left_anti")

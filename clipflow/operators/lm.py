@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from clipflow.sources.tables import written
+
 
 def ngram_counts(sentences: DataFrame, order: int = 5, words: str = "words") -> DataFrame:
     """sentences (array of words) -> order, ctx (words joined by spaces), w, c, with <s> and </s> marks.
@@ -78,10 +82,32 @@ def back_off_weights(model: DataFrame, order: int) -> DataFrame:
     return left.select("ctx", F.when(F.round(1 - F.col("lower"), 12) > 0, F.greatest((1 - F.col("used")) / (1 - F.col("lower")), F.lit(0.0))).otherwise(0.0).alias("bow"))
 
 
-def katz_logprob(grams: DataFrame, model: DataFrame, order: int, floor: float = 1e-9) -> DataFrame:
+def katz_model(sentences: DataFrame, order: int, k: int = 5, most: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(model, weights: order, ctx, bow), each written once, as scoring and decoding read them again and again.
+
+    With ``most``, an order with more n-grams than that is pruned to its ``most`` frequent ones before training.
+    """
+    counts = written(ngram_counts(sentences, order), "ngrams")
+    if most is not None:
+        sizes = {r["order"]: r["n"] for r in counts.groupBy("order").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row an order
+        if any(n > most for n in sizes.values()):
+            parts = [prune(counts, n, most) if sizes[n] > most else counts.where(F.col("order") == n) for n in sorted(sizes)]
+            counts = written(reduce(DataFrame.unionByName, parts), "pruned")
+    model = written(katz_train(counts, order, k), "katz")
+    weights = None
+    for n in range(2, order + 1):
+        w = back_off_weights(model, n).select(F.lit(n).alias("order"), "ctx", "bow")
+        weights = w if weights is None else weights.unionByName(w)
+    if weights is None:
+        weights = model.where("false").select("order", "ctx", F.col("p").alias("bow"))
+    return model, written(weights, "back-off")
+
+
+def katz_logprob(grams: DataFrame, model: DataFrame, order: int, floor: float = 1e-9, weights: DataFrame | None = None) -> DataFrame:
     """grams (.., w, h: array of up to order - 1 words before) -> with logp of w after h.
 
     One join an order for the probability and one for the weight, all sort-merge; a small model is broadcast by its size.
+    ``weights`` are those of ``katz_model``; without them they are worked out in the plan.
     """
     out = grams
     for n in range(1, order + 1):
@@ -90,7 +116,8 @@ def katz_logprob(grams: DataFrame, model: DataFrame, order: int, floor: float =
         m = model.where(F.col("order") == n).select(F.col("ctx").alias(f"c{n}"), "w", F.col("p").alias(f"p{n}"))
         out = out.join(m, [f"c{n}", "w"], "left")
         if n > 1:
-            out = out.join(back_off_weights(model, n).select(F.col("ctx").alias(f"c{n}"), F.col("bow").alias(f"b{n}")), f"c{n}", "left")
+            bows = back_off_weights(model, n) if weights is None else weights.where(F.col("order") == n)
+            out = out.join(bows.select(F.col("ctx").alias(f"c{n}"), F.col("bow").alias(f"b{n}")), f"c{n}", "left")
     p = F.coalesce("p1", F.lit(floor))
     for n in range(2, order + 1):
         p = F.when(F.col(f"c{n}").isNull(), p).otherwise(F.coalesce(F.col(f"p{n}"), F.coalesce(F.col(f"b{n}"), F.lit(1.0)) * p))
@@ -112,3 +139,14 @@ def perplexity(scored: DataFrame) -> DataFrame:
 def prune(counts: DataFrame, order: int, most: int) -> DataFrame:
     """The ``most`` most frequent n-grams of an order, ties by text: a distributed top-k."""
     return counts.where(F.col("order") == order).orderBy(F.desc("c"), "ctx", "w").limit(most)
+
+
+def rerank(nbest: DataFrame, keys: list[str], model: DataFrame, weights: DataFrame, order: int, weight: float = 1.0) -> DataFrame:
+    """nbest (keys, rank, words, score) -> keys, words, score: the string with the best score plus weighed log probability.
+
+    Ties go to the better rank. A clip has a few strings, so its choice is one small group.
+    """
+    logp = katz_logprob(word_grams(nbest, [*keys, "rank"], order), model, order, weights=weights).groupBy(*keys, "rank").agg(F.sum("logp").alias("logp"))
+    both = nbest.join(logp, [*keys, "rank"]).withColumn("total", F.col("score") + weight * F.col("logp"))
+    best = both.groupBy(*keys).agg(F.max_by(F.struct("words", "total"), F.struct(F.round("total", 9), -F.col("rank"))).alias("b"))
+    return best.select(*keys, F.col("b.words").alias("words"), F.col("b.total").alias("score"))

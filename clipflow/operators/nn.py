@@ -12,10 +12,11 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from clipflow.operators import ctc
+from clipflow.sources.tables import written
 
 Params = dict[str, np.ndarray]
 
@@ -230,13 +231,16 @@ class Net:
     activation: Callable = relu
 
     @staticmethod
-    def start(size: int, channels: int, filters: list[int], hidden: int, layers: int, symbols: int, temporal: str = "lstm", seed: int = 0, k_t: int = 3, dilations: tuple[int, ...] = (1, 2), **more) -> Net:
+    def start(size: int, channels: int, filters: list[int], hidden: int, layers: int, symbols: int, temporal: str = "lstm", seed: int = 0, k_t: int = 3, dilations: tuple[int, ...] = (1, 2), front: tuple[int, ...] = (), **more) -> Net:
+        """``front``: widths of convolutions over three frames before the temporal module, as for spectrograms."""
         rng, p, c, s = np.random.default_rng(seed), {}, channels, size
         for i, o in enumerate(filters):
             p[f"conv{i}.w"] = rng.normal(0, (2 / (k_t * 9 * c)) ** 0.5, (k_t, 3, 3, c, o))
             p[f"conv{i}.b"], p[f"conv{i}.gamma"], p[f"conv{i}.beta"] = np.zeros(o), np.ones(o), np.zeros(o)
             c, s = o, s - 2
         d = c * s * s
+        for i, o in enumerate(front):
+            p[f"front{i}.w"], p[f"front{i}.b"], d = rng.normal(0, (2 / (3 * d)) ** 0.5, (3, d, o)), np.zeros(o), o
         for i in range(layers if temporal != "dilated" else len(dilations)):
             if temporal == "dilated":
                 p[f"time{i}.w"], p[f"time{i}.b"] = rng.normal(0, (2 / (3 * d)) ** 0.5, (3, d, hidden)), np.zeros(hidden)
@@ -250,8 +254,11 @@ class Net:
         p["out.w"], p["out.b"] = rng.normal(0, d**-0.5, (d, symbols)), np.zeros(symbols)
         return Net(temporal=temporal, params=p, dilations=dilations, **more)
 
-    def forward(self, x: np.ndarray, rng: np.random.Generator | None = None) -> tuple[np.ndarray, Callable]:
-        """x (T, H, W, C) -> logits (T, symbols), and the way back to (input gradient, parameter gradients)."""
+    def forward(self, x: np.ndarray, rng: np.random.Generator | None = None, encode: bool = False) -> tuple[np.ndarray, Callable]:
+        """x (T, H, W, C) -> logits (T, symbols), and the way back to (input gradient, parameter gradients).
+
+        With ``encode`` the temporal module's output is what comes back: the frames that a decoder attends to.
+        """
         steps: list[tuple[str, Callable]] = []
         p = self.params
 
@@ -269,6 +276,11 @@ class Net:
         shape = x.shape
         x = do("", (x.reshape(shape[0], -1), lambda g: (g.reshape(shape), {})))
         i = 0
+        while f"front{i}.w" in p:
+            x = do(f"front{i}.", dilated(x, p[f"front{i}.w"], p[f"front{i}.b"], 1))
+            x = do("", self.activation(x))
+            i += 1
+        i = 0
         while f"time{i}.gamma" in p:
             if self.temporal == "dilated":
                 x = do(f"time{i}.", dilated(x, p[f"time{i}.w"], p[f"time{i}.b"], self.dilations[i]))
@@ -280,7 +292,8 @@ class Net:
                 x = do(f"time{i}.", group_norm(x, self.groups, p[f"time{i}.gamma"], p[f"time{i}.beta"]))
             x = do("", dropout(x, self.drop, rng))
             i += 1
-        x = do("out.", dense(x, p["out.w"], p["out.b"]))
+        if not encode:
+            x = do("out.", dense(x, p["out.w"], p["out.b"]))
 
         def back(g: np.ndarray) -> tuple[np.ndarray, Params]:
             grads: Params = {}
@@ -310,14 +323,21 @@ def _clip(row, size: int, channels: int) -> np.ndarray:
     return np.frombuffer(row.px, np.float32).reshape(-1, size, size, channels).astype(float)
 
 
+GRADIENT_BLOCK = 1 << 18  # numbers of a gradient in one row
+
+
 def train(clips: DataFrame, net: Net, size: int, channels: int = 1, steps: int = 20, rate: float = 0.05, workers: int = 4, per_worker: int = 2, seed: int = 0) -> tuple[Net, list[float]]:
-    """Synchronous data-parallel steps: each worker takes ``per_worker`` clips of its own, the driver adds one summed
-    gradient a worker and sends the new weights. clips (clip_id, px: float32 frames, label: array of symbols).
+    """Synchronous data-parallel steps. clips (clip_id, px: float32 frames, label: array of symbols).
 
-    Clips are dealt to the workers once and kept; batches rotate through each worker's own rows.
+    Rows are dealt to the workers once, with a place in each worker's turn; a step reads the rows whose turn it is. A
+    worker's gradient leaves it in blocks, blocks of one place are summed in parallel, and the driver gets one gradient,
+    of the model's size, however many workers there are.
     """
     sc = clips.sparkSession.sparkContext
-    dealt = clips.select("clip_id", "px", "label").repartition(workers, "clip_id").sortWithinPartitions("clip_id").cache()
+    turn = Window.partitionBy("worker")
+    dealt = clips.select("clip_id", "px", "label", F.pmod(F.xxhash64("clip_id"), F.lit(workers)).cast("int").alias("worker"))
+    dealt = written(dealt.withColumn("place", F.row_number().over(turn.orderBy("clip_id")) - 1).withColumn("n", F.count(F.lit(1)).over(turn)), "dealt")
+    names = sorted(net.params)
     moment: Params = {}
     losses = []
     for step in range(steps):
@@ -325,38 +345,60 @@ def train(clips: DataFrame, net: Net, size: int, channels: int = 1, steps: int =
 
         def part(batches: Iterator[pd.DataFrame], cast=cast, step=step) -> Iterator[pd.DataFrame]:
             total, loss, n = {}, 0.0, 0
-            rows = [r for b in batches for r in b.itertuples(index=False)]
-            rows = [rows[(step * per_worker + i) % len(rows)] for i in range(min(per_worker, len(rows)))]
-            for r in rows:
-                value, grads = cast.value.loss(_clip(r, size, channels), [int(i) for i in r.label], np.random.default_rng([seed, step, int(r.clip_id)]))
-                loss, n = loss + value, n + 1
-                for k, g in grads.items():
-                    total[k] = total.get(k, 0) + g
+            for b in batches:
+                for r in b.itertuples(index=False):
+                    value, grads = cast.value.loss(_clip(r, size, channels), [int(i) for i in r.label], np.random.default_rng([seed, step, int(r.clip_id)]))
+                    loss, n = loss + value, n + 1
+                    for k, g in grads.items():
+                        total[k] = total.get(k, 0) + g
             if n:
-                names = sorted(cast.value.params)
                 flat = np.concatenate([np.ravel(total.get(k, np.zeros_like(cast.value.params[k]))) for k in names])
-                yield pd.DataFrame({"loss": [loss], "n": [n], "g": [flat.astype(np.float64).tobytes()]})
+                for i in range(0, len(flat), GRADIENT_BLOCK):
+                    yield pd.DataFrame({"block": [i // GRADIENT_BLOCK], "loss": [loss if i == 0 else 0.0], "n": [n], "g": [flat[i : i + GRADIENT_BLOCK].tobytes()]})
+
+        def add(rows: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame({"block": rows["block"][:1], "loss": [rows["loss"].sum()], "n": [rows["n"].sum()], "g": [sum(np.frombuffer(g) for g in rows["g"]).tobytes()]})
 
-        found = dealt.mapInPandas(part, "loss double, n long, g binary").collect()  # one row a worker
-        n = sum(r.n for r in found)
-        if not n:
+        now = dealt.where(F.pmod(F.col("place") - F.lit(step * per_worker), F.col("n")) < per_worker).select("clip_id", "px", "label")
+        kind = "block int, loss double, n long, g binary"
+        found = sorted(now.mapInPandas(part, kind).groupBy("block").applyInPandas(add, kind).collect(), key=lambda r: r.block)  # one gradient
+        if not found:
             break
-        flat, at = sum(np.frombuffer(r.g) for r in found) / n, 0
+        n, flat, at = found[0].n, np.concatenate([np.frombuffer(r.g) for r in found]) / found[0].n, 0
         norm = max(1.0, float(np.linalg.norm(flat)) / 5)
         fresh = {}
-        for k in sorted(net.params):
+        for k in names:
             shape = net.params[k].shape
             g = flat[at : at + net.params[k].size].reshape(shape) / norm
             at += net.params[k].size
             moment[k] = 0.9 * moment.get(k, 0) + g
             fresh[k] = net.params[k] - rate * moment[k]
         net = Net(net.temporal, net.norm, net.drop, net.groups, net.dilations, net.stride, fresh)
-        losses.append(sum(r.loss for r in found) / n)
+        losses.append(found[0].loss / n)
         cast.unpersist()
-    dealt.unpersist()
     return net, losses
 
 
+def saliency(clips: DataFrame, net: Net, size: int, channels: int = 1) -> DataFrame:
+    """clips (clip_id, px, label) -> clip_id, t, strength (of the guided gradient), map (its pixels), entropy, top (three symbols).
+
+    One row a frame, no shuffle.
+    """
+    cast = clips.sparkSession.sparkContext.broadcast(net)
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            rows = []
+            for r in b.itertuples(index=False):
+                x = _clip(r, size, channels)
+                g, p = cast.value.saliency(x, [int(i) for i in r.label]), softmax(cast.value.forward(x)[0])
+                for t in range(len(x)):
+                    rows.append((r.clip_id, t, float(np.abs(g[t]).sum()), g[t].ravel().tolist(), float(-(p[t] * np.log(np.maximum(p[t], 1e-300))).sum()), np.argsort(-p[t], kind="stable")[:3].tolist()))
+            yield pd.DataFrame(rows, columns=["clip_id", "t", "strength", "map", "entropy", "top"])
+
+    return clips.select("clip_id", "px", "label").mapInPandas(run, "clip_id long, t int, strength double, map array<double>, entropy double, top array<int>")
+
+
 def predict(clips: DataFrame, net: Net, size: int, channels: int = 1, key: str = "clip_id") -> DataFrame:
     """key, lattice (array of frames of probabilities). One pass, no shuffle."""
     cast = clips.sparkSession.sparkContext.broadcast(net)
@@ -416,6 +458,50 @@ class AttnDecoder:
             total, last = total + lp[k], k
         return float(total)
 
+    def loss(self, frames: np.ndarray, label: list[int]) -> tuple[float, Params, np.ndarray]:
+        """-log p of the label given each symbol before, its gradients by the weights and by the frames."""
+        p, h = self.params, len(self.params["wh"])
+        keys, state, last, kept, value = frames @ p["key"], np.zeros(h), 0, [], 0.0
+        for k in [*label, 0]:
+            a = softmax(keys @ state / h**0.5)
+            context = a @ frames
+            x = np.concatenate([p["embed"][last], context])
+            pre, rec = x @ p["wx"] + p["b"], state @ p["wh"][:, : 2 * h]
+            u, r = _sig(pre[:h] + rec[:h]), _sig(pre[h : 2 * h] + rec[h:])
+            c = np.tanh(pre[2 * h :] + (r * state) @ p["wh"][:, 2 * h :])
+            new = u * state + (1 - u) * c
+            q = softmax(np.concatenate([new, context]) @ p["out"] + p["bias"])
+            value -= float(np.log(max(q[k], 1e-300)))
+            kept.append((state, last, a, context, x, u, r, c, new, q, k))
+            state, last = new, k
+        g = {n: np.zeros_like(v) for n, v in p.items()}
+        d_frames, d_keys, d_state = np.zeros_like(frames), np.zeros_like(keys), np.zeros(h)
+        for state, last, a, context, x, u, r, c, new, q, k in reversed(kept):
+            d = q.copy()
+            d[k] -= 1
+            g["out"] += np.outer(np.concatenate([new, context]), d)
+            g["bias"] += d
+            both = p["out"] @ d
+            d_new, d_context = both[:h] + d_state, both[h:]
+            d_c = d_new * (1 - u) * (1 - c**2)
+            d_rh = p["wh"][:, 2 * h :] @ d_c
+            d_u, d_r = d_new * (state - c) * u * (1 - u), d_rh * state * r * (1 - r)
+            d_pre = np.concatenate([d_u, d_r, d_c])
+            g["wx"] += np.outer(x, d_pre)
+            g["b"] += d_pre
+            g["wh"][:, : 2 * h] += np.outer(state, d_pre[: 2 * h])
+            g["wh"][:, 2 * h :] += np.outer(r * state, d_c)
+            d_x = p["wx"] @ d_pre
+            g["embed"][last] += d_x[:h]
+            d_context = d_context + d_x[h:]
+            d_a = frames @ d_context
+            d_frames += np.outer(a, d_context)
+            d_e = a * (d_a - a @ d_a) / h**0.5
+            d_keys += np.outer(d_e, state)
+            d_state = d_new * u + d_rh * r + p["wh"][:, : 2 * h] @ d_pre[: 2 * h] + keys.T @ d_e
+        g["key"] = frames.T @ d_keys
+        return value, g, d_frames + d_keys @ p["key"].T
+
     def beam(self, frames: np.ndarray, width: int = 4, most: int = 30) -> list[tuple[list[int], float]]:
         live, done = [((), 0.0, np.zeros(len(self.params["wh"])))], []
         for _ in range(most):
@@ -431,17 +517,14 @@ class AttnDecoder:
                 break
         return sorted(done or [(list(seq), float(s)) for seq, s, _ in live], key=lambda x: -x[1])[:width]
 
-    def fit(self, examples: list[tuple[np.ndarray, list[int]]], rounds: int = 100, scale: float = 0.02, seed: int = 0) -> list[float]:
-        """Simultaneous perturbation: two likelihoods a step, whatever the number of weights. For small examples."""
-        rng, losses = np.random.default_rng(seed), []
-        value = lambda q: -np.mean([AttnDecoder(q).score(x, y) for x, y in examples])
-        best = value(self.params)
+    def fit(self, examples: list[tuple[np.ndarray, list[int]]], rounds: int = 100, rate: float = 0.05) -> list[float]:
+        """Adaptive gradient steps over all examples; the mean loss of each."""
+        seen, losses = {k: np.full_like(v, 1e-8) for k, v in self.params.items()}, []
         for _ in range(rounds):
-            d = {k: rng.choice([-1.0, 1.0], v.shape) for k, v in self.params.items()}
-            for sign in (1, -1):
-                moved = {k: v + sign * scale * d[k] for k, v in self.params.items()}
-                if (new := value(moved)) < best:
-                    best, self.params = new, moved
-                    break
-            losses.append(float(best))
+            found = [self.loss(x, y) for x, y in examples]
+            for k in self.params:
+                g = sum(f[1][k] for f in found) / len(found)
+                seen[k] += g * g
+                self.params[k] = self.params[k] - rate * g / np.sqrt(seen[k])
+            losses.append(float(np.mean([f[0] for f in found])))
         return losses

@@ -2,9 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 
@@ -35,26 +33,59 @@ def speaking_filter(df: DataFrame, least: float = 0.25, min_frames: int = 2) ->
     return df.where((F.col("n") >= min_frames) & (F.round("sp", 9) >= least))
 
 
-#: (rule, predicate, needed for training pairs only)
-RULES: tuple[tuple[str, str, bool], ...] = (
-    ("all", "TRUE", False),
-    ("duration", "dur BETWEEN 1 AND 12", True),
-    ("eye width", "min_eye >= 80", False),
-    ("frame rate", "fps >= 23", False),
-    ("pose", "max_yaw <= 30", False),
-    ("speaking", "round(sp, 9) >= 0.25", True),
+#: (rule, predicate, modes that apply it): train, infer and eval. Inference leaves out what only makes training pairs;
+#: blurry clips and short transcripts go for evaluation only.
+RULES: tuple[tuple[str, str, str], ...] = (
+    ("all", "TRUE", "train infer eval"),
+    ("duration", "dur BETWEEN 1 AND 12", "train eval"),
+    ("eye width", "min_eye >= 80", "train infer eval"),
+    ("frame rate", "fps >= 23", "train infer eval"),
+    ("pose", "max_yaw <= 30 AND max_pitch <= 30", "train infer eval"),
+    ("speaking", "round(sp, 9) >= 0.25", "train eval"),
+)
+#: With the rules that need more than landmarks: transcript, shots, pixels and sound.
+FULL: tuple[tuple[str, str, str], ...] = (
+    *RULES[:2],
+    ("language", "lang_guess = 'en'", "train eval"),
+    ("words", "n_words >= 6", "eval"),
+    ("shots", "n_cuts = 0", "train infer eval"),
+    ("padding", "trimmed_side >= 6", "train infer eval"),
+    ("blur", "round(lap_var, 9) >= 0.22", "eval"),
+    *RULES[2:],
+    ("synchrony", "round(sync_d, 9) < 1.4", "train eval"),
 )
 
 
-def run_cascade(df: DataFrame, rules: tuple[tuple[str, str, bool], ...] = RULES, mode: str = "train") -> DataFrame:
-    """The rows that all rules keep; ``mode='infer'`` leaves out the rules that only make training pairs."""
-    for _, predicate, training in rules:
-        if mode == "train" or not training:
-            df = df.where(predicate)
+def rules_of(mode: str, rules: tuple[tuple[str, str, str], ...] = RULES) -> tuple[tuple[str, str, str], ...]:
+    return tuple(r for r in rules if mode in r[2].split())
+
+
+def run_cascade(df: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES, mode: str = "train") -> DataFrame:
+    """The rows that all rules of the mode keep: train, infer or eval."""
+    for _, predicate, _ in rules_of(mode, rules):
+        df = df.where(predicate)
     return df
 
 
-def funnel(df: DataFrame, rules: tuple[tuple[str, str, bool], ...] = RULES) -> DataFrame:
+def observed_cascade(df: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES, mode: str = "train", every: tuple[str, ...] = ()) -> tuple[DataFrame, dict[str, Observation]]:
+    """run_cascade and the numbers of rows before it, after the rules named in ``every`` and after all.
+
+    They are counted while the result is computed, once it is; each observed place keeps filters from being joined.
+    """
+    seen: dict[str, Observation] = {}
+
+    def watched(name: str, rows: DataFrame) -> DataFrame:
+        seen[name] = Observation(name)
+        return rows.observe(seen[name], F.count(F.lit(1)).alias("n"))
+
+    df = watched("in", df)
+    for name, predicate, _ in rules_of(mode, rules):
+        df = df.where(predicate)
+        df = watched(name, df) if name in every else df
+    return watched("out", df), seen
+
+
+def funnel(df: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES) -> DataFrame:
     """rule_no, rule, n_clips: survivors after each rule, in one pass and one row a task."""
     flags, sums = F.lit(True), []
     for i, (name, predicate, _) in enumerate(rules):
@@ -63,7 +94,7 @@ def funnel(df: DataFrame, rules: tuple[tuple[str, str, bool], ...] = RULES) -> D
     return df.agg(F.array(*sums).alias("a")).select(F.inline("a"))
 
 
-def reorder_rules(sample: DataFrame, rules: tuple[tuple[str, str, bool], ...], costs: dict[str, float]) -> list[tuple[str, str, bool]]:
+def reorder_rules(sample: DataFrame, rules: tuple[tuple[str, str, str], ...], costs: dict[str, float]) -> list[tuple[str, str, str]]:
     """Rules by cost / (share dropped), which is the cheapest order of independent filters. One pass over a sample."""
     row = sample.agg(*[F.avg(F.coalesce(F.expr(p), F.lit(False)).cast("double")).alias(n) for n, p, _ in rules]).first()
     return sorted(rules, key=lambda r: costs.get(r[0], 1.0) / max(1e-9, 1 - (row[r[0]] or 0.0)))
@@ -87,6 +118,34 @@ def shot_boundaries(hist: DataFrame, keys: list[str], order: str, threshold: flo
     return out.withColumn("dist", histogram_distance("h", "prev", metric)).withColumn("is_cut", F.coalesce(F.col("dist") > threshold, F.lit(False)))
 
 
+def shot_boundaries_of_maps(hist: DataFrame, keys: list[str], order: str, threshold: float = 0.6) -> DataFrame:
+    """The same for histograms as maps from a bin to its share, absolute differences summed over the bins of either."""
+    w = Window.partitionBy(*keys).orderBy(order)
+    out = hist.withColumn("prev", F.lag("h").over(w))
+    total = "aggregate(array_union(map_keys(h), map_keys(prev)), 0D, (s, k) -> s + abs(coalesce(h[k], 0D) - coalesce(prev[k], 0D)))"
+    out = out.withColumn("dist", F.expr(total))
+    return out.withColumn("is_cut", F.coalesce(F.col("dist") > threshold, F.lit(False)))
+
+
+def naive_bayes(counts: DataFrame, key: str, label: str, feature: str, learn: Column) -> DataFrame:
+    """counts (key, label, feature, n) -> key, guess: the label of the largest likelihood, add-one smoothed, ties by name.
+
+    Rows where ``learn`` holds teach; features that none of them has say nothing. The model has a row a feature, which the
+    feature's alphabet bounds (three of some 40 letters: below 64,000), with all labels' logarithms in one array.
+    """
+    seen = counts.where(learn & F.col(label).isNotNull()).groupBy(label, feature).agg(F.sum("n").alias("n"))
+    labels = [r[0] for r in seen.select(label).distinct().orderBy(label).collect()]  # languages: a handful
+    if not labels:
+        return counts.select(key).distinct().withColumn("guess", F.lit(None).cast("string"))
+    wide = seen.groupBy(feature).agg(*[F.coalesce(F.sum(F.when(F.col(label) == x, F.col("n"))), F.lit(0)).alias(f"n{i}") for i, x in enumerate(labels)])
+    size = wide.agg(F.count(F.lit(1)).alias("v"), *[F.sum(f"n{i}").alias(f"t{i}") for i in range(len(labels))])
+    model = wide.crossJoin(F.broadcast(size)).select(feature, *[F.log((F.col(f"n{i}") + 1) / (F.col(f"t{i}") + F.col("v"))).alias(f"l{i}") for i in range(len(labels))])  # one row
+    scored = counts.join(model, feature).groupBy(key).agg(*[F.sum(F.col("n") * F.col(f"l{i}")).alias(f"l{i}") for i in range(len(labels))])
+    best = F.greatest(*[F.round(f"l{i}", 4) for i in range(len(labels))]) if len(labels) > 1 else F.round("l0", 4)
+    guess = F.coalesce(*[F.when(F.round(f"l{i}", 4) == best, x) for i, x in enumerate(labels)])
+    return scored.select(key, guess.alias("guess"))
+
+
 def downsample_fps(frames: DataFrame, cap: float = 30, keys: tuple[str, ...] = ("user_id", "w"), time: str = "sec") -> DataFrame:
     """Frames kept when floor(time * cap) moves on: never more than ``cap`` a second; slower clips stay as they are."""
     w = Window.partitionBy(*keys).orderBy(time, "t")
@@ -108,6 +167,17 @@ def gaussian_smooth(df: DataFrame, col: str, keys: list[str], order: list[str],
     return num / den
 
 
+def gaussian_smooth_time(df: DataFrame, col: str, keys: list[str], time: str, sigma: float, reach: float) -> DataFrame:
+    """df with ``smoothed``: the kernel in time over all rows within ``reach`` of each, for uneven frame times.
+
+    A row's neighbours are gathered; a clip's length and frame rate bound them.
+    """
+    near = Window.partitionBy(*keys).orderBy(time).rangeBetween(-reach, reach)
+    out = df.withColumn("_near", F.collect_list(F.struct(F.col(time).alias("e"), F.col(col).cast("double").alias("v"))).over(near))
+    g = f"exp(-0.5D * pow(({time} - x.e) / {float(sigma)}D, 2))"
+    return out.withColumn("smoothed", F.expr(f"aggregate(_near, struct(0D AS n, 0D AS d), (s, x) -> struct(s.n + x.v * {g} AS n, s.d + {g} AS d), s -> s.n / s.d)")).drop("_near")
+
+
 def iou_1d_box(x1: Column, y1: Column, s1: Column, x2: Column, y2: Column, s2: Column) -> Column:
     """Overlap share of two squares given by corner and side."""
     wx = F.greatest(F.lit(0.0), F.least(x1 + s1, x2 + s2) - F.greatest(x1, x2))
@@ -155,6 +225,3 @@ def split_by_hash(df: DataFrame, key: str, seed: str = "split", buckets: int = 1
     from clipflow.sources.standin import hash8
 
     return df.withColumn("bucket", (hash8(F.lit(seed), F.col(key).cast("string")) % buckets).cast("int"))
-
-
-Stage = Callable[[DataFrame], DataFrame]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -10,6 +10,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from clipflow.operators import nn
+
 
 def sync_distance(a: str, v: str) -> Column:
     return F.expr(f"sqrt(aggregate(zip_with({a}, {v}, (x, y) -> cast(x AS double) - cast(y AS double)), 0D, (s, d) -> s + d * d))")
@@ -52,6 +54,26 @@ def make_pairs(df: DataFrame, group: str, order: str, shift: int) -> DataFrame:
     return df.withColumn("y", F.lit(1)).unionByName(moved.withColumn("y", F.lit(0)))
 
 
+def random_shifts(df: DataFrame, group: str, order: str, seed: str = "shift") -> DataFrame:
+    """df (group, order, a, v) -> y = 1 rows as they are and y = 0 rows whose video is a random number of rows away in the group.
+
+    The number is from 1 to the group's size less 1, by a hash of the row, and wraps around, so each row has one; groups of
+    one row have none. Rows are numbered in their group once, and the shifted video is an equi-join on the number.
+    """
+    from pyspark.sql import Window
+
+    from clipflow.sources.standin import hash8
+
+    of = Window.partitionBy(group)
+    rows = df.withColumn("_n", F.count(F.lit(1)).over(of)).withColumn("_i", F.row_number().over(of.orderBy(order)) - 1)
+    step = 1 + hash8(F.lit(seed), F.col(order).cast("string")) % (F.col("_n") - 1)
+    asked = rows.where("_n > 1").withColumn("_j", ((F.col("_i") + step) % F.col("_n")).cast("int")).drop("v")
+    videos = rows.select(F.col(group).alias("_g"), F.col("_i").alias("_k"), "v")
+    moved = asked.join(videos, (F.col(group) == F.col("_g")) & (F.col("_j") == F.col("_k")))
+    names = df.columns
+    return df.withColumn("y", F.lit(1)).unionByName(moved.select(*names).withColumn("y", F.lit(0)))
+
+
 def accuracy(df: DataFrame, pred: str = "pred", truth: str = "y") -> DataFrame:
     """accuracy, precision, recall in one pass."""
     p, t = F.col(pred), F.col(truth)
@@ -105,32 +127,120 @@ class Towers:
         return float(loss), a.T @ g, -self._view(v).T @ g
 
 
-def train_towers(pairs: DataFrame, towers: Towers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0) -> tuple[Towers, list[float]]:
-    """Synchronous data-parallel steps: tasks sum gradients over their rows, one row a task goes to the driver."""
+@dataclass
+class ConvTowers:
+    """Two networks into one space: spatiotemporal convolutions over a window of square frames, convolutions in time over
+    its spectrogram. ``k_t`` 1 sees each frame for itself."""
+
+    params: dict[str, np.ndarray]
+    side: int
+    bands: int
+
+    @staticmethod
+    def start(bands: int, frames: int, side: int, dim: int = 8, filters: tuple[int, ...] = (4, 4), width: int = 12, k_t: int = 3, seed: int = 0) -> ConvTowers:
+        rng, p, c, s = np.random.default_rng(seed), {}, 1, side
+        for i, o in enumerate(filters):
+            p[f"v{i}.w"], p[f"v{i}.b"] = rng.normal(0, (2 / (k_t * 9 * c)) ** 0.5, (k_t, 3, 3, c, o)), np.zeros(o)
+            c, s = o, s - 2
+        d = frames * s * s * c
+        p["v.w"], p["v.b"] = rng.normal(0, d**-0.5, (d, dim)), np.zeros(dim)
+        p["a0.w"], p["a0.b"] = rng.normal(0, (2 / (3 * bands)) ** 0.5, (3, bands, width)), np.zeros(width)
+        p["a.w"], p["a.b"] = rng.normal(0, (frames * width) ** -0.5, (frames * width, dim)), np.zeros(dim)
+        return ConvTowers(p, side, bands)
+
+    def _tower(self, name: str, x: np.ndarray) -> tuple[np.ndarray, Callable]:
+        """One window through one of the networks, and the way back to its parameters' gradients."""
+        p, steps = self.params, []
+
+        def do(label: str, result: tuple[np.ndarray, Callable]) -> np.ndarray:
+            steps.append((label, result[1]))
+            return result[0]
+
+        i = 0
+        while f"{name}{i}.w" in p:
+            w, b = p[f"{name}{i}.w"], p[f"{name}{i}.b"]
+            x = do(f"{name}{i}.", nn.conv3d(x, w, b) if name == "v" else nn.dilated(x, w, b, 1))
+            x = do("", nn.relu(x))
+            i += 1
+        shape = x.shape
+        x = do("", (x.reshape(1, -1), lambda g: (g.reshape(shape), {})))
+        x = do(f"{name}.", nn.dense(x, p[f"{name}.w"], p[f"{name}.b"]))
+
+        def back(g: np.ndarray) -> dict[str, np.ndarray]:
+            grads = {}
+            for label, step in reversed(steps):
+                g, own = step(g)
+                grads |= {label + k: v for k, v in own.items()}
+            return grads
+
+        return x[0], back
+
+    def _pair(self, a: np.ndarray, v: np.ndarray) -> tuple:
+        frames = len(v)
+        return self._tower("a", a.reshape(frames, self.bands)), self._tower("v", v.reshape(frames, self.side, self.side, 1))
+
+    def embed(self, a: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """a (n, frames * bands), v (n, frames, side * side)."""
+        both = [self._pair(x, y) for x, y in zip(a, v)]
+        return np.stack([p[0][0] for p in both]), np.stack([p[1][0] for p in both])
+
+    def step(self, a: np.ndarray, v: np.ndarray, y: np.ndarray, margin: float) -> tuple[float, dict[str, np.ndarray]]:
+        """Summed contrastive loss and its gradients."""
+        total, loss = {k: np.zeros_like(x) for k, x in self.params.items()}, 0.0
+        for x, z, same in zip(a, v, y):
+            (ea, back_a), (ev, back_v) = self._pair(x, z)
+            diff = ea - ev
+            d = float(np.sqrt((diff**2).sum() + 1e-12))
+            gap = max(0.0, margin - d)
+            loss += d * d if same == 1 else gap * gap
+            g = (2.0 if same == 1 else -2 * gap / d) * diff
+            for grads in (back_a(g[None]), back_v(-g[None])):
+                for k, x_ in grads.items():
+                    total[k] += x_
+        return loss, total
+
+
+def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0) -> tuple[Towers | ConvTowers, list[float]]:
+    """Synchronous data-parallel steps: tasks sum gradients over their rows, those sums meet by parameter, and the driver
+    gets one gradient of the model's size."""
     sc = pairs.sparkSession.sparkContext
     losses = []
     for _ in range(epochs):
         cast = sc.broadcast(towers)
 
         def part(batches: Iterator[pd.DataFrame], cast=cast) -> Iterator[pd.DataFrame]:
-            t, total = cast.value, None
+            t, total, loss, n = cast.value, None, 0.0, 0
             for b in batches:
                 if len(b):
                     a, v = np.stack(b["a"].to_numpy()), np.stack(b["v"].to_numpy()).reshape(len(b), frames, -1)
-                    new = (*t.gradient(a, v, b["y"].to_numpy(), margin), len(b))
-                    total = new if total is None else tuple(x + y for x, y in zip(total, new))
+                    if isinstance(t, ConvTowers):
+                        value, grads = t.step(a, v, b["y"].to_numpy(), margin)
+                    else:
+                        value, ga, gv = t.gradient(a, v, b["y"].to_numpy(), margin)
+                        grads = {"audio": ga, "video": gv}
+                    total = grads if total is None else {k: total[k] + g for k, g in grads.items()}
+                    loss, n = loss + value, n + len(b)
             if total is not None:
-                yield pd.DataFrame({"loss": [total[0]], "ga": [total[1].ravel()], "gv": [total[2].ravel()], "n": [total[3]]})
-
-        rows = pairs.select("a", "v", "y").mapInPandas(part, "loss double, ga array<double>, gv array<double>, n long").collect()  # one row a task, of the model's size
-        n = sum(r.n for r in rows)
-        towers = Towers(towers.audio - rate * sum(np.array(r.ga) for r in rows).reshape(towers.audio.shape) / n, towers.video - rate * sum(np.array(r.gv) for r in rows).reshape(towers.video.shape) / n, towers.mode)
-        losses.append(sum(r.loss for r in rows) / n)
+                yield pd.DataFrame({"name": list(total), "loss": loss, "n": n, "g": [g.astype(float).tobytes() for g in total.values()]})
+
+        def add(rows: pd.DataFrame) -> pd.DataFrame:
+            return pd.DataFrame({"name": rows["name"][:1], "loss": [rows["loss"].sum()], "n": [rows["n"].sum()], "g": [sum(np.frombuffer(g) for g in rows["g"]).tobytes()]})
+
+        kind = "name string, loss double, n long, g binary"
+        rows = pairs.select("a", "v", "y").mapInPandas(part, kind).groupBy("name").applyInPandas(add, kind).collect()  # a row a parameter
+        if not rows:
+            break
+        moved = {r["name"]: rate * np.frombuffer(r["g"]) / r["n"] for r in rows}
+        if isinstance(towers, ConvTowers):
+            towers = ConvTowers({k: p - moved[k].reshape(p.shape) for k, p in towers.params.items()}, towers.side, towers.bands)
+        else:
+            towers = Towers(towers.audio - moved["audio"].reshape(towers.audio.shape), towers.video - moved["video"].reshape(towers.video.shape), towers.mode)
+        losses.append(rows[0]["loss"] / rows[0]["n"])
         cast.unpersist()
     return towers, losses
 
 
-def embed(pairs: DataFrame, towers: Towers, frames: int) -> DataFrame:
+def embed(pairs: DataFrame, towers: Towers | ConvTowers, frames: int) -> DataFrame:
     """pairs with d, the distance of the two embeddings."""
     cast = pairs.sparkSession.sparkContext.broadcast(towers)
 
@@ -145,14 +255,14 @@ def embed(pairs: DataFrame, towers: Towers, frames: int) -> DataFrame:
     return pairs.mapInPandas(part, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pairs.schema) + ", d double")
 
 
-def self_filter(pairs: DataFrame, towers: Towers, frames: int, keep: float = 0.8, rounds: int = 2, epochs: int = 20) -> tuple[Towers, DataFrame, list[float]]:
+def self_filter(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, keep: float = 0.8, rounds: int = 2, epochs: int = 20, rate: float = 0.5) -> tuple[Towers | ConvTowers, DataFrame, list[float]]:
     """Train on all, keep the positive pairs with the smallest distances, fine-tune on those, filter again.
 
     The threshold of a round is a quantile of the positives' distances; negatives stay as they are.
     """
     kept, losses = pairs, []
     for _ in range(rounds):
-        towers, seen = train_towers(kept, towers, frames, epochs)
+        towers, seen = train_towers(kept, towers, frames, epochs, rate)
         losses += seen
         scored = embed(pairs, towers, frames)
         cut = scored.where("y = 1").agg(F.percentile_approx("d", keep)).first()[0]

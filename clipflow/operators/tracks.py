@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,3 +27,37 @@ def link_tracks(boxes: DataFrame, keys: list[str], least: float = 0.3, max_gap:
         before = before & (F.col("t") - F.lag("t").over(w) <= max_gap)
     marked = linked.withColumn("starts", (~before).cast("int"))
     return marked.withColumn("track", F.sum("starts").over(w.rowsBetween(Window.unboundedPreceding, 0))).drop("starts", "x2", "y2", "s2", "linked")
+
+
+def multi_face_tracks(boxes: DataFrame, keys: list[str], least: float = 0.3, identity: str | None = None, most: float = 1.0) -> DataFrame:
+    """boxes (keys, t, face, x, y, s [, identity: array of doubles]) -> with track, for any number of faces a frame.
+
+    A face is linked to the face of the frame before that overlaps it most, if that is ``least`` or more, its identity
+    vector within ``most``, and each is the other's best (ties: the smaller face number). Tracks are the components of
+    these links, numbered in a clip by their first face. A clip, of 12 seconds at most, is one Arrow group.
+    """
+
+    def link(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["t", "face"], kind="stable").reset_index(drop=True)
+        track, made, before, time = np.full(len(rows), -1), 0, np.zeros(0, int), None
+        for t, at in rows.groupby("t", sort=True).indices.items():
+            if time is not None and len(before) and t == time + 1:
+                a, b = rows.loc[before], rows.loc[at]
+                side = lambda p: np.clip(np.minimum.outer(a[p].to_numpy() + a["s"].to_numpy(), b[p].to_numpy() + b["s"].to_numpy()) - np.maximum.outer(a[p].to_numpy(), b[p].to_numpy()), 0, None)  # noqa: E731, B023
+                inter = side("x") * side("y")
+                score = inter / np.maximum(np.add.outer(a["s"].to_numpy() ** 2, b["s"].to_numpy() ** 2) - inter, 1e-12)
+                if identity is not None:
+                    u, v = np.stack(a[identity].to_numpy()), np.stack(b[identity].to_numpy())
+                    score = np.where(np.linalg.norm(u[:, None] - v[None], axis=2) <= most, score, 0)
+                of_new, of_old = score.argmax(axis=0), score.argmax(axis=1)
+                for j, i in enumerate(of_new):
+                    if score[i, j] >= least and of_old[i] == j:
+                        track[at[j]] = track[before[i]]
+            for j in at:
+                if track[j] < 0:
+                    track[j], made = made, made + 1
+            before, time = at, t
+        return rows.assign(track=track.astype("int32"))
+
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in boxes.schema) + ", track int"
+    return boxes.groupBy(*keys).applyInPandas(link, schema)

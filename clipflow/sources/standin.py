@@ -77,14 +77,24 @@ def hash8(*parts: Column) -> Column:
     return F.conv(F.substring(F.md5(F.concat_ws("|", *parts)), 1, 8), 16, 10).cast("long")
 
 
+PIECE = 40  # words that 12 seconds of speech hold
+
+
 def utterances(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, s (sentence number), words, bucket (0 to 9): English sentences of 6 to 40 ASCII-letter words."""
+    """doc_id, s, words, bucket (0 to 9): English sentences of ASCII-letter words, in pieces of 40, of 6 words at least.
+
+    ``s`` is 100,000 times the sentence's number plus the piece's.
+    """
     d = load(spark, sf_dir, "documents", "doc_id", "text", "lang").where("lang = 'en'")
     d = d.withColumn("bucket", (hash8(F.lit("split"), F.col("doc_id").cast("string")) % 10).cast("int"))
-    s = d.select("doc_id", "bucket", F.posexplode(F.split(F.lower("text"), "[.]")).alias("s", "line"))
-    return s.select("doc_id", "bucket", F.col("s").cast("long").alias("s"), F.regexp_extract_all("line", F.lit("([a-z]+)")).alias("words")).where(F.size("words").between(6, 40))
+    s = d.select("doc_id", "bucket", F.posexplode(F.split(F.lower("text"), "[.]")).alias("n", "line"))
+    s = s.select("doc_id", "bucket", "n", F.regexp_extract_all("line", F.lit("([a-z]+)")).alias("w")).where("size(w) > 0")
+    s = s.select("doc_id", "bucket", "n", F.posexplode(F.expr(f"transform(sequence(0, (size(w) - 1) DIV {PIECE}), k -> slice(w, cast(k * {PIECE} + 1 AS int), {PIECE}))")).alias("k", "words"))
+    return s.select("doc_id", "bucket", (F.col("n").cast("long") * 100000 + F.col("k")).alias("s"), "words").where(F.size("words") >= 6)
 
 
-UTTERANCES_SQL = """ut0 AS (SELECT doc_id, CAST(('0x' || substr(md5('split|' || doc_id), 1, 8))::BIGINT % 10 AS INT) AS bucket, string_split(lower(text), '.') AS ls FROM documents WHERE lang = 'en'),
-    ut1 AS (SELECT doc_id, bucket, CAST(unnest(range(0, len(ls))) AS BIGINT) AS s, unnest(ls) AS line FROM ut0),
-    ut AS (SELECT doc_id, bucket, s, regexp_extract_all(line, '[a-z]+') AS words FROM ut1 WHERE len(regexp_extract_all(line, '[a-z]+')) BETWEEN 6 AND 40)"""
+UTTERANCES_SQL = f"""ut0 AS (SELECT doc_id, CAST(('0x' || substr(md5('split|' || doc_id), 1, 8))::BIGINT % 10 AS INT) AS bucket, string_split(lower(text), '.') AS ls FROM documents WHERE lang = 'en'),
+    ut1 AS (SELECT doc_id, bucket, CAST(unnest(range(0, len(ls))) AS BIGINT) AS n, unnest(ls) AS line FROM ut0),
+    ut2 AS (SELECT doc_id, bucket, n, regexp_extract_all(line, '[a-z]+') AS w FROM ut1),
+    ut3 AS (SELECT doc_id, bucket, n, w, unnest(range(0, (len(w) - 1) // {PIECE} + 1)) AS k FROM ut2 WHERE len(w) > 0),
+    ut AS (SELECT doc_id, bucket, n * 100000 + k AS s, w[k * {PIECE} + 1 : k * {PIECE} + {PIECE}] AS words FROM ut3 WHERE len(w[k * {PIECE} + 1 : k * {PIECE} + {PIECE}]) >= 6)"""

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import os
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -20,3 +24,17 @@ def read_any(spark: SparkSession, path: str, kind: str, schema: str | None = Non
 def write_clips(df: DataFrame, path: str, partition: tuple[str, ...] = ("split",), kind: str = "parquet") -> None:
     """The mined corpus by split; readers of one split prune the others."""
     df.write.partitionBy(*partition).mode("overwrite").format(kind).save(path)
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    """The rows from a table written once to the folder that driver and executors share: what reads them many times is
+    planned apart, and a lost executor costs no rerun of what led to them."""
+    spark = df.sparkSession
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        folder = "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")
+    path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)

@@ -89,3 +89,66 @@ def s_threshold_sweep(spark, d):
     s = both.select("threshold", F.sum("p").over(w).alias("tp"), F.sum("n").over(w).alias("fp"), F.sum("p").over(Window.partitionBy()).alias("pos"), F.sum("n").over(Window.partitionBy()).alias("neg"))
     return s.where("threshold IS NOT NULL").select("threshold", F.round((F.col("tp") + F.col("neg") - F.col("fp")) / (F.col("pos") + F.col("neg")), 6).alias("accuracy"),
         F.round(F.try_divide("tp", F.col("tp") + F.col("fp")), 6).alias("precision"), F.round(F.col("tp") / F.col("pos"), 6).alias("recall"))
+
+
+@query("s_random_pairs", PAIRS + """, k AS (SELECT p.*, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS i, count(*) OVER (PARTITION BY label) AS n FROM p),
+    q AS (SELECT *, (i + 1 + ('0x' || substr(md5('shift|' || vec_id), 1, 8))::BIGINT % (n - 1)) % n AS j FROM k WHERE n > 1),
+    m AS (SELECT vec_id, 1 AS y, a, v FROM p UNION ALL SELECT q.vec_id, 0, q.a, k.v FROM q JOIN k ON k.label = q.label AND k.i = q.j)
+    SELECT vec_id, y, round(""" + _DIST + """, 6) AS d FROM m""")
+def s_random_pairs(spark, d):
+    """Negatives by random shifts of the video within its group."""
+    s = S.sync_classify(S.random_shifts(_aligned(spark, d), "label", "vec_id"), THRESHOLD)
+    return s.select("vec_id", "y", F.round("d", 6).alias("d"))
+
+
+FRAMES_OF, BANDS, SIDE = 9, 6, 6
+
+
+def windows(spark, d):
+    """group, i, a (9 x 6 spectrogram), v (9 x 36 pixels), truth: each embedding a group of 24 frames whose sound is a mix of
+    its pixels; every fifth group's sound is another's."""
+    import numpy as np
+    import pandas as pd
+
+    mix = np.random.default_rng(11).normal(0, 1, (SIDE * SIDE, BANDS)) / SIDE
+
+    def make(batches):
+        for b in batches:
+            rows = []
+            for vec, x in zip(b["vec_id"], b["embedding"]):
+                rng = np.random.default_rng(int(vec))
+                base = np.asarray(x, float)[: SIDE * SIDE] * 8
+                video = base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0) + 0.5 * rng.normal(size=(24, SIDE * SIDE))
+                heard = video if vec % 5 else base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0)
+                sound = heard @ mix + 0.1 * rng.normal(size=(24, BANDS))
+                for i in range(0, 24 - FRAMES_OF + 1, 5):
+                    rows.append((vec, i, sound[i : i + FRAMES_OF].ravel().tolist(), video[i : i + FRAMES_OF].ravel().tolist(), int(vec % 5 > 0)))
+            yield pd.DataFrame(rows, columns=["clip", "i", "a", "v", "truth"])
+
+    e = load(spark, d, "embeddings", "vec_id", "embedding")
+    w = e.mapInPandas(make, "clip long, i int, a array<double>, v array<double>, truth int")
+    return w.withColumn("key", F.col("clip") * 100 + F.col("i"))
+
+
+@query("s_towers")
+def s_towers(spark, d):
+    """Spatiotemporal against spatial towers: two rounds of training and self-filtering on windows with randomly shifted negatives.
+
+    Accuracy of single windows and of the mean over a clip's windows, and the share of pairs in step before and after filtering.
+    """
+    from clipflow.sources.tables import written
+
+    clips = windows(spark, d)
+    moved = S.random_shifts(clips.withColumn("g", F.lit(0) + F.col("clip") % 64), "g", "key").drop("g")
+    pairs = written(moved.withColumn("held_out", F.col("clip") % 3 == 0), "sync-pairs")
+    out = []
+    for name, k_t in (("spatiotemporal", 3), ("spatial", 1)):
+        start = S.ConvTowers.start(BANDS, FRAMES_OF, SIDE, dim=6, filters=(3,), k_t=k_t)
+        towers, kept, losses = S.self_filter(pairs.where("NOT held_out").drop("held_out"), start, FRAMES_OF, rounds=2, epochs=4, rate=0.1)
+        scored = written(S.embed(pairs.where("held_out").drop("held_out"), towers, FRAMES_OF), "sync-scored")
+        cut = scored.agg(F.percentile_approx("d", 0.5)).first()[0]
+        single = scored.agg(F.avg(((F.col("d") < cut) == (F.col("y") == 1)).cast("double"))).first()[0]
+        mean = scored.groupBy("clip", "y").agg(F.avg("d").alias("d")).agg(F.avg(((F.col("d") < cut) == (F.col("y") == 1)).cast("double"))).first()[0]
+        share = lambda rows: rows.where("y = 1").agg(F.avg("truth")).first()[0]
+        out.append((name, float(losses[0]), float(losses[-1]), float(single), float(mean), float(share(pairs.where("NOT held_out"))), float(share(kept))))
+    return spark.createDataFrame(out, "towers string, loss_first double, loss_last double, accuracy_window double, accuracy_clip double, in_step_before double, in_step_after double")

@@ -18,7 +18,7 @@ CLIPS, FRAMES = f"WITH {CL}", f"WITH {FR}"
 
 @query("p_funnel", CLIPS + """, f AS (SELECT sum(1) AS c0, count(*) FILTER (WHERE r1) AS c1, count(*) FILTER (WHERE r1 AND r2) AS c2, count(*) FILTER (WHERE r1 AND r2 AND r3) AS c3,
     count(*) FILTER (WHERE r1 AND r2 AND r3 AND r4) AS c4, count(*) FILTER (WHERE r1 AND r2 AND r3 AND r4 AND r5) AS c5
-    FROM (SELECT dur BETWEEN 1 AND 12 AS r1, min_eye >= 80 AS r2, fps >= 23 AS r3, max_yaw <= 30 AS r4, round(sp, 9) >= 0.25 AS r5 FROM clips))
+    FROM (SELECT dur BETWEEN 1 AND 12 AS r1, min_eye >= 80 AS r2, fps >= 23 AS r3, max_yaw <= 30 AND max_pitch <= 30 AS r4, round(sp, 9) >= 0.25 AS r5 FROM clips))
     SELECT 0::BIGINT AS rule_no, 'all' AS rule, c0::BIGINT AS n_clips FROM f UNION ALL SELECT 1, 'duration', c1 FROM f UNION ALL SELECT 2, 'eye width', c2 FROM f
     UNION ALL SELECT 3, 'frame rate', c3 FROM f UNION ALL SELECT 4, 'pose', c4 FROM f UNION ALL SELECT 5, 'speaking', c5 FROM f""")
 def p_funnel(spark, d):
@@ -109,9 +109,11 @@ _DAYS = FRAMES + """, h0 AS (SELECT user_id, CAST(floor(e / 86400) AS BIGINT) AS
 @query("p_shots", _DAYS + " SELECT user_id, day, round(dist, 6) AS dist, round(dist, 6) > 0.6 AS is_cut FROM dd")
 def p_shots(spark, d):
     f = S.frames(spark, d).withColumn("day", F.floor(F.col("e") / 86400).cast("long"))
-    kinds = [r[0] for r in load(spark, d, "events", "event_type").distinct().orderBy("event_type").limit(64).collect()]  # colour bins: a handful
-    h = f.groupBy("user_id", "day").agg(F.array(*[F.count_if(F.col("event_type") == k) / F.count(F.lit(1)) for k in kinds]).alias("h"))
-    cut = P.shot_boundaries(h, ["user_id"], "day").where("prev IS NOT NULL")
+    # shares as maps: whatever types the days have, none is left out
+    n = f.groupBy("user_id", "day", "event_type").agg(F.count(F.lit(1)).alias("n"))
+    h = n.groupBy("user_id", "day").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("h"), F.sum("n").alias("total"))
+    h = h.select("user_id", "day", F.transform_values("h", lambda _, v: v / F.col("total")).alias("h"))
+    cut = P.shot_boundaries_of_maps(h, ["user_id"], "day").where("prev IS NOT NULL")
     return cut.select("user_id", "day", F.round("dist", 6).alias("dist"), (F.round("dist", 6) > 0.6).alias("is_cut"))
 
 
@@ -196,11 +198,7 @@ def p_smooth(spark, d):
     FROM frames a JOIN frames b ON a.user_id = b.user_id AND a.w = b.w AND b.e BETWEEN a.e - 86400 AND a.e + 86400 GROUP BY 1""")
 def p_smooth_time(spark, d):
     f = S.frames(spark, d)
-    near = Window.partitionBy("user_id", "w").orderBy("e").rangeBetween(-86400, 86400)
-    f = f.withColumn("near", F.collect_list(F.struct("e", "value")).over(near))
-    g = "exp(-0.5D * pow((e - x.e) / 28800D, 2))"
-    s = f"aggregate(near, struct(0D AS n, 0D AS d), (s, x) -> struct(s.n + x.value * {g} AS n, s.d + {g} AS d), s -> s.n / s.d)"
-    return f.select("event_id", F.round(F.expr(s), 5).alias("smoothed"))
+    return P.gaussian_smooth_time(f, "value", ["user_id", "w"], "e", 28800, 86400).select("event_id", F.round("smoothed", 5).alias("smoothed"))
 
 
 @query("p_reference_face", f"WITH {PT} SELECT point_no, round(avg(x), 6) AS x, round(avg(y), 6) AS y FROM pts GROUP BY 1")
@@ -246,3 +244,112 @@ def p_stats(spark, d):
     u = S.utterances(spark, d).where("bucket = 9")
     w = u.select(F.posexplode("words").alias("i", "w"))
     return w.agg(F.count_if(F.col("i") == 0).alias("n_utts"), F.count(F.lit(1)).alias("n_words"), F.count_distinct("w").alias("n_types"), F.round(F.count(F.lit(1)) / 7100.0 * 37 / 60, 6).alias("hours_proxy"))
+
+
+# ---- the language rule by character trigrams
+
+_LETTERS = "abcdefghijklmnopqrstuvwxyzäöüßéèêçñáíóú"
+_PLAIN = "' ' || trim(regexp_replace(lower({}), '[^" + _LETTERS + "]+', ' ', 'g')) || ' '"
+_TRIGRAMS = f"""WITH t0 AS (SELECT doc_id, lang, {_PLAIN.format("text")} AS x FROM documents), t1 AS (SELECT doc_id, lang, unnest(list_transform(range(1, length(x) - 1), lambda i: substr(x, i, 3))) AS g FROM t0),
+    dg AS (SELECT doc_id, lang, g, count(*) AS n FROM t1 GROUP BY 1, 2, 3), lg AS (SELECT lang, g, sum(n) AS n FROM dg WHERE ('0x' || substr(md5('split|' || doc_id), 1, 8))::BIGINT % 10 <> 9 GROUP BY 1, 2),
+    ls AS (SELECT lang, sum(n) AS total FROM lg GROUP BY 1), vs AS (SELECT count(DISTINCT g) AS v FROM lg), kg AS (SELECT DISTINCT g FROM lg),
+    sc AS (SELECT doc_id, ls.lang, sum(dg.n * ln((coalesce(lg.n, 0) + 1) / (total + v)::DOUBLE)) AS score FROM dg JOIN kg USING (g) CROSS JOIN ls CROSS JOIN vs LEFT JOIN lg ON lg.lang = ls.lang AND lg.g = dg.g GROUP BY 1, 2),
+    pk AS (SELECT doc_id, lang AS guess, row_number() OVER (PARTITION BY doc_id ORDER BY round(score, 4) DESC, lang) AS r FROM sc)"""
+
+
+def trigram_guesses(spark, d):
+    """doc_id, lang, guess by naive Bayes over character trigrams, learnt from the documents that aren't held out."""
+    text = load(spark, d, "documents", "doc_id", "lang", "text")
+    x = F.concat(F.lit(" "), F.trim(F.regexp_replace(F.lower("text"), f"[^{_LETTERS}]+", " ")), F.lit(" "))
+    g = text.select("doc_id", "lang", x.alias("x")).where("length(x) > 2").select("doc_id", "lang", F.explode(F.expr("transform(sequence(1, length(x) - 2), i -> substring(x, i, 3))")).alias("g"))
+    return P.naive_bayes(g.groupBy("doc_id", "lang", "g").agg(F.count(F.lit(1)).alias("n")), "doc_id", "lang", "g", S.hash8(F.lit("split"), F.col("doc_id").cast("string")) % 10 != 9)
+
+
+@query("p_language_trigram", _TRIGRAMS + " SELECT doc_id, guess FROM pk WHERE r = 1")
+def p_language_trigram(spark, d):
+    return trigram_guesses(spark, d)
+
+
+# ---- several faces a frame
+
+@query("p_tracks_multi", FRAMES + """, b AS (SELECT user_id, w, t, value AS x, CAST(k AS DOUBLE) AS y, CAST(100 + k AS DOUBLE) AS s FROM frames),
+    l AS (SELECT *, lag(x) OVER q AS x0, lag(y) OVER q AS y0, lag(s) OVER q AS s0 FROM b WINDOW q AS (PARTITION BY user_id, w ORDER BY t)),
+    i AS (SELECT *, greatest(0, least(x + s, x0 + s0) - greatest(x, x0)) * greatest(0, least(y + s, y0 + s0) - greatest(y, y0)) AS inter FROM l)
+    SELECT user_id, w, 2 * count(*) FILTER (WHERE x0 IS NULL OR inter / (s * s + s0 * s0 - inter) < 0.3) AS n_tracks, 2 * count(*) AS n_boxes FROM i GROUP BY 1, 2""")
+def p_tracks_multi(spark, d):
+    """Two faces a frame, the second far to the right of the first: twice as many tracks as of one."""
+    from clipflow.operators.tracks import multi_face_tracks
+
+    f = S.frames(spark, d).select("user_id", "w", F.col("t").cast("int").alias("t"), "value", F.col("k").cast("double").alias("y"), (100.0 + F.col("k")).alias("s"))
+    boxes = f.select("user_id", "w", "t", F.explode(F.array(F.lit(0), F.lit(1))).alias("face"), "value", "y", "s").withColumn("x", F.col("value") + 1000.0 * F.col("face"))
+    t = multi_face_tracks(boxes.select("user_id", "w", "t", "face", "x", "y", "s"), ["user_id", "w"], 0.3)
+    return t.groupBy("user_id", "w").agg((F.max("track") + 1).cast("long").alias("n_tracks"), F.count(F.lit(1)).alias("n_boxes"))
+
+
+# ---- the lips' thumbnail
+
+#: A turned and scaled canonical view, x = a j + b i + c and y = d j + e i + f.
+VIEW = {"a": 0.35, "b": 0.1, "c": 0.8, "d": -0.1, "e": 0.4, "f": 1.2}
+
+
+@query("p_crop_bilinear", f"""WITH {PX}, o AS (SELECT vec_id, unnest(range(0, 256)) AS k FROM embeddings), p AS (SELECT vec_id, k, least(greatest({VIEW['a']} * (k % 16) + {VIEW['b']} * (k // 16) + {VIEW['c']}, 0), 7)::DOUBLE AS x,
+      least(greatest({VIEW['d']} * (k % 16) + {VIEW['e']} * (k // 16) + {VIEW['f']}, 0), 7)::DOUBLE AS y FROM o),
+    q AS (SELECT p.*, floor(x)::INT AS c0, floor(y)::INT AS r0, x - floor(x) AS wx, y - floor(y) AS wy FROM p),
+    z AS (SELECT q.vec_id, k, (1 - wy) * ((1 - wx) * a.v + wx * b.v) + wy * ((1 - wx) * c.v + wx * e.v) AS v FROM q JOIN px a ON a.vec_id = q.vec_id AND a.r = r0 AND a.c = c0 JOIN px b ON b.vec_id = q.vec_id AND b.r = r0 AND b.c = least(c0 + 1, 7)
+      JOIN px c ON c.vec_id = q.vec_id AND c.r = least(r0 + 1, 7) AND c.c = c0 JOIN px e ON e.vec_id = q.vec_id AND e.r = least(r0 + 1, 7) AND e.c = least(c0 + 1, 7))
+    SELECT vec_id, round(sum(v), 6) AS s, round(sum(v * (k + 1)), 4) AS checksum FROM z GROUP BY 1""")
+def p_crop_bilinear(spark, d):
+    from clipflow.functions.frames import sample_bilinear
+
+    view = {k: f"{v}D" for k, v in VIEW.items()}
+    e = load(spark, d, "embeddings", "vec_id", "embedding").select("vec_id", sample_bilinear("embedding", 8, 8, 16, 16, **view).alias("px"))
+    checksum = F.expr("aggregate(zip_with(px, sequence(1, 256), (v, k) -> v * k), 0D, (s, v) -> s + v)")
+    return e.select("vec_id", F.round(F.expr("aggregate(px, 0D, (s, v) -> s + v)"), 6).alias("s"), F.round(checksum, 4).alias("checksum"))
+
+
+# ---- the whole cascade
+
+_EVIDENCE = _DAYS + f""", {PX},
+    clips0 AS (SELECT user_id, w, count(*) AS n, (max(e) - min(e)) / 36000 AS dur, min(78 + 0.5 * k) AS min_eye, max(abs((value - 50) / 5)) AS max_yaw, max(abs((k - 50) * 0.7)) AS max_pitch, stddev_pop(value / (100 + k)) AS sp FROM ev1 GROUP BY 1, 2),
+    clips AS (SELECT *, CASE WHEN dur > 0 THEN 25.0::DOUBLE * (n - 1) / dur END AS fps, ('0x' || substr(md5('bind|' || user_id || '|' || w), 1, 8))::BIGINT AS h FROM clips0),
+    cuts AS (SELECT user_id, CAST(floor(day / 6) AS BIGINT) AS w, count(*) FILTER (WHERE round(dist, 6) > 0.6 AND floor(day / 6) = floor((day - 1) / 6)) AS n_cuts FROM dd GROUP BY 1, 2),
+    """ + _VOTES.removeprefix("WITH ") + """, sp0 AS (SELECT doc_id, text FROM documents), nw AS (SELECT doc_id, len(regexp_extract_all(lower(text), '[a-z]+')) AS n_words FROM sp0),
+    """ + _LAP.removeprefix(f"WITH {PX}, ") + """, sy AS (SELECT a.vec_id, sqrt(sum(pow(a.v - b.v, 2))) AS sync_d FROM px a JOIN px b ON b.vec_id = a.vec_id + 1 AND b.r = a.r AND b.c = a.c GROUP BY 1),
+    nd AS (SELECT max(doc_id) + 1 AS d, (SELECT max(vec_id) + 1 FROM embeddings) AS v FROM documents),
+    ev AS (SELECT clips.*, guess AS lang_guess, n_words, coalesce(n_cuts, 0) AS n_cuts, 8 AS trimmed_side, lap_var, sync_d FROM clips CROSS JOIN nd LEFT JOIN g ON g.doc_id = h % nd.d LEFT JOIN nw ON nw.doc_id = h % nd.d LEFT JOIN cuts ON cuts.user_id = clips.user_id AND cuts.w = clips.w
+      LEFT JOIN lv ON lv.vec_id = (h // 7) % nd.v LEFT JOIN sy ON sy.vec_id = (h // 7) % nd.v)"""
+
+
+def evidence(spark, d):
+    """Clips with all that the rules look at: landmarks, a transcript, shots, pixels and sound, bound by a hash of the clip."""
+    from clipflow.functions.frames import laplacian_variance, trim_bounds
+    from clipflow.operators.sync import sync_distance
+
+    c = S.clips(spark, d).withColumn("h", S.hash8(F.lit("bind"), F.col("user_id").cast("string"), F.col("w").cast("string")))
+    docs, vecs = load(spark, d, "documents", "doc_id", "text"), load(spark, d, "embeddings", "vec_id", "embedding")
+    c = c.withColumn("doc_id", F.col("h") % docs.agg(F.max("doc_id") + 1).scalar()).withColumn("vec_id", F.expr("h DIV 7") % vecs.agg(F.max("vec_id") + 1).scalar())
+    said = _votes(spark, d).select("doc_id", F.col("guess").alias("lang_guess"), F.size(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)"))).alias("n_words"))
+    cuts = p_shots(spark, d).where("is_cut AND floor(day / 6) = floor((day - 1) / 6)").groupBy("user_id", F.floor(F.col("day") / 6).cast("long").alias("w")).agg(F.count(F.lit(1)).alias("n_cuts"))
+    pad = "transform(sequence(0, 143), i -> CASE WHEN i DIV 12 BETWEEN 2 AND 9 AND i % 12 BETWEEN 2 AND 9 THEN cast(embedding[(i DIV 12 - 2) * 8 + i % 12 - 2] AS double) ELSE 0D END)"
+    seen = vecs.withColumn("px", F.expr(pad)).withColumn("b", trim_bounds("px", 12, 12))
+    seen = seen.select("vec_id", "embedding", F.least(F.col("b.r1") - F.col("b.r0"), F.col("b.c1") - F.col("b.c0")).alias("side"), laplacian_variance("embedding", 8, 8).alias("lap_var"))
+    heard = vecs.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("sound"))
+    seen = seen.join(heard, "vec_id", "left").select("vec_id", (F.col("side") + 1).alias("trimmed_side"), "lap_var", sync_distance("sound", "embedding").alias("sync_d"))
+    out = c.join(said, "doc_id", "left").join(cuts, ["user_id", "w"], "left").join(seen, "vec_id", "left")
+    return out.withColumn("n_cuts", F.coalesce("n_cuts", F.lit(0)))
+
+
+def _full_sql(mode: str) -> str:
+    rules, shown, passed = P.rules_of(mode, P.FULL), [], []
+    for i, (name, predicate, _) in enumerate(rules):
+        passed.append(f"coalesce({predicate}, FALSE)")
+        shown.append(f"SELECT {i}::BIGINT AS rule_no, '{name}' AS rule, count(*) FILTER (WHERE {' AND '.join(passed)}) AS n_clips FROM ev")
+    return " UNION ALL ".join(shown)
+
+
+for _mode in ("train", "infer", "eval"):
+
+    @query(f"p_cascade_{_mode}", _EVIDENCE + " " + _full_sql(_mode))
+    def _cascade(spark, d, mode=_mode):
+        """Clips that survive each rule of the whole cascade in one of its modes."""
+        return P.funnel(evidence(spark, d), P.rules_of(mode, P.FULL))

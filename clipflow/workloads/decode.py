@@ -159,8 +159,8 @@ _SCORE = _MODEL + """, te AS (SELECT doc_id, s, list_concat(['<s>'], words, ['</
 
 
 def _test_scores(spark, d):
-    model = M.katz_train(M.ngram_counts(_lines(spark, d), 3), 3)
-    return M.katz_logprob(M.word_grams(S.utterances(spark, d).where("bucket = 9"), ["doc_id", "s"], 3), model, 3)
+    model, weights = M.katz_model(_lines(spark, d), 3)
+    return M.katz_logprob(M.word_grams(S.utterances(spark, d).where("bucket = 9"), ["doc_id", "s"], 3), model, 3, weights=weights)
 
 
 @query("m_katz_score", _SCORE + " SELECT doc_id, s, round(sum(logp), 4) AS logp FROM sc GROUP BY 1, 2")

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from clipflow.functions import ctc as X
 from clipflow.operators import nn as N
+from clipflow.operators import trained as R
 from clipflow.sources import standin as S
 from clipflow.sources.tables import load
 from clipflow.workloads.registry import query
@@ -84,22 +85,46 @@ def n_softmax(spark, d):
     return e.select("vec_id", F.round(m, 6).alias("max_p"), (F.array_position("p", m) - 1).cast("int").alias("arg"))
 
 
-def rendered(spark, d, n: int = 24):
-    """clip_id, px (float32 T x 8 x 8), label: a clip shows the frames of three symbols, three frames each."""
-    import numpy as np
-
-    e = load(spark, d, "embeddings", "vec_id", "embedding").where(f"vec_id < {3 + n}").orderBy("vec_id").collect()  # templates: a fixed few
-    rows = []
-    for i in range(n):
-        label = [1 + (i + j * (1 + i % 2)) % 3 for j in range(3)]
-        frames = np.stack([np.array(e[s - 1].embedding, np.float32) * 4 + 0.2 * np.array(e[3 + i].embedding, np.float32) for s in label for _ in range(3)])
-        rows.append((i, bytearray(frames.tobytes()), label))
-    return spark.createDataFrame(rows, "clip_id long, px binary, label array<int>")
+def rendered(spark, d):
+    """clip_id, px, label of every embedding's clip."""
+    return R.rendered(spark, d).select("clip_id", "px", F.col("phones").alias("label"))
 
 
 @query("n_train")
 def n_train(spark, d):
-    """Loss by step of the small network on rendered frames, four workers of two clips."""
-    net = N.Net.start(8, 1, [2, 2], 6, 1, 4)
-    _, losses = N.train(rendered(spark, d), net, 8, steps=12, rate=0.1)
+    """Loss by step of the small network over all rendered clips, 64 of them a step."""
+    clips = rendered(spark, d)
+    net = N.Net.start(R.SIDE, 1, [2, 2], 8, 1, R.PHONES + 1)
+    n = clips.count()
+    _, losses = N.train(clips, net, R.SIDE, steps=max(12, -(-n // 64)), rate=0.05, workers=8, per_worker=8)
     return spark.createDataFrame([(i, float(v)) for i, v in enumerate(losses)], "step int, loss double")
+
+
+@query("e_table_trained")
+def e_table_trained(spark, d):
+    """The methods' own networks, trained on rendered clips: error rates on held-out ones."""
+    return R.rates(spark, d)
+
+
+@query("n_audio")
+def n_audio(spark, d):
+    """The audio network alone: convolutions over the spectrogram, recurrent layers, phonemes."""
+    return R.rates(spark, d, R.METHODS[:1])
+
+
+@query("w_ablations")
+def w_ablations(spark, d):
+    """The full network without one of its choices: motion in the convolutions, normalisation, gates, smooth crops, frontal faces."""
+    out = R.rates(spark, d, R.ABLATIONS)
+    out = out.unionByName(R.rates(spark, d, (R.Variant("no_smoothing"),), smooth=False))
+    return out.unionByName(R.rates(spark, d, (R.Variant("wide_angle"),), angle=60.0))
+
+
+@query("n_saliency")
+def n_saliency(spark, d):
+    """Strength of the guided gradient, entropy and top three symbols of every frame of every clip, by a trained network."""
+    clips = R.rendered(spark, d)
+    some = clips.where("NOT held_out").orderBy(S.hash8(F.lit("pick"), F.col("clip_id").cast("string")), "clip_id").limit(128)
+    v = R.Variant("full_ph", steps=60)
+    net, _, _ = R.fit(v, [(R.clip_of(v, r.px, r.mel), [int(i) for i in r.phones]) for r in some.toLocalIterator()])
+    return N.saliency(clips.select("clip_id", "px", F.col("phones").alias("label")), net, R.SIDE).select("clip_id", "t", "strength", "entropy", "top")

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from clipflow.functions import edit as D
@@ -13,7 +12,7 @@ from clipflow.operators import evaluate as E
 from clipflow.operators import lm as M
 from clipflow.sources import lattices as L
 from clipflow.sources import standin as S
-from clipflow.sources.tables import load
+from clipflow.sources.tables import load, written
 from clipflow.workloads import decode as W
 from clipflow.workloads import lexicon as A
 from clipflow.workloads.registry import query
@@ -82,7 +81,8 @@ def _poisson_sql() -> str:
     return "CASE " + " ".join(whens) + " ELSE 8 END"
 
 
-@query("e_bootstrap", _EDITS + f""", w AS (SELECT level, rep, edits, ref_len, ('0x' || substr(md5('boot|' || rep || '|' || doc_id || '|' || s), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u FROM ed, (SELECT unnest(range(1, 101)) AS rep) WHERE unit = 'word'),
+@query("e_bootstrap", _EDITS + f""", w0 AS (SELECT level, block, edits, ref_len, md5('boot|' || block || '|' || doc_id || '|' || s) AS h FROM ed, (SELECT unnest(range(0, 13)) AS block) WHERE unit = 'word'),
+    w AS (SELECT level, block * 8 + j AS rep, edits, ref_len, ('0x' || substr(h, 4 * j::INT + 1, 4))::BIGINT / 65536.0::DOUBLE AS u FROM w0, (SELECT unnest(range(0, 8)) AS j) WHERE block * 8 + j < 100),
     r AS (SELECT level, rep, sum(edits * ({_poisson_sql()})) / sum(ref_len * ({_poisson_sql()}))::DOUBLE AS x FROM w GROUP BY 1, 2), t AS (SELECT level, sum(edits) / sum(ref_len)::DOUBLE AS wer FROM ed WHERE unit = 'word' GROUP BY 1)
     SELECT level::INT AS level, round(any_value(wer), 6) AS wer, round(stddev_samp(x), 6) AS se FROM r JOIN t USING (level) GROUP BY 1""")
 def e_bootstrap(spark, d):
@@ -142,10 +142,10 @@ def e_compare(spark, d):
 # ---- workloads
 
 
-@query("w_human_context", f"WITH {UT} SELECT doc_id, s, array_to_string(words[1:6], ' ') AS shown, array_to_string(words[7:40], ' ') AS target, len(words) - 6 AS n_target FROM ut WHERE bucket = 9 AND len(words) >= 12")
+@query("w_human_context", f"WITH {UT} SELECT doc_id, s, array_to_string(words[1:6], ' ') AS shown, array_to_string(words[7:], ' ') AS target, len(words) - 6 AS n_target FROM ut WHERE bucket = 9 AND len(words) >= 12")
 def w_human_context(spark, d):
     u = S.utterances(spark, d).where("bucket = 9 AND size(words) >= 12")
-    return u.select("doc_id", "s", F.array_join(F.slice("words", 1, 6), " ").alias("shown"), F.array_join(F.expr("slice(words, 7, 40)"), " ").alias("target"), (F.size("words") - 6).cast("long").alias("n_target"))
+    return u.select("doc_id", "s", F.array_join(F.slice("words", 1, 6), " ").alias("shown"), F.array_join(F.expr("slice(words, 7, size(words))"), " ").alias("target"), (F.size("words") - 6).cast("long").alias("n_target"))
 
 
 _NOLM = W._COUNTS3 + f""", tk AS (SELECT doc_id, s, i, words[i] AS w, CASE WHEN i = 1 THEN '<s>' ELSE words[i - 1] END AS prev FROM ut, LATERAL (SELECT unnest(range(1, len(words) + 1)) AS i) WHERE bucket = 9),
@@ -167,21 +167,111 @@ def w_no_lm(spark, d):
     return c.groupBy("doc_id", "s", "pos").agg(F.max_by("cand", F.struct("cu", "cand")).alias("pick_uni"), F.max_by("cand", F.struct("cb", "cu", "cand")).alias("pick_bi"))
 
 
-_EXT = f"WITH {S.CLIPS_SQL}, cl AS (SELECT dur, max_yaw, max_pitch, row_number() OVER (ORDER BY user_id, w) - 1 AS cno, count(*) OVER () AS total FROM clips), " + """cv AS (SELECT conv_id, turn, regexp_extract_all(lower(text), '[a-z]+') AS words, ('0x' || substr(md5('clip|' || conv_id || '|' || turn), 1, 8))::BIGINT AS h FROM conversations),
-    b AS (SELECT cv.*, dur, max_yaw, max_pitch FROM cv JOIN cl ON cl.cno = h % cl.total WHERE len(words) > 0),
-    e AS (SELECT conv_id, turn, dur >= 1 AND max_yaw <= 30 AND max_pitch <= 30 AS kept, len(words) AS n, len(list_filter(range(1, len(words) + 1), lambda i: ('0x' || substr(md5('ext|' || conv_id || '|' || turn || '|' || i), 1, 8))::BIGINT % 10 < CASE WHEN max_yaw <= 30 AND max_pitch <= 30 THEN 4 ELSE 5 END)) AS edits FROM b)"""
+_EXT = f"WITH {S.CLIPS_SQL}, " + """cv AS (SELECT conv_id, turn, regexp_extract_all(lower(text), '[a-z]+') AS words, ('0x' || substr(md5('clip|' || conv_id || '|' || turn), 1, 8))::BIGINT AS h FROM conversations),
+    b AS (SELECT cv.*, dur, max_yaw, max_pitch FROM cv JOIN ev1 ON ev1.event_id = h % (SELECT max(event_id) + 1 FROM events) JOIN clips USING (user_id, w) WHERE len(words) > 0),
+    e AS (SELECT conv_id, turn, coalesce(dur >= 1 AND max_yaw <= 30 AND max_pitch <= 30, FALSE) AS kept, len(words) AS n, len(list_filter(range(1, len(words) + 1), lambda i: ('0x' || substr(md5('ext|' || conv_id || '|' || turn || '|' || i), 1, 8))::BIGINT % 10 < CASE WHEN max_yaw <= 30 AND max_pitch <= 30 THEN 4 ELSE 5 END)) AS edits FROM b)"""
+
+
+def external(spark, d):
+    """conv_id, turn, words, dur, max_yaw, max_pitch, kept: each turn shown by the clip that an event, drawn by a hash, is of."""
+    ev = S.frames(spark, d).select("event_id", "user_id", "w")
+    total = load(spark, d, "events", "event_id").agg(F.max("event_id") + 1).scalar()
+    cv = load(spark, d, "conversations", "conv_id", "turn", "text").select("conv_id", "turn", F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)")).alias("words"))
+    cv = cv.where("size(words) > 0").withColumn("event_id", S.hash8(F.lit("clip"), F.col("conv_id").cast("string"), F.col("turn").cast("string")) % total)
+    b = cv.join(ev, "event_id").join(S.clips(spark, d).select("user_id", "w", "dur", "max_yaw", "max_pitch"), ["user_id", "w"])
+    return b.withColumn("kept", F.coalesce(F.expr("dur >= 1 AND max_yaw <= 30 AND max_pitch <= 30"), F.lit(False)))
 
 
 @query("w_external", _EXT + " SELECT 'full' AS subset, count(*) AS n, round(sum(edits) / sum(n)::DOUBLE, 6) AS wer FROM e UNION ALL SELECT 'filtered', count(*), round(sum(edits) / sum(n)::DOUBLE, 6) FROM e WHERE kept")
 def w_external(spark, d):
     """The external set, all and as the mining rules filter it; words fail by a hash, more often at wide angles."""
-    w = Window.orderBy("user_id", "w")  # numbers clips, which the events bound
-    cl = S.clips(spark, d).select("user_id", "w", "dur", "max_yaw", "max_pitch").withColumn("n", F.row_number().over(w) - 1)
-    total = S.clips(spark, d).agg(F.count(F.lit(1)).alias("c")).select("c").scalar()
-    cv = load(spark, d, "conversations", "conv_id", "turn", "text").select("conv_id", "turn", F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)")).alias("words"))
-    cv = cv.where("size(words) > 0").withColumn("n", (S.hash8(F.lit("clip"), F.col("conv_id").cast("string"), F.col("turn").cast("string")) % total).cast("int"))
-    b = cv.join(cl, "n")
+    b = external(spark, d)
     h = "cast(conv(substring(md5(concat_ws('|', 'ext', cast(conv_id AS string), cast(turn AS string), cast(i AS string))), 1, 8), 16, 10) AS long) % 10"
-    e = b.select((F.expr("dur >= 1 AND max_yaw <= 30 AND max_pitch <= 30")).alias("kept"), F.size("words").alias("n"), F.expr(f"size(filter(sequence(1, size(words)), i -> {h} < CASE WHEN max_yaw <= 30 AND max_pitch <= 30 THEN 4 ELSE 5 END))").alias("edits"))
+    e = b.select("kept", F.size("words").alias("n"), F.expr(f"size(filter(sequence(1, size(words)), i -> {h} < CASE WHEN max_yaw <= 30 AND max_pitch <= 30 THEN 4 ELSE 5 END))").alias("edits"))
     both = e.select(F.explode(F.when(F.col("kept"), F.array(F.lit("full"), F.lit("filtered"))).otherwise(F.array(F.lit("full")))).alias("subset"), "n", "edits")
     return both.groupBy("subset").agg(F.count(F.lit(1)).alias("c"), F.round(F.sum("edits") / F.sum("n"), 6).alias("wer")).select("subset", F.col("c").alias("n"), "wer")
+
+
+# ---- from decodes
+
+
+#: Fixed value: the word error rate, in percent, that the paper prints for another group's model trained on that set.
+EXTERNAL_PUBLISHED = 57.9
+
+
+@query("w_external_decoded")
+def w_external_decoded(spark, d):
+    """The external set decoded, whole and filtered, with the published row beside it: lattices are noisier at wide angles."""
+    from clipflow.operators import baselines as B
+
+    b = external(spark, d).withColumn("wide", F.expr("max_yaw > 30 OR max_pitch > 30")).withColumn("utt", F.concat_ws("-", F.col("conv_id").cast("string"), F.col("turn").cast("string"), F.col("event_id").cast("string")))
+    b = written(b.select("utt", "words", "wide", "kept"), "external")
+    full = next(m for m in B.METHODS if m.name == "full_ph")
+    from dataclasses import replace
+
+    decoder = B.decoder(W._lines(spark, d), full)
+    hyps = B.hypotheses(b.where("NOT wide"), full, decoder).unionByName(B.hypotheses(b.where("wide"), replace(full, swap=0.4), decoder))
+    e = B.edits(hyps).where("unit = 'word'").join(b.select("utt", "kept"), "utt")
+    both = e.select(F.explode(F.when(F.col("kept"), F.array(F.lit("full"), F.lit("filtered"))).otherwise(F.array(F.lit("full")))).alias("subset"), "utt", "edits", "ref_len")
+    rates = E.bootstrap_se(both, ["subset"], ["utt"], 48).join(both.groupBy("subset").agg(F.count(F.lit(1)).alias("n")), "subset")
+    ours = rates.select("subset", F.lit("full_ph").alias("method"), "n", F.round(100 * F.col("rate"), 1).alias("wer"), F.round(100 * F.col("se"), 1).alias("se"))
+    printed = spark.createDataFrame([("full", "ext_attn", None, EXTERNAL_PUBLISHED, None)], "subset string, method string, n long, wer double, se double")
+    return ours.unionByName(printed)
+
+
+def _operations(spark, d):
+    """op, ref_tok, hyp_tok of the full method's phonemes over all test sentences, aligned."""
+    from clipflow.operators.ctc import ctc_greedy
+    from clipflow.workloads import tables_main as TM
+
+    u = TM.utterances(spark, d).withColumn("phones", F.array_join(F.transform("words", lambda w: G.g2p(w)), ""))
+    heard = ctc_greedy(L.lattice(u, ["utt"], "phones", 0.22, "table-phone"), ["utt"])
+    pairs = u.select("utt", F.split("phones", "").alias("ref")).join(heard.select("utt", F.split("labels", "").alias("hyp")), "utt")
+    return E.align_ops(pairs, ["utt"])
+
+
+@query("w_heatmap_decoded")
+def w_heatmap_decoded(spark, d):
+    """Shares of insertions and deletions by phoneme from alignments of decoded to true phonemes."""
+    return E.insdel_heatmap(_operations(spark, d)).select("phone", F.round("ins_share", 6).alias("ins_share"), F.round("del_share", 6).alias("del_share"))
+
+
+@query("w_confusion_decoded")
+def w_confusion_decoded(spark, d):
+    """Which phoneme was taken for which, from the same alignments."""
+    return E.confusion(_operations(spark, d)).select("ref", "hyp", "n", F.round("share", 6).alias("share"))
+
+
+@query("w_rerank")
+def w_rerank(spark, d):
+    """The benchmark's sentences: five strings of the unigram decoder each, and the one that a trigram model picks."""
+    from clipflow.operators import baselines as B
+    from clipflow.operators import fst as T
+    from dataclasses import replace
+
+    uni = replace(next(m for m in B.METHODS if m.name == "unigram_ph"), swap=0.1)
+    b = load(spark, d, "benchmark", "item_id", "text").select(F.col("item_id").cast("string").alias("utt"), F.slice(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)")), 1, 12).alias("words")).where("size(words) > 0")
+    lattice = L.lattice(b.withColumn("phones", F.array_join(F.transform("words", lambda w: G.g2p(w)), "")), ["utt"], "phones", uni.swap, "rerank")
+    nbest = written(T.fst_decode(lattice, B.decoder(W._lines(spark, d), uni), ["utt"], 5), "nbest")
+    model, weights = M.katz_model(W._lines(spark, d), 3)
+    picked = M.rerank(nbest, ["utt"], model, weights, 3, 0.6)
+    first = nbest.where("rank = 0").select("utt", F.col("words").alias("first"))
+    both = b.withColumnRenamed("words", "ref").join(first, "utt").join(picked.select("utt", F.col("words").alias("picked")), "utt")
+    return both.select("utt", F.size("ref").alias("n"), D.edit_words("ref", "first").alias("edits_first"), D.edit_words("ref", "picked").alias("edits_picked"))
+
+
+_TITLE = "regexp_extract(html, '<title>(.*?)</title>', 1)"
+
+
+@query("w_human_protocol", f"""WITH {UT}, np AS (SELECT max(page_id) + 1 AS n FROM pages), t AS (SELECT ut.*, source AS category, {_TITLE} AS title FROM ut JOIN documents USING (doc_id) CROSS JOIN np LEFT JOIN pages ON page_id = doc_id % np.n WHERE bucket = 9)
+    SELECT doc_id, s, 'plain' AS condition, '' AS shown, NULL AS title, NULL AS category, 10 AS views, array_to_string(words, ' ') AS target FROM t UNION ALL
+    SELECT doc_id, s, 'context', array_to_string(words[1:6], ' '), title, category, 10, array_to_string(words[7:], ' ') FROM t WHERE len(words) >= 12""")
+def w_human_protocol(spark, d):
+    """What a lipreader is given for each test sentence: nothing, or six words, title and category; ten views, each at half or whole speed."""
+    pages = load(spark, d, "pages", "page_id", "html").select("page_id", F.regexp_extract("html", "<title>(.*?)</title>", 1).alias("title"))
+    docs = load(spark, d, "documents", "doc_id", F.col("source").alias("category"))
+    u = S.utterances(spark, d).where("bucket = 9").join(docs, "doc_id").withColumn("page_id", F.col("doc_id") % pages.agg(F.max("page_id") + 1).scalar()).join(pages, "page_id", "left")
+    none = F.lit(None).cast("string")
+    plain = u.select("doc_id", "s", F.lit("plain").alias("condition"), F.lit("").alias("shown"), none.alias("title"), none.alias("category"), F.lit(10).alias("views"), F.array_join("words", " ").alias("target"))
+    more = u.where("size(words) >= 12").select("doc_id", "s", F.lit("context").alias("condition"), F.array_join(F.slice("words", 1, 6), " ").alias("shown"), "title", "category", F.lit(10).alias("views"), F.array_join(F.expr("slice(words, 7, size(words))"), " ").alias("target"))
+    return plain.unionByName(more)
