@@ -87,7 +87,7 @@ def text_key(text_col: str) -> Column:
     return F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
 
 
-LEAF = 64  # stored fingerprints that are compared without a further split
+LEAF, WIDE_LEAF = 64, 512  # stored fingerprints that are compared without a further split, by bands and by all bits
 
 
 @dataclass(frozen=True)
@@ -188,47 +188,60 @@ def _search(columns: list[np.ndarray], sizes: np.ndarray, metrics: tuple[Metric,
     """Union all pairs (stored, asking) within ``radius`` bits that keep the metrics' bounds and whose sizes fit.
 
     A vantage-point tree over the stored fingerprints, built as it is searched by many at once. Its nodes part them by the
-    distance to one of them, by each metric in turn and by all bits where no band tells them apart; who asks follows
-    to a side where the triangle bound leaves it a partner. It ends at ``LEAF`` fingerprints, or at equal ones.
+    distance to one of them, by each metric in turn (the logarithm of the size is one, where sizes must fit) and by all
+    bits where none of these tells them apart; who asks follows to a side where the triangle bound leaves it a partner.
+    It ends at ``LEAF`` fingerprints, or at equal ones.
     """
-    bands = [m.values(columns) for m in metrics]
+    bands = [(m.values(columns), m.slack) for m in metrics]
+    logs, reach = np.log(np.maximum(sizes, 1)), -math.log(ratio) + 1e-9 if ratio else 0.0
+    ways = len(bands) + bool(ratio)
+    leaf = LEAF if bands else WIDE_LEAF
+
+    def apart(way: int, rows: np.ndarray, vantage: int) -> tuple[np.ndarray, float]:
+        if way < len(bands):
+            values, slack = bands[way]
+            return np.bitwise_count(values[rows] ^ values[vantage]).astype(np.int64), slack
+        return (np.abs(logs[rows] - logs[vantage]), reach) if way < ways else (_spread(columns, rows, vantage), radius)
+
     work = [(stored, asking, 0, 1)]
     while work:
         s, q, level, seed = work.pop()
         if not len(s) or not len(q):
             continue
-        vantage, d = int(s[(seed * 2654435761 + 97) % len(s)]), None
-        if len(s) > LEAF:
-            for k in range(level, level + len(bands)):
-                v, slack = bands[k % len(bands)], metrics[k % len(bands)].slack
-                d, e = np.bitwise_count(v[s] ^ v[vantage]).astype(np.int64), np.bitwise_count(v[q] ^ v[vantage]).astype(np.int64)
-                if d.min() < d.max():
+        vantage, split = int(s[(seed * 2654435761 + 97) % len(s)]), False
+        if len(s) > leaf:
+            for way in [(level + k) % ways for k in range(ways)] + [ways]:
+                d, slack = apart(way, s, vantage)
+                if split := bool(d.min() < d.max()):
                     break
-            else:
-                d, e, slack = _spread(columns, s, vantage), _spread(columns, q, vantage), radius
-        if d is not None and d.min() < d.max():
-            cut = int(np.median(d))
-            cut -= int(cut == d.max())
-            for side, some in enumerate((d <= cut, d > cut)):
-                near = (e >= d[some].min() - slack) & (e <= d[some].max() + slack)
-                work.append((s[some], q[near], level + 1, (2 * seed + side) % 1_000_003))
+        if split:
+            e, cut = apart(way, q, vantage)[0], np.median(d)
+            near = d <= cut if cut < d.max() else d < cut
+            for side, some in enumerate((near, ~near)):
+                meets = (e >= d[some].min() - slack) & (e <= d[some].max() + slack)
+                work.append((s[some], q[meets], level + 1, (2 * seed + side) % 1_000_003))
             continue
-        step = max(1, (1 << 20) // len(s))
+        step = max(1, (1 << 16) // len(s))
         for i in range(0, len(q), step):
             part = q[i : i + step]
-            x, y = np.nonzero(np.bitwise_count(bands[0][part][:, None] ^ bands[0][s][None, :]) <= metrics[0].slack)
+            if bands:
+                close = np.bitwise_count(bands[0][0][part][:, None] ^ bands[0][0][s][None, :]) <= bands[0][1]
+            else:  # half of the bits are enough to leave out nearly all
+                close = sum(np.bitwise_count(c[part][:, None] ^ c[s][None, :]).astype(np.uint16) for c in columns[: max(1, len(columns) // 2)]) <= radius
+            x, y = np.nonzero(close)
             x, y = part[x], s[y]
-            for v, m in zip(bands[1:], metrics[1:]):
-                close = np.bitwise_count(v[x] ^ v[y]) <= m.slack
+            for values, slack in bands[1:]:
+                close = np.bitwise_count(values[x] ^ values[y]) <= slack
                 x, y = x[close], y[close]
-            apart = parent[x] != parent[y]
-            x, y = x[apart], y[apart]
-            for c in columns:  # bits add up, so most pairs are gone after the first word
-                far = np.bitwise_count(columns[0][x] ^ columns[0][y]).astype(np.int64) if c is columns[0] else far + np.bitwise_count(c[x] ^ c[y])
-                close = far <= radius
-                x, y, far = x[close], y[close], far[close]
-            fits = np.minimum(sizes[x], sizes[y]) >= ratio * np.maximum(sizes[x], sizes[y])
-            _union(parent, x[fits], y[fits])
+            new = parent[x] != parent[y]
+            x, y = x[new], y[new]
+            near = _spread_pairs(columns, x, y) <= radius
+            near &= np.minimum(sizes[x], sizes[y]) >= ratio * np.maximum(sizes[x], sizes[y])
+            _union(parent, x[near], y[near])
+
+
+def _spread_pairs(columns: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    return sum(np.bitwise_count(c[x] ^ c[y]).astype(np.int64) for c in columns)
 
 
 def _class(size: np.ndarray, ratio: float) -> np.ndarray:
@@ -287,8 +300,8 @@ def linked(prints: DataFrame, radius: int = 4, words: int = 1, ratio: float = 0.
         case = ((key[0].as_py() >> 36) & 0xFFF) - 1
         stored, everyone = np.nonzero(rows.column("stored").to_numpy(zero_copy_only=False))[0], np.arange(rows.num_rows)
         parent = everyone.copy()
-        for metrics in sets if case < 0 else sets[case : case + 1]:
-            _search(columns, rows.column("size").to_numpy(), metrics, stored, everyone, radius, ratio, parent)
+        # a size class that is one shard needs no bands: its tree is by size and by all bits
+        _search(columns, rows.column("size").to_numpy(), sets[case] if case >= 0 else (), stored, everyone, radius, ratio, parent)
         moved = np.nonzero(parent != everyone)[0]
         node = rows.column("node").to_numpy()
         return pa.table({"a": node[moved], "b": node[parent[moved]]})

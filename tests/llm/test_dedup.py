@@ -298,3 +298,21 @@ def test_near_stage_finds_what_shares_its_shingles(spark):
     for d, f in first.items():
         groups.setdefault(f, []).append(d)
     assert all(best.get(d, 0) >= 0.5 for ds in groups.values() if len(ds) > 1 for d in ds)
+
+
+@pytest.mark.parametrize("shard_rows", [25, 50_000])
+def test_wide_search_in_one_shard_and_in_many(spark, shard_rows):
+    """Size classes that are one shard and such as are dealt out by bands find the same pairs: those within both bounds."""
+    rng = np.random.default_rng(6)
+    a = rng.integers(0, 2, (120, 256), dtype=np.uint8)
+    b = a.copy()
+    for row, n in zip(b, rng.integers(30, 70, 120)):
+        row[rng.choice(256, n, replace=False)] ^= 1
+    bits, sizes = np.concatenate([a, b]), np.concatenate([rng.integers(60, 140, 120)] * 2)
+    sizes[120:] = (sizes[120:] * rng.uniform(0.7, 1.3, 120)).astype(int)
+    prints = np.packbits(bits, axis=1, bitorder="little").view(np.int64)
+    df = spark.createDataFrame([(i, int(s), *map(int, p)) for i, (s, p) in enumerate(zip(sizes, prints))], "node long, size long, w0 long, w1 long, w2 long, w3 long")
+    got = {(min(r.a, r.b), max(r.a, r.b)) for r in simhash.linked(df, 51, 4, 0.8, shard_rows).collect()}
+    far = (bits[:, None, :] != bits[None, :, :]).sum(axis=2)
+    fits = np.minimum.outer(sizes, sizes) >= 0.8 * np.maximum.outer(sizes, sizes)
+    assert got == set(zip(*(x.tolist() for x in np.nonzero(np.triu((far <= 51) & fits, 1)))))
