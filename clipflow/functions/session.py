@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from clipflow.functions import phonemes as G
+from clipflow.operators.evaluate import align
 
 
 def _edit(a: str, b: str) -> int:
@@ -54,6 +55,33 @@ class PhoneFrames:
             yield i, p, max(1, round(fps * (0.08 if p in G.VOWELS else 0.06)))
 
 
+@F.udtf(returnType=T.StructType().add("pos", T.IntegerType()).add("gram", T.ArrayType(T.StringType())))
+class Ngrams:
+    """words, n -> each n consecutive words with the place of the first, from 0."""
+
+    def eval(self, words: list[str], n: int) -> Iterator[tuple[int, list[str]]]:
+        for i in range(len(words or []) - n + 1):
+            yield i, words[i : i + n]
+
+
+@F.udtf(returnType=T.StructType().add("op", T.StringType()).add("ref_tok", T.StringType()).add("hyp_tok", T.StringType()))
+class EditOps:
+    """ref, hyp (arrays) -> the operations of a least-cost alignment."""
+
+    def eval(self, ref: list[str], hyp: list[str]) -> Iterator[tuple[str, str | None, str | None]]:
+        yield from align(list(ref or []), list(hyp or []))
+
+
+@F.udtf(returnType=T.StructType().add("start", T.IntegerType()))
+class Windows:
+    """n, count, width -> where ``count`` equally spaced windows of ``width`` frames start in n; none if n is less."""
+
+    def eval(self, n: int, count: int, width: int) -> Iterator[tuple[int]]:
+        if n >= width:
+            for i in range(count):
+                yield (int(i * (n - width) // max(count - 1, 1)),)
+
+
 def register(spark: SparkSession) -> list[str]:
     """Make the functions known to the session's SQL; returns their names."""
     at, to = "".join(G.VISEMES.values()), "".join(k * len(v) for k, v in G.VISEMES.items())
@@ -68,5 +96,7 @@ def register(spark: SparkSession) -> list[str]:
     spark.udf.register("clip_edits_arrow", edit_arrow)
     spark.udf.register("clip_viseme_arrow", viseme_arrow)
     spark.udf.register("clip_pooled_rate", pooled_rate)
-    spark.udtf.register("clip_phone_frames", PhoneFrames)
-    return [*(h.partition("(")[0] for h in bodies), "clip_edits_arrow", "clip_viseme_arrow", "clip_pooled_rate", "clip_phone_frames"]
+    tables = {"clip_phone_frames": PhoneFrames, "clip_ngrams": Ngrams, "clip_edit_ops": EditOps, "clip_windows": Windows}
+    for name, table in tables.items():
+        spark.udtf.register(name, table)
+    return [*(h.partition("(")[0] for h in bodies), "clip_edits_arrow", "clip_viseme_arrow", "clip_pooled_rate", *tables]

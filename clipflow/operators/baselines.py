@@ -98,7 +98,7 @@ def edits(hyps: DataFrame) -> DataFrame:
 def decoder_for(method: Method, vocabulary: list[str], phones: dict[str, str], lm: dict, back: dict) -> T.Decoder:
     table = str.maketrans("".join(G.VISEMES.values()), "".join(k * len(v) for k, v in G.VISEMES.items()))
     sound = (lambda w: w) if method.unit == "char" else (lambda w: phones[w].translate(table)) if method.viseme else (lambda w: phones[w])
-    return T.Decoder([(w, sound(w)) for w in vocabulary], lm, back, order=method.order, beam=9.0, max_active=80, weight=0.6)
+    return T.Decoder([(w, sound(w)) for w in vocabulary], lm, back, order=method.order, beam=9.0, max_active=200, weight=0.6)
 
 
 def vocabulary_of(train: DataFrame, most: int = MAX_WORDS) -> DataFrame:

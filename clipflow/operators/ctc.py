@@ -128,12 +128,30 @@ def ctc_logprob(df: DataFrame, frames: str = "lattice", label: str = "label", bl
     return df.mapInPandas(run, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.schema) + ", logp double")
 
 
-def ctc_beam(df: DataFrame, width: int = 16, frames: str = "lattice", key: str = "utt", blank: int = 0) -> DataFrame:
-    """key, rank, label, logp: the n-best of each clip."""
+def ctc_beam(df: DataFrame, width: int = 16, frames: str = "lattice", key: str = "utt", blank: int = 0, lm: dict[tuple[int, ...], float] | None = None, order: int = 2, alpha: float = 1.0, beta: float = 0.0) -> DataFrame:
+    """key, rank, label, logp: the n-best of each clip.
+
+    ``lm``: log probability of each (symbols before.., symbol) of at most ``order``; unseen ones take the longest known end
+    of their context, else -10. Each extension adds ``alpha`` times that and ``beta``. It is of symbols, so it is small;
+    word models go with ``fst.Decoder``.
+    """
+    sent = df.sparkSession.sparkContext.broadcast(lm) if lm else None
+
+    def score(prefix: tuple[int, ...], symbol: int) -> float:
+        context = prefix[max(0, len(prefix) - order + 1) :] if order > 1 else ()
+        while True:
+            if (p := sent.value.get((*context, symbol))) is not None:
+                return p
+            if not context:
+                return -10.0
+            context = context[1:]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            rows = [(u, r, [int(i) for i in p], s) for u, x in zip(b[key], b[frames]) for r, (p, s) in enumerate(beam_search(np.log(np.maximum(np.array([list(f) for f in x], float), 1e-300)), width, blank))]
+            rows = []
+            for u, x in zip(b[key], b[frames]):
+                logp = np.log(np.maximum(np.array([list(f) for f in x], float), 1e-300))
+                rows += [(u, r, [int(i) for i in p], s) for r, (p, s) in enumerate(beam_search(logp, width, blank, score if sent else None, alpha, beta))]
             yield pd.DataFrame(rows, columns=[key, "rank", "label", "logp"])
 
     return df.select(key, frames).mapInPandas(run, f"{key} {df.schema[key].dataType.simpleString()}, rank int, label array<int>, logp double")

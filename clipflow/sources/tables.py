@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import os
 import tempfile
 import uuid
@@ -26,6 +27,20 @@ def write_clips(df: DataFrame, path: str, partition: tuple[str, ...] = ("split",
     df.write.partitionBy(*partition).mode("overwrite").format(kind).save(path)
 
 
+_made: list[tuple[SparkSession, str]] = []
+
+
+def _forget() -> None:
+    """Delete what ``written`` has made, when the driver's process ends: results may read it until then."""
+    for spark, path in _made:
+        try:
+            if spark.sparkContext._jsc is not None:
+                target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+                target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+        except Exception:  # the session went first
+            return
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """The rows from a table written once to the folder that driver and executors share: what reads them many times is
     planned apart, and a lost executor costs no rerun of what led to them."""
@@ -36,5 +51,8 @@ def written(df: DataFrame, name: str) -> DataFrame:
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")
     path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    if not _made:
+        atexit.register(_forget)
+    _made.append((spark, path))
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -131,3 +131,12 @@ def mine(ev: DataFrame, static: DataFrame, key: str = "user_id", cap: int = 30)
     seen = unique_frames(ev)
     kept = with_context(seen, static, key).where("abs(value - 50) / 5 <= coalesce(max_yaw, 30)")
     return kept.groupBy(F.window("ts", "1 hour").alias("w"), key).agg(F.count(F.lit(1)).alias("n"))
+
+
+def store_batches(stream: DataFrame, path: str, checkpoint: str, split: str = "split"):
+    """A query that stores each batch of a stream by split, once: a batch that is run again replaces what it has written."""
+
+    def store(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").partitionBy(split).parquet(f"{path}/batch={number}")
+
+    return stream.writeStream.foreachBatch(store).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from clipflow.functions import edit as D
@@ -275,3 +276,37 @@ def w_human_protocol(spark, d):
     plain = u.select("doc_id", "s", F.lit("plain").alias("condition"), F.lit("").alias("shown"), none.alias("title"), none.alias("category"), F.lit(10).alias("views"), F.array_join("words", " ").alias("target"))
     more = u.where("size(words) >= 12").select("doc_id", "s", F.lit("context").alias("condition"), F.array_join(F.slice("words", 1, 6), " ").alias("shown"), "title", "category", F.lit(10).alias("views"), F.array_join(F.expr("slice(words, 7, size(words))"), " ").alias("target"))
     return plain.unionByName(more)
+
+
+@query("w_speech_faces", """WITH f AS (SELECT l_orderkey, count(*) AS n, count(*) FILTER (WHERE p_size >= 20) AS wide FROM lineitem JOIN part ON p_partkey = l_partkey GROUP BY 1)
+    SELECT o_orderstatus AS kind, count(*) AS n_segments, count(n) AS n_with_faces, count(*) - count(n) AS n_without, coalesce(sum(n), 0)::BIGINT AS n_faces, coalesce(sum(wide), 0)::BIGINT AS n_wide FROM orders LEFT JOIN f ON l_orderkey = o_orderkey GROUP BY 1""")
+def w_speech_faces(spark, d):
+    """Segments joined with the faces seen in them, as orders with their lines: left, semi and anti forms, faces by the size of their part."""
+    seg = load(spark, d, "orders", "o_orderkey", F.col("o_orderstatus").alias("kind"))
+    face = load(spark, d, "lineitem", "l_orderkey", "l_partkey").join(load(spark, d, "part", "p_partkey", "p_size"), F.expr("p_partkey = l_partkey"))
+    seen = face.groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("p_size") >= 20).alias("wide"))
+    left = seg.join(seen, seg["o_orderkey"] == seen["l_orderkey"], "left").groupBy("kind").agg(F.count(F.lit(1)).alias("n_segments"), F.coalesce(F.sum("n"), F.lit(0)).alias("n_faces"), F.coalesce(F.sum("wide"), F.lit(0)).alias("n_wide"))
+    semi = seg.join(seen, seg["o_orderkey"] == seen["l_orderkey"], "left_semi").groupBy("kind").agg(F.count(F.lit(1)).alias("n_with_faces"))
+    anti = seg.join(seen, seg["o_orderkey"] == seen["l_orderkey"], "left_anti").groupBy("kind").agg(F.count(F.lit(1)).alias("n_without"))
+    return left.join(semi, "kind", "left").join(anti, "kind", "left").na.fill(0, ["n_with_faces", "n_without"])
+
+
+@query("w_human_conversation", """SELECT u.conv_id, u.turn, array_to_string(regexp_extract_all(lower(u.text), '[a-z]+'), ' ') AS shown, array_to_string(regexp_extract_all(lower(a.text), '[a-z]+'), ' ') AS target
+    FROM conversations u JOIN conversations a ON a.conv_id = u.conv_id AND a.turn = u.turn + 1 WHERE u.role = 'user' AND a.role = 'assistant' AND len(regexp_extract_all(lower(a.text), '[a-z]+')) >= 6""")
+def w_human_conversation(spark, d):
+    """The with-context test in its second form: a user's turn is the context, the answer is what is to be read."""
+    words = lambda c: F.regexp_extract_all(F.lower(c), F.lit("([a-z]+)"))
+    c = load(spark, d, "conversations", "conv_id", "turn", "role", "text")
+    user = c.where("role = 'user'").select("conv_id", "turn", F.array_join(words("text"), " ").alias("shown"))
+    answer = c.where("role = 'assistant'").select("conv_id", (F.col("turn") - 1).alias("turn"), words("text").alias("w")).where("size(w) >= 6")
+    return user.join(answer, ["conv_id", "turn"]).select("conv_id", "turn", "shown", F.array_join("w", " ").alias("target"))
+
+
+@query("e_scale", f"""WITH {UT}, x AS (SELECT bucket = 9 AS test, doc_id, s, unnest(words) AS w FROM ut), g AS (SELECT test, count(DISTINCT (doc_id, s)) AS n_utts, count(*) AS n_words, count(DISTINCT w) AS n_types FROM x GROUP BY 1)
+    SELECT test, n_utts, n_words, n_types, round(n_words / 7100.0::DOUBLE * 37 / 60, 6) AS hours, round(log10(n_words / min(n_words) OVER ()::DOUBLE), 6) AS magnitude FROM g""")
+def e_scale(spark, d):
+    """Hours, vocabulary and sequences of training and test, and how many orders of magnitude the larger is above."""
+    x = S.utterances(spark, d).select((F.col("bucket") == 9).alias("test"), "doc_id", "s", F.posexplode("words").alias("i", "w"))
+    g = x.groupBy("test").agg(F.count_if(F.col("i") == 0).alias("n_utts"), F.count(F.lit(1)).alias("n_words"), F.count_distinct("w").alias("n_types"))
+    least = F.min("n_words").over(Window.partitionBy())  # two rows
+    return g.select("test", "n_utts", "n_words", "n_types", F.round(F.col("n_words") / 7100.0 * 37 / 60, 6).alias("hours"), F.round(F.log10(F.col("n_words") / least), 6).alias("magnitude"))

@@ -16,9 +16,9 @@ from clipflow.workloads.registry import query
 @query("x_lateral", "SELECT n_name, s.n, round(s.total, 2) AS total FROM nation, LATERAL (SELECT count(*) AS n, sum(c_acctbal) AS total FROM customer WHERE c_nationkey = n_nationkey AND c_acctbal > 0) s")
 def x_lateral(spark, d):
     """A subquery for each row, by a lateral join that the optimiser turns into an aggregate and a join."""
-    c = load(spark, d, "customer", "c_nationkey", "c_acctbal")
-    mine = c.where((F.col("c_nationkey") == F.col("n_nationkey").outer()) & (F.col("c_acctbal") > 0)).agg(F.count(F.lit(1)).alias("n"), F.sum("c_acctbal").alias("total"))
-    return load(spark, d, "nation", "n_nationkey", "n_name").lateralJoin(mine).select("n_name", "n", F.round("total", 2).alias("total"))
+    inner = "SELECT count(*) AS n, sum(c_acctbal) AS total FROM {c} WHERE c_nationkey = n_nationkey AND c_acctbal > 0"
+    c, n = load(spark, d, "customer", "c_nationkey", "c_acctbal"), load(spark, d, "nation", "n_nationkey", "n_name")
+    return spark.sql("SELECT n_name, s.n, round(s.total, 2) AS total FROM {n}, LATERAL (" + inner + ") s", c=c, n=n)
 
 
 _VIS = "translate(" + G.g2p_sql("w") + ", '" + "".join(G.VISEMES.values()) + "', '" + "".join(k * len(v) for k, v in G.VISEMES.items()) + "')"

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from clipflow.functions import frames as FR
 from clipflow.functions import session
-from clipflow.operators import fst, lm, nn, pipeline, sync, tracks, trained
+from clipflow.operators import ctc, fst, lm, nn, pipeline, sync, tracks, trained
 from clipflow.sources import clock, standin
 from clipflow.streaming import clips as C
 
@@ -223,6 +223,42 @@ def test_timed_collapse_equals_the_batch(spark, tmp_path):
         assert said == want
 
 
+def test_frames_stream_through_the_cheap_rules_to_files(spark, tmp_path):
+    """Duplicates out, limits joined, survivors counted by hour; batches of a stream stored by split, each once."""
+    ev = spark.createDataFrame([(i % 20, i % 20, i % 4, f"2024-01-01 0{(i % 20) // 6}:{i % 20:02d}:00", float(30 + 5 * (i % 20))) for i in range(40)], "i int, event_id int, user_id int, ts string, value double").withColumn("ts", F.to_timestamp("ts"))
+    table = spark.createDataFrame([(0, 5.0), (1, 30.0)], "user_id int, max_yaw double")
+    got = {(r[0].start.hour, r[1]): r[2] for r in run(spark, tmp_path / "4", C.mine(stream_of(spark, tmp_path, "raw", ev, 2), table), "complete")}
+    kept = ev.dropDuplicates(["event_id"]).join(table, "user_id", "left").where("abs(value - 50) / 5 <= coalesce(max_yaw, 30)")
+    assert got == {(r[0], r[1]): r[2] for r in kept.groupBy(F.hour("ts"), "user_id").count().collect()}
+    q = C.store_batches(stream_of(spark, tmp_path, "raw2", ev.withColumn("split", F.col("user_id") % 2), 2), str(tmp_path / "out"), str(tmp_path / "c5"))
+    assert q.awaitTermination(180)
+    assert spark.read.parquet(str(tmp_path / "out")).count() == 40 and {p.name for p in (tmp_path / "out").iterdir() if p.name.startswith("batch")} == {"batch=0", "batch=1"}
+
+
+def test_table_functions_equal_their_twins(spark):
+    session.register(spark)
+    got = [(r.pos, r.gram) for r in spark.sql("SELECT * FROM clip_ngrams(array('a', 'b', 'c'), 2)").collect()]
+    assert got == [(0, ["a", "b"]), (1, ["b", "c"])]
+    ops = [tuple(r) for r in spark.sql("SELECT * FROM clip_edit_ops(array('a', 'b'), array('a', 'c', 'd'))").collect()]
+    assert [o for o, *_ in ops].count("match") == 1 and sum(o != "match" for o, *_ in ops) == 2
+    starts = [r.start for r in spark.sql("SELECT * FROM clip_windows(60, 100, 9)").collect()]
+    assert starts == spark.range(1).select(F.lit(60).alias("n")).select(sync.equally_spaced("n", 100, 9)).first()[0]
+    assert spark.sql("SELECT * FROM clip_windows(5, 100, 9)").count() == 0
+
+
+def test_beam_with_a_symbol_model(spark):
+    """Equal to the search in one process with the same model as a function; the model turns the order of two strings."""
+    frames = [[0.2, 0.45, 0.35], [0.9, 0.05, 0.05], [0.2, 0.35, 0.45]]
+    df = spark.createDataFrame([("u", frames)], "utt string, lattice array<array<double>>")
+    model = {(2, 2): -0.01, (1, 2): -9.0, (2, 1): -9.0, (1, 1): -9.0, (1,): -0.7, (2,): -0.7}
+    got = [(tuple(r.label), r.logp) for r in ctc.ctc_beam(df, lm=model, beta=1.0).orderBy("rank").collect()]
+    want = ctc.beam_search(np.log(frames), 16, 0, lambda prefix, k: model[(*prefix[-1:], k)], 1.0, 1.0)
+    assert [x for x, _ in got] == [x for x, _ in want] and np.allclose([p for _, p in got], [p for _, p in want])
+    plain = [tuple(r.label) for r in ctc.ctc_beam(df).orderBy("rank").collect()]
+    places = [x for x, _ in got]
+    assert plain.index((1, 2)) < plain.index((2, 2)) and places.index((2, 2)) < places.index((1, 2))
+
+
 @pytest.fixture(scope="module")
 def learnt(spark):
     return {r.method: r for r in trained.rates(spark, "/root/testdata/sf0.01").collect()}
