@@ -200,9 +200,9 @@ class ConvTowers:
         return loss, total
 
 
-def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0) -> tuple[Towers | ConvTowers, list[float]]:
+def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0, longest: float | None = None) -> tuple[Towers | ConvTowers, list[float]]:
     """Synchronous data-parallel steps: tasks sum gradients over their rows, those sums meet by parameter, and the driver
-    gets one gradient of the model's size."""
+    gets one gradient of the model's size. A gradient longer than ``longest`` is cut to that length."""
     sc = pairs.sparkSession.sparkContext
     losses = []
     for _ in range(epochs):
@@ -231,6 +231,9 @@ def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epo
         if not rows:
             break
         moved = {r["name"]: rate * np.frombuffer(r["g"]) / r["n"] for r in rows}
+        length = float(np.sqrt(sum((g**2).sum() for g in moved.values()))) / rate
+        if longest is not None and length > longest:
+            moved = {k: g * (longest / length) for k, g in moved.items()}
         if isinstance(towers, ConvTowers):
             towers = ConvTowers({k: p - moved[k].reshape(p.shape) for k, p in towers.params.items()}, towers.side, towers.bands)
         else:
@@ -255,14 +258,14 @@ def embed(pairs: DataFrame, towers: Towers | ConvTowers, frames: int) -> DataFra
     return pairs.mapInPandas(part, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pairs.schema) + ", d double")
 
 
-def self_filter(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, keep: float = 0.8, rounds: int = 2, epochs: int = 20, rate: float = 0.5) -> tuple[Towers | ConvTowers, DataFrame, list[float]]:
+def self_filter(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, keep: float = 0.8, rounds: int = 2, epochs: int = 20, rate: float = 0.5, longest: float | None = None) -> tuple[Towers | ConvTowers, DataFrame, list[float]]:
     """Train on all, keep the positive pairs with the smallest distances, fine-tune on those, filter again.
 
     The threshold of a round is a quantile of the positives' distances; negatives stay as they are.
     """
     kept, losses = pairs, []
     for _ in range(rounds):
-        towers, seen = train_towers(kept, towers, frames, epochs, rate)
+        towers, seen = train_towers(kept, towers, frames, epochs, rate, longest=longest)
         losses += seen
         scored = embed(pairs, towers, frames)
         cut = scored.where("y = 1").agg(F.percentile_approx("d", keep)).first()[0]

@@ -121,6 +121,7 @@ def windows(spark, d):
                 video = base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0) + 0.5 * rng.normal(size=(24, SIDE * SIDE))
                 heard = video if vec % 5 else base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0)
                 sound = heard @ mix + 0.1 * rng.normal(size=(24, BANDS))
+                sound, video = sound / max(sound.std(), 1e-9), video / max(video.std(), 1e-9)
                 for i in range(0, 24 - FRAMES_OF + 1, 5):
                     rows.append((vec, i, sound[i : i + FRAMES_OF].ravel().tolist(), video[i : i + FRAMES_OF].ravel().tolist(), int(vec % 5 > 0)))
             yield pd.DataFrame(rows, columns=["clip", "i", "a", "v", "truth"])
@@ -144,7 +145,7 @@ def s_towers(spark, d):
     out = []
     for name, k_t in (("spatiotemporal", 3), ("spatial", 1)):
         start = S.ConvTowers.start(BANDS, FRAMES_OF, SIDE, dim=6, filters=(3,), k_t=k_t)
-        towers, kept, losses = S.self_filter(pairs.where("NOT held_out").drop("held_out"), start, FRAMES_OF, rounds=2, epochs=4, rate=0.1)
+        towers, kept, losses = S.self_filter(pairs.where("NOT held_out").drop("held_out"), start, FRAMES_OF, rounds=2, epochs=6, rate=0.3, longest=1.0)
         scored = written(S.embed(pairs.where("held_out").drop("held_out"), towers, FRAMES_OF), "sync-scored")
         cut = scored.agg(F.percentile_approx("d", 0.5)).first()[0]
         single = scored.agg(F.avg(((F.col("d") < cut) == (F.col("y") == 1)).cast("double"))).first()[0]

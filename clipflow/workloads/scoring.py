@@ -221,14 +221,14 @@ def w_external_decoded(spark, d):
 
 
 def _operations(spark, d):
-    """op, ref_tok, hyp_tok of the full method's phonemes over all test sentences, aligned."""
-    from clipflow.operators.ctc import ctc_greedy
+    """op, ref_tok, hyp_tok: the phonemes of all test sentences aligned with those of the full method's decoded words."""
+    from clipflow.operators import baselines as B
     from clipflow.workloads import tables_main as TM
 
-    u = TM.utterances(spark, d).withColumn("phones", F.array_join(F.transform("words", lambda w: G.g2p(w)), ""))
-    heard = ctc_greedy(L.lattice(u, ["utt"], "phones", 0.22, "table-phone"), ["utt"])
-    pairs = u.select("utt", F.split("phones", "").alias("ref")).join(heard.select("utt", F.split("labels", "").alias("hyp")), "utt")
-    return E.align_ops(pairs, ["utt"])
+    full = next(m for m in B.METHODS if m.name == "full_ph")
+    hyps = B.hypotheses(written(TM.utterances(spark, d), "utterances"), full, B.decoder(W._lines(spark, d), full))
+    phones = lambda c: F.split(F.array_join(F.transform(c, lambda w: G.g2p(w)), ""), "")
+    return written(E.align_ops(hyps.select("utt", phones("ref").alias("ref"), phones("hyp").alias("hyp")), ["utt"]), "operations")
 
 
 @query("w_heatmap_decoded")
