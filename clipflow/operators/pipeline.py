@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
@@ -146,6 +151,76 @@ def naive_bayes(counts: DataFrame, key: str, label: str, feature: str, learn: Co
     return scored.select(key, guess.alias("guess"))
 
 
+def trigram_bayes(texts: DataFrame, key: str, label: str, text: str, alphabet: str, learn: Column) -> DataFrame:
+    """``naive_bayes`` over the character trigrams of texts that have only letters of ``alphabet``: the same guesses.
+
+    A trigram is a number below the alphabet's cube. Tasks add up counts by label and rows' likelihoods in arrays of that
+    size, so a text's trigrams are never rows of a table; the texts are read twice, once to learn and once to guess.
+    """
+    v = len(alphabet)
+    lut = np.full(max(map(ord, alphabet)) + 1, v, np.int64)
+    lut[[ord(c) for c in alphabet]] = np.arange(v)
+
+    def pieces(b: pa.RecordBatch) -> list[pa.RecordBatch]:
+        """Rows of about ``LETTERS_AT_ONCE`` letters, or one longer text."""
+        part = np.cumsum(pc.utf8_length(b.column(1)).to_numpy(zero_copy_only=False)) // LETTERS_AT_ONCE
+        at = np.nonzero(np.diff(part, prepend=-1))[0]
+        return [b.slice(i, j - i) for i, j in zip(at, [*at[1:], b.num_rows])]
+
+    def coded(x: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Row and number of each trigram of a batch."""
+        size = pc.utf8_length(x).to_numpy(zero_copy_only=False).astype(np.int64)
+        letters = lut[np.frombuffer("".join(x.to_pylist()).encode("utf-32-le"), np.uint32)]
+        row = np.repeat(np.arange(len(size)), size)
+        if len(row) < 3:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        whole = row[2:] == row[:-2]
+        return row[2:][whole], (letters[:-2] * v * v + letters[1:-1] * v + letters[2:])[whole]
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[str, np.ndarray] = {}
+        for whole in batches:
+            for b in pieces(whole):
+                row, g = coded(b.column(1))
+                names = b.column(0).dictionary_encode()
+                of = names.indices.to_numpy()[row]
+                for j, name in enumerate(names.dictionary.to_pylist()):
+                    total[name] = total.get(name, 0) + np.bincount(g[of == j], minlength=v**3)
+        for name, n in total.items():
+            at = np.nonzero(n)[0]
+            yield pa.RecordBatch.from_arrays([pa.array([name] * len(at), pa.string()), pa.array(at, pa.int64()), pa.array(n[at], pa.int64())], names=["label", "g", "n"])
+
+    known = texts.where(F.col(text).isNotNull())
+    seen = known.where(learn & F.col(label).isNotNull()).select(F.col(label).alias("label"), F.col(text).alias("x")).mapInArrow(add, "label string, g long, n long")
+    rows = seen.groupBy("label", "g").agg(F.sum("n").alias("n")).toArrow()  # at most v cubed a label
+    labels = sorted(set(rows["label"].to_pylist()))  # languages: a handful
+    if not labels:
+        return known.where(F.length(text) > 2).select(key).distinct().withColumn("guess", F.lit(None).cast("string"))
+    counts = np.zeros((len(labels), v**3), np.int64)
+    counts[[labels.index(x) for x in rows["label"].to_pylist()], rows["g"].to_numpy()] = rows["n"].to_numpy()
+    taught = counts.sum(axis=0) > 0
+    logs = np.where(taught, np.log((counts + 1) / (counts.sum(axis=1, keepdims=True) + taught.sum())), 0.0)
+    sent = texts.sparkSession.sparkContext.broadcast((taught, logs))
+
+    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        taught, logs = sent.value
+        for whole in batches:
+            for b in pieces(whole):
+                row, g = coded(b.column(1))
+                has = np.bincount(row, weights=taught[g], minlength=b.num_rows) > 0
+                found = [np.bincount(row, weights=x[g], minlength=b.num_rows)[has] for x in logs]
+                yield pa.RecordBatch.from_arrays([b.column(0).filter(pa.array(has)), *map(pa.array, found)], names=[key, *[f"l{j}" for j in range(len(labels))]])
+
+    scored = known.select(key, text).mapInArrow(score, f"{key} {dict(texts.dtypes)[key]}, " + ", ".join(f"l{j} double" for j in range(len(labels))))
+    scored = scored.groupBy(key).agg(*[F.round(F.sum(f"l{j}"), 4).alias(f"l{j}") for j in range(len(labels))])
+    best = F.greatest(*[F.col(f"l{j}") for j in range(len(labels))]) if len(labels) > 1 else F.col("l0")
+    return scored.select(key, F.coalesce(*[F.when(F.col(f"l{j}") == best, x) for j, x in enumerate(labels)]).alias("guess"))
+
+
+#: Letters whose trigrams a task holds at once.
+LETTERS_AT_ONCE = 1_000_000
+
+
 def downsample_fps(frames: DataFrame, cap: float = 30, keys: tuple[str, ...] = ("user_id", "w"), time: str = "sec") -> DataFrame:
     """Frames kept when floor(time * cap) moves on: never more than ``cap`` a second; slower clips stay as they are."""
     w = Window.partitionBy(*keys).orderBy(time, "t")
