@@ -35,14 +35,13 @@ def equally_spaced(n: str, count: int, width: int) -> Column:
 def window_scores(df: DataFrame, distances: str, count: int = 100, width: int = 9) -> DataFrame:
     """Mean over equally spaced windows of the windows' mean distance; null for clips shorter than a window.
 
-    Prefix sums make each window two lookups: no frame is copied a hundred times.
+    Each window reads its own distances, so a clip of any length costs the same ``count`` times ``width`` lookups.
     """
-    sums = f"aggregate({distances}, array(0D), (s, x) -> concat(s, array(element_at(s, -1) + x)))"
-    out = df.withColumn("_n", F.size(distances)).withColumn("_sums", F.expr(sums))
+    out = df.withColumn("_n", F.size(distances))
     starts = F.when(F.col("_n") >= width, equally_spaced("_n", count, width))
     out = out.withColumn("_starts", starts)
-    score = f"aggregate(_starts, 0D, (s, i) -> s + (_sums[i + {width}] - _sums[i]) / {width}) / {count}"
-    return out.withColumn("score", F.expr(score)).drop("_n", "_sums", "_starts")
+    score = f"aggregate(_starts, 0D, (s, i) -> s + aggregate(slice({distances}, i + 1, {width}), 0D, (a, x) -> a + x) / {width}) / {count}"
+    return out.withColumn("score", F.expr(score)).drop("_n", "_starts")
 
 
 def make_pairs(df: DataFrame, group: str, order: str, shift: int) -> DataFrame:
