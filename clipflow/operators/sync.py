@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -126,6 +127,10 @@ class Towers:
         return float(loss), a.T @ g, -self._view(v).T @ g
 
 
+#: Windows that go through the networks as one array.
+WINDOWS_AT_ONCE = 256
+
+
 @dataclass
 class ConvTowers:
     """Two networks into one space: spatiotemporal convolutions over a window of square frames, convolutions in time over
@@ -148,7 +153,7 @@ class ConvTowers:
         return ConvTowers(p, side, bands)
 
     def _tower(self, name: str, x: np.ndarray) -> tuple[np.ndarray, Callable]:
-        """One window through one of the networks, and the way back to its parameters' gradients."""
+        """Windows through one of the networks, and the way back to its parameters' summed gradients."""
         p, steps = self.params, []
 
         def do(label: str, result: tuple[np.ndarray, Callable]) -> np.ndarray:
@@ -158,11 +163,11 @@ class ConvTowers:
         i = 0
         while f"{name}{i}.w" in p:
             w, b = p[f"{name}{i}.w"], p[f"{name}{i}.b"]
-            x = do(f"{name}{i}.", nn.conv3d(x, w, b) if name == "v" else nn.dilated(x, w, b, 1))
+            x = do(f"{name}{i}.", (nn.conv3d_windows if name == "v" else nn.dilated_windows)(x, w, b, i > 0))
             x = do("", nn.relu(x))
             i += 1
         shape = x.shape
-        x = do("", (x.reshape(1, -1), lambda g: (g.reshape(shape), {})))
+        x = do("", (x.reshape(len(x), -1), lambda g: (g.reshape(shape), {})))
         x = do(f"{name}.", nn.dense(x, p[f"{name}.w"], p[f"{name}.b"]))
 
         def back(g: np.ndarray) -> dict[str, np.ndarray]:
@@ -172,61 +177,75 @@ class ConvTowers:
                 grads |= {label + k: v for k, v in own.items()}
             return grads
 
-        return x[0], back
+        return x, back
 
-    def _pair(self, a: np.ndarray, v: np.ndarray) -> tuple:
-        frames = len(v)
-        return self._tower("a", a.reshape(frames, self.bands)), self._tower("v", v.reshape(frames, self.side, self.side, 1))
+    def _blocks(self, a: np.ndarray, v: np.ndarray) -> Iterator[tuple]:
+        """Both networks over blocks of windows: (their rows, audio's embeddings and way back, video's)."""
+        frames = v.shape[1]
+        for at in range(0, len(a), WINDOWS_AT_ONCE):
+            rows = slice(at, at + WINDOWS_AT_ONCE)
+            yield rows, self._tower("a", a[rows].reshape(-1, frames, self.bands)), self._tower("v", v[rows].reshape(-1, frames, self.side, self.side, 1))
 
     def embed(self, a: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """a (n, frames * bands), v (n, frames, side * side)."""
-        both = [self._pair(x, y) for x, y in zip(a, v)]
-        return np.stack([p[0][0] for p in both]), np.stack([p[1][0] for p in both])
+        both = [(ea, ev) for _, (ea, _), (ev, _) in self._blocks(a, v)]
+        return np.concatenate([x for x, _ in both]), np.concatenate([x for _, x in both])
 
     def step(self, a: np.ndarray, v: np.ndarray, y: np.ndarray, margin: float) -> tuple[float, dict[str, np.ndarray]]:
         """Summed contrastive loss and its gradients."""
         total, loss = {k: np.zeros_like(x) for k, x in self.params.items()}, 0.0
-        for x, z, same in zip(a, v, y):
-            (ea, back_a), (ev, back_v) = self._pair(x, z)
-            diff = ea - ev
-            d = float(np.sqrt((diff**2).sum() + 1e-12))
-            gap = max(0.0, margin - d)
-            loss += d * d if same == 1 else gap * gap
-            g = (2.0 if same == 1 else -2 * gap / d) * diff
-            for grads in (back_a(g[None]), back_v(-g[None])):
-                for k, x_ in grads.items():
-                    total[k] += x_
+        for rows, (ea, back_a), (ev, back_v) in self._blocks(a, v):
+            diff, same = ea - ev, y[rows] == 1
+            d = np.sqrt((diff**2).sum(axis=1) + 1e-12)
+            gap = np.maximum(0.0, margin - d)
+            loss += float(np.where(same, d * d, gap * gap).sum())
+            g = np.where(same, 2.0, -2 * gap / d)[:, None] * diff
+            for grads in (back_a(g), back_v(-g)):
+                for k, x in grads.items():
+                    total[k] += x
         return loss, total
 
 
-def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0, longest: float | None = None) -> tuple[Towers | ConvTowers, list[float]]:
+def _pairs_of(b: pa.RecordBatch, frames: int) -> tuple[np.ndarray, np.ndarray]:
+    """Columns a and v of a batch as arrays."""
+    wide = lambda name: b.column(b.schema.get_field_index(name)).flatten().to_numpy(zero_copy_only=False)
+    return wide("a").reshape(b.num_rows, -1), wide("v").reshape(b.num_rows, frames, -1)
+
+
+def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epochs: int = 30, rate: float = 0.5, margin: float = 1.0, longest: float | None = None, gate: tuple[Towers | ConvTowers, float] | None = None) -> tuple[Towers | ConvTowers, list[float]]:
     """Synchronous data-parallel steps: tasks sum gradients over their rows, those sums meet by parameter, and the driver
-    gets one gradient of the model's size. A gradient longer than ``longest`` is cut to that length."""
+    gets one gradient of the model's size. A gradient longer than ``longest`` is cut to that length. With ``gate``, positive
+    pairs that are further apart by its towers than its distance are left out, in the tasks that read them."""
     sc = pairs.sparkSession.sparkContext
     losses = []
     for _ in range(epochs):
-        cast = sc.broadcast(towers)
+        cast = sc.broadcast((towers, gate))
 
-        def part(batches: Iterator[pd.DataFrame], cast=cast) -> Iterator[pd.DataFrame]:
-            t, total, loss, n = cast.value, None, 0.0, 0
+        def part(batches: Iterator[pa.RecordBatch], cast=cast) -> Iterator[pa.RecordBatch]:
+            (t, gate), total, loss, n = cast.value, None, 0.0, 0
             for b in batches:
-                if len(b):
-                    a, v = np.stack(b["a"].to_numpy()), np.stack(b["v"].to_numpy()).reshape(len(b), frames, -1)
+                if b.num_rows:
+                    (a, v), y = _pairs_of(b, frames), b.column(2).to_numpy()
+                    if gate is not None:
+                        near = (y == 0) | (_apart(gate[0], a, v) <= gate[1])
+                        a, v, y = a[near], v[near], y[near]
+                    if not len(y):
+                        continue
                     if isinstance(t, ConvTowers):
-                        value, grads = t.step(a, v, b["y"].to_numpy(), margin)
+                        value, grads = t.step(a, v, y, margin)
                     else:
-                        value, ga, gv = t.gradient(a, v, b["y"].to_numpy(), margin)
+                        value, ga, gv = t.gradient(a, v, y, margin)
                         grads = {"audio": ga, "video": gv}
                     total = grads if total is None else {k: total[k] + g for k, g in grads.items()}
-                    loss, n = loss + value, n + len(b)
+                    loss, n = loss + value, n + len(y)
             if total is not None:
-                yield pd.DataFrame({"name": list(total), "loss": loss, "n": n, "g": [g.astype(float).tobytes() for g in total.values()]})
+                yield pa.RecordBatch.from_pydict({"name": list(total), "loss": [float(loss)] * len(total), "n": [n] * len(total), "g": [g.astype(float).tobytes() for g in total.values()]})
 
         def add(rows: pd.DataFrame) -> pd.DataFrame:
             return pd.DataFrame({"name": rows["name"][:1], "loss": [rows["loss"].sum()], "n": [rows["n"].sum()], "g": [sum(np.frombuffer(g) for g in rows["g"]).tobytes()]})
 
         kind = "name string, loss double, n long, g binary"
-        rows = pairs.select("a", "v", "y").mapInPandas(part, kind).groupBy("name").applyInPandas(add, kind).collect()  # a row a parameter
+        rows = pairs.select("a", "v", "y").mapInArrow(part, kind).groupBy("name").applyInPandas(add, kind).collect()  # a row a parameter
         if not rows:
             break
         moved = {r["name"]: rate * np.frombuffer(r["g"]) / r["n"] for r in rows}
@@ -242,19 +261,27 @@ def train_towers(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, epo
     return towers, losses
 
 
-def embed(pairs: DataFrame, towers: Towers | ConvTowers, frames: int) -> DataFrame:
-    """pairs with d, the distance of the two embeddings."""
+def _apart(towers: Towers | ConvTowers, a: np.ndarray, v: np.ndarray) -> np.ndarray:
+    ea, ev = towers.embed(a, v)
+    return np.sqrt(((ea - ev) ** 2).sum(axis=1))
+
+
+def embed(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, inputs: bool = True) -> DataFrame:
+    """pairs with d, the distance of the two embeddings; without ``inputs``, their other columns only."""
     cast = pairs.sparkSession.sparkContext.broadcast(towers)
+    kept = [f for f in pairs.schema if inputs or f.name not in ("a", "v")]
 
-    def part(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            d = np.zeros(0)
-            if len(b):
-                ea, ev = cast.value.embed(np.stack(b["a"].to_numpy()), np.stack(b["v"].to_numpy()).reshape(len(b), frames, -1))
-                d = np.sqrt(((ea - ev) ** 2).sum(axis=1))
-            yield b.assign(d=d)
+            d = _apart(cast.value, *_pairs_of(b, frames)) if b.num_rows else np.zeros(0)
+            yield pa.RecordBatch.from_arrays([*[b.column(b.schema.get_field_index(f.name)) for f in kept], pa.array(d, pa.float64())], names=[*[f.name for f in kept], "d"])
+
+    return pairs.mapInArrow(part, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in kept) + ", d double")
+
 
-    return pairs.mapInPandas(part, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pairs.schema) + ", d double")
+def distances(pairs: DataFrame, towers: Towers | ConvTowers, frames: int) -> DataFrame:
+    """``embed`` without the towers' inputs."""
+    return embed(pairs, towers, frames, inputs=False)
 
 
 def self_filter(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, keep: float = 0.8, rounds: int = 2, epochs: int = 20, rate: float = 0.5, longest: float | None = None) -> tuple[Towers | ConvTowers, DataFrame, list[float]]:
@@ -262,11 +289,12 @@ def self_filter(pairs: DataFrame, towers: Towers | ConvTowers, frames: int, keep
 
     The threshold of a round is a quantile of the positives' distances; negatives stay as they are.
     """
-    kept, losses = pairs, []
+    kept, losses, gate = pairs, [], None
     for _ in range(rounds):
-        towers, seen = train_towers(kept, towers, frames, epochs, rate, longest=longest)
+        towers, seen = train_towers(pairs, towers, frames, epochs, rate, longest=longest, gate=gate)
         losses += seen
-        scored = embed(pairs, towers, frames)
-        cut = scored.where("y = 1").agg(F.percentile_approx("d", keep)).first()[0]
-        kept = scored.where((F.col("y") == 0) | (F.col("d") <= (cut if cut is not None else 0))).drop("d")
+        cut = distances(pairs.select("a", "v", "y"), towers, frames).where("y = 1").agg(F.percentile_approx("d", keep)).first()[0]
+        gate = towers, cut if cut is not None else 0.0
+    if gate is not None:
+        kept = embed(pairs, gate[0], frames).where((F.col("y") == 0) | (F.col("d") <= gate[1])).drop("d")
     return towers, kept, losses

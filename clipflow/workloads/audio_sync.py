@@ -105,30 +105,47 @@ FRAMES_OF, BANDS, SIDE = 9, 6, 6
 
 
 def windows(spark, d):
-    """group, i, a (9 x 6 spectrogram), v (9 x 36 pixels), truth: each embedding a group of 24 frames whose sound is a mix of
-    its pixels; every fifth group's sound is another's."""
+    """clip, i, x, truth, key, v: each embedding (x) a clip of 24 frames, cut into windows that begin at frame i. ``v`` names
+    the window whose video it has: pairs are dealt out before ``rendered`` makes them ten times as large."""
+    e = load(spark, d, "embeddings", "vec_id", "embedding").select(F.col("vec_id").cast("long").alias("clip"), F.col("embedding").alias("x"))
+    starts = F.array(*[F.lit(i) for i in range(0, 24 - FRAMES_OF + 1, 5)])
+    w = e.select("clip", F.explode(starts).alias("i"), "x", (F.pmod("clip", F.lit(5)) > 0).cast("int").alias("truth"))
+    return w.withColumn("key", F.col("clip") * 100 + F.col("i")).withColumn("v", F.struct("clip", "i", "x"))
+
+
+def rendered(pairs):
+    """pairs with a (9 x 6 spectrogram) of their own window and v (9 x 36 pixels) of the window that ``v`` names.
+
+    A clip's sound is a mix of its pixels; every fifth clip's sound is another's.
+    """
+    from functools import lru_cache
+
     import numpy as np
-    import pandas as pd
+    import pyarrow as pa
 
     mix = np.random.default_rng(11).normal(0, 1, (SIDE * SIDE, BANDS)) / SIDE
 
     def make(batches):
-        for b in batches:
-            rows = []
-            for vec, x in zip(b["vec_id"], b["embedding"]):
-                rng = np.random.default_rng(int(vec))
-                base = np.asarray(x, float)[: SIDE * SIDE] * 8
-                video = base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0) + 0.5 * rng.normal(size=(24, SIDE * SIDE))
-                heard = video if vec % 5 else base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0)
-                sound = heard @ mix + 0.1 * rng.normal(size=(24, BANDS))
-                sound, video = sound / max(sound.std(), 1e-9), video / max(video.std(), 1e-9)
-                for i in range(0, 24 - FRAMES_OF + 1, 5):
-                    rows.append((vec, i, sound[i : i + FRAMES_OF].ravel().tolist(), video[i : i + FRAMES_OF].ravel().tolist(), int(vec % 5 > 0)))
-            yield pd.DataFrame(rows, columns=["clip", "i", "a", "v", "truth"])
-
-    e = load(spark, d, "embeddings", "vec_id", "embedding")
-    w = e.mapInPandas(make, "clip long, i int, a array<double>, v array<double>, truth int")
-    return w.withColumn("key", F.col("clip") * 100 + F.col("i"))
+        @lru_cache(256)
+        def clip(vec, x):
+            rng = np.random.default_rng(vec)
+            base = np.frombuffer(x)[: SIDE * SIDE] * 8
+            video = base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0) + 0.5 * rng.normal(size=(24, SIDE * SIDE))
+            heard = video if vec % 5 else base * np.cumsum(rng.normal(0, 0.8, (24, 1)), axis=0)
+            sound = heard @ mix + 0.1 * rng.normal(size=(24, BANDS))
+            return sound / max(sound.std(), 1e-9), video / max(video.std(), 1e-9)
+
+        def cut(ids, starts, xs, which):
+            return np.stack([clip(vec, np.asarray(x, float).tobytes())[which][i : i + FRAMES_OF].ravel() for vec, i, x in zip(ids.to_pylist(), starts.to_pylist(), xs.to_numpy(zero_copy_only=False))])
+
+        for whole in batches:
+            for at in range(0, whole.num_rows, 512):  # a pair takes over 3 kB
+                b = whole.slice(at, 512)
+                a, v = cut(*b.columns[:3], 0), cut(*b.column(3).flatten(), 1)
+                lists = [pa.FixedSizeListArray.from_arrays(m.ravel(), m.shape[1]).cast(pa.list_(pa.float64())) for m in (a, v)]
+                yield pa.RecordBatch.from_arrays([b.column(0), *lists, *b.columns[4:]], names=["clip", "a", "v", "truth", "y"])
+
+    return pairs.select("clip", "i", "x", "v", "truth", "y").mapInArrow(make, "clip long, a array<double>, v array<double>, truth int, y int")
 
 
 @query("s_towers")
@@ -141,12 +158,12 @@ def s_towers(spark, d):
 
     clips = windows(spark, d)
     moved = S.random_shifts(clips.withColumn("g", F.lit(0) + F.col("clip") % 64), "g", "key").drop("g")
-    pairs = written(moved.withColumn("held_out", F.col("clip") % 3 == 0), "sync-pairs")
+    pairs = written(rendered(moved).withColumn("held_out", F.col("clip") % 3 == 0), "sync-pairs")
     out = []
     for name, k_t in (("spatiotemporal", 3), ("spatial", 1)):
         start = S.ConvTowers.start(BANDS, FRAMES_OF, SIDE, dim=6, filters=(3,), k_t=k_t)
         towers, kept, losses = S.self_filter(pairs.where("NOT held_out").drop("held_out"), start, FRAMES_OF, rounds=2, epochs=6, rate=0.3, longest=1.0)
-        scored = written(S.embed(pairs.where("held_out").drop("held_out"), towers, FRAMES_OF), "sync-scored")
+        scored = written(S.distances(pairs.where("held_out").drop("held_out"), towers, FRAMES_OF), "sync-scored")
         cut = scored.agg(F.percentile_approx("d", 0.5)).first()[0]
         single = scored.agg(F.avg(((F.col("d") < cut) == (F.col("y") == 1)).cast("double"))).first()[0]
         mean = scored.groupBy("clip", "y").agg(F.avg("d").alias("d")).agg(F.avg(((F.col("d") < cut) == (F.col("y") == 1)).cast("double"))).first()[0]

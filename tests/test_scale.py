@@ -5,7 +5,7 @@ import time
 import numpy as np
 from pyspark.sql import functions as F
 
-from clipflow.operators import pipeline, sync, tracks
+from clipflow.operators import nn, pipeline, sync, tracks
 
 
 def test_tracks_of_many_clips_are_linked_at_once(spark):
@@ -50,3 +50,24 @@ def test_trigrams_of_a_text_are_no_rows(spark):
     assert {r.k: r.guess for r in found.collect()} == want and 82 not in want
     assert pipeline.trigram_bayes(df.where("false"), "k", "lab", "x", "xyz ", learn).count() == 0
     assert "Generate" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_towers_take_windows_as_arrays(spark):
+    rng = np.random.default_rng(2)
+    t = sync.ConvTowers.start(6, 9, 6, dim=6, filters=(3, 2))
+    a, v, y = rng.normal(size=(6000, 54)), rng.normal(size=(6000, 9, 36)), np.arange(6000) % 2
+    began = time.time()
+    loss, grads = t.step(a, v, y, 1.0)  # window by window 6,000 took over ten seconds
+    assert time.time() - began < 6
+    few = [t.step(a[i : i + 500], v[i : i + 500], y[i : i + 500], 1.0) for i in range(0, 6000, 500)]
+    assert np.isclose(loss, sum(x for x, _ in few)) and all(np.allclose(g, sum(x[k] for _, x in few)) for k, g in grads.items())
+    video, back = nn.conv3d_windows(v[:5].reshape(5, 9, 6, 6, 1), t.params["v0.w"], t.params["v0.b"])
+    sound, back_sound = nn.dilated_windows(a[:5].reshape(5, 9, 6), t.params["a0.w"], t.params["a0.b"])
+    g, h = rng.normal(size=video.shape), rng.normal(size=sound.shape)
+    dx, dw = back(g)
+    dz, du = back_sound(h)
+    alone = [nn.conv3d(v[i].reshape(9, 6, 6, 1), t.params["v0.w"], t.params["v0.b"]) for i in range(5)]
+    heard = [nn.dilated(a[i].reshape(9, 6), t.params["a0.w"], t.params["a0.b"], 1) for i in range(5)]
+    assert all(np.allclose(video[i], alone[i][0]) and np.allclose(dx[i], alone[i][1](g[i])[0]) for i in range(5))
+    assert all(np.allclose(sound[i], heard[i][0]) and np.allclose(dz[i], heard[i][1](h[i])[0]) for i in range(5))
+    assert all(np.allclose(dw[k], sum(alone[i][1](g[i])[1][k] for i in range(5))) and np.allclose(du[k], sum(heard[i][1](h[i])[1][k] for i in range(5))) for k in "wb")
