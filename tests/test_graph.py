@@ -1,8 +1,10 @@
 """The main table's graphs as arrays: what the driver holds, and clips that stay rows."""
 
 import tracemalloc
+from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -63,3 +65,31 @@ def test_the_model_in_numbers_scores_as_the_dictionaries(spark, most):
             gain, to = model.word_scores(np.array([state]), np.array([number[w]]))
             want, total, said, state = want + strings.word_score(said, w), total + gain[0], (*said, w), int(to[0])
         assert total == pytest.approx(want)
+
+
+def test_the_model_is_built_in_tasks_and_sent_in_pieces(spark, monkeypatch):
+    train = spark.createDataFrame([(list("abca"),), (list("bcab"),), (list("cc"),)], "words array<string>")
+    vocabulary = spark.createDataFrame([(c, c) for c in "abc"], "w string, phones string")
+    method = B.Method("x", 0.0, order=3)
+
+    def refuse(*_):
+        raise AssertionError("on the driver")
+
+    want = fst.WordModel.of(fst.Decoder([(c, c) for c in "abc"], *B.language_model(train, vocabulary, 3), order=3))
+    for kind in (fst.WordModel, fst.Tree):
+        monkeypatch.setattr(kind, "__init__", refuse)
+    (graph,) = B.graphs(train, vocabulary, (method,))
+    found = graph.value
+    assert found.n_nodes == 4 and found.n_states == want.n_states and sorted(found.word_scores.__self__.lm_p) == pytest.approx(sorted(want.lm_p))
+
+
+def test_large_arrays_come_whole_through_pieces(spark):
+    def made_of(batches):
+        return SimpleNamespace(n=sum(b.num_rows for b in batches), ids=np.arange(1_500_000), x=np.sqrt(np.arange(200_000)), few=np.ones(3))
+
+    got = fst.pieces(spark.range(7), made_of, "made")
+    assert set(got.arrays) == {"ids", "x"}
+    made = got.value
+    assert made.n == 7 and (made.ids == np.arange(1_500_000)).all() and (made.x == np.sqrt(np.arange(200_000))).all() and len(made.few) == 3
+    none = fst.pieces(spark.range(0), made_of, "made").value
+    assert none.n == 0
