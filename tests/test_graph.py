@@ -93,3 +93,23 @@ def test_large_arrays_come_whole_through_pieces(spark):
     assert made.n == 7 and (made.ids == np.arange(1_500_000)).all() and (made.x == np.sqrt(np.arange(200_000))).all() and len(made.few) == 3
     none = fst.pieces(spark.range(0), made_of, "made").value
     assert none.n == 0
+
+
+def test_clips_of_like_length_are_searched_together(spark, monkeypatch):
+    decoder = toy_decoder(np.random.default_rng(3))
+    df = spark.createDataFrame([(f"{i:03}", "xyz" * (1 + i % 5 * 12)) for i in range(130)], "utt string, phones string").coalesce(1)
+    clips = df.select("utt", F.flatten(L.lattice_frames(L.peaks("phones", ["utt"], 0.0))).alias("rows"))
+    out = [r.utt for r in fst.clip_decode(clips, spark.sparkContext.broadcast(fst.Graph(decoder))).collect()]
+    assert sorted(out) == [f"{i:03}" for i in range(130)]
+    long = [int(u) % 5 for u in out]
+    assert sum(a > b for a, b in zip(long, long[1:])) == 0  # by length, not as they came
+
+
+def test_one_of_the_words_that_sound_alike_is_followed_without_a_history():
+    lexicon = [(f"w{i}", "ab"[i % 2]) for i in range(40)]
+    lm = {(w,): float(-1 - i) for i, (w, _) in enumerate(lexicon)}
+    graph = fst.Graph(fst.Decoder(lexicon, lm, {}, order=1))
+    assert len(graph.word) == 2 and [graph.vocabulary[i] for i in graph.word] == ["w0", "w1"]
+    frames = [(0, "a", 0.9), (0, "b", 0.1), (1, "_", 1.0), (2, "b", 0.8), (2, "a", 0.2)]
+    lists = pa.array([[{"t": t, "sym": s, "p": p} for t, s, p in frames]], pa.list_(pa.struct([("t", pa.int32()), ("sym", pa.string()), ("p", pa.float64())])))
+    assert fst._search(graph, lists)[0][0] == ("w0", "w1")
